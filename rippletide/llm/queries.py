@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rippletide.llm.odd_sketch import near_duplicates
 from rippletide.llm.packing import pack
+from rippletide.llm.secret_scan import find_secrets
 from rippletide.llm.segment_lang import identify, learn
+from rippletide.llm.source_mix import mix
 from rippletide.llm.window_dedup import remove_repeated_windows
 
 
@@ -25,6 +27,10 @@ def op2_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return identify(docs, learn(docs))
 
 
+def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_secrets(table(spark, sf_dir, "documents")).drop("found")
+
+
 def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeated_windows(table(spark, sf_dir, "documents"), with_text=False)[0]
 
@@ -33,5 +39,9 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"))
 
 
+def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op")}

@@ -14,6 +14,7 @@ from rippletide.llm.secret_scan import find_secrets
 from rippletide.llm.segment_lang import identify, learn
 from rippletide.llm.segment_topk import top_k
 from rippletide.llm.source_mix import mix
+from rippletide.llm.warc import round_trip
 from rippletide.llm.window_dedup import remove_repeated_windows
 
 
@@ -54,5 +55,9 @@ def op8_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op10_warc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return round_trip(table(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {k: f for k, f in globals().items() if k.startswith("op")}

@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from rippletide.llm import cotrain
 from rippletide.llm.bloom_lookup import fingerprints
 from rippletide.llm.odd_sketch import near_duplicates
 from rippletide.llm.packing import pack
@@ -55,6 +56,11 @@ def op8_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return cotrain.classify(docs, cotrain.learn(docs, table(spark, sf_dir, "labels")))
+
+
 def op10_warc_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "pages"))
 

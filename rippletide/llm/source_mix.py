@@ -65,18 +65,17 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.
     plan = targets(totals, weights, share, max_repeat)
     plan = plan.withColumn("claim", F.col("target") / block).withColumn("tie", F.struct(F.col("source").isNull(), "source")).withColumn("all", F.lit(1))
     plan = plan.withColumn("seats", F.round(F.sum("claim").over(Window.partitionBy("all"))).cast("long"))
-    plan = _apportioned(plan, "claim", "seats", ["all"], "blocks").select("source", "source_size", "target", "blocks", F.greatest(F.lit(1), F.ceil(F.col("source_size") / shard_words)).alias("shards"))
+    plan = _apportioned(plan, "claim", "seats", ["all"], "blocks").select("source", "source_size", "target", "blocks", F.row_number().over(Window.orderBy("tie")).alias("sid"), F.greatest(F.lit(1), F.ceil(F.col("source_size") / shard_words)).alias("shards"))
     plan = stored(plan, "targets")
 
     number = F.conv(F.substring("draw", 1, 8), 16, 10).cast("long")
-    rows = sized.join(plan, sized["source"].eqNullSafe(plan["source"])).drop(plan["source"]).withColumn("shard", F.pmod(number, F.col("shards")))
-    quota = rows.groupBy("source", "shard").agg(F.sum("size").alias("shard_size"), F.first("source_size").alias("ss"), F.first("blocks").alias("blocks"))
+    rows = sized.join(plan, sized["source"].eqNullSafe(plan["source"])).drop("source").withColumn("shard", F.pmod(number, F.col("shards")))
+    quota = rows.groupBy("sid", "shard").agg(F.sum("size").alias("shard_size"), F.first("source_size").alias("ss"), F.first("blocks").alias("blocks"))
     quota = quota.withColumn("claim", F.coalesce(F.try_divide(F.col("blocks") * F.col("shard_size"), F.col("ss")), F.lit(0.0))).withColumn("tie", F.col("shard"))
-    quota = _apportioned(quota, "claim", "blocks", ["source"], "shard_blocks")
-    quota = quota.select(F.col("source").alias("q_source"), F.col("shard").alias("q_shard"), (F.col("shard_blocks") * block).alias("quota"), "shard_size")
+    quota = _apportioned(quota, "claim", "blocks", ["sid"], "shard_blocks").select("sid", "shard", (F.col("shard_blocks") * block).alias("quota"), "shard_size")
 
-    placed = rows.join(quota, rows["source"].eqNullSafe(F.col("q_source")) & (F.col("shard") == F.col("q_shard")))
-    queue = Window.partitionBy("source", "shard").orderBy("draw", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    placed = rows.join(quota, ["sid", "shard"])
+    queue = Window.partitionBy("sid", "shard").orderBy("draw", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     placed = placed.withColumn("end", F.sum("size").over(queue))
     begin = F.col("end") - F.col("size")
     taken = F.lit(0).cast("long")

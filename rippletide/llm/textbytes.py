@@ -103,8 +103,16 @@ class Words:
         up, down = _POWERS.to(n + 1)
         sums = np.zeros(n + 1, np.uint64)
         np.cumsum(BYTE_CODE[folded] * up[:n], out=sums[1:])
+        self.sums, self.down = sums, down
         self.hashes = mix((sums[ends] - sums[starts]) * down[starts]) if len(starts) else np.zeros(0, np.uint64)
 
+    def prefix_hashes(self, n: int) -> np.ndarray:
+        """Hash of the first n bytes of each word (all of a shorter one)."""
+        if not len(self.starts):
+            return np.zeros(0, np.uint64)
+        ends = np.minimum(self.ends, self.starts + n)
+        return mix((self.sums[ends] - self.sums[self.starts]) * self.down[self.starts] + U(n))
+
     def grams(self, n: int) -> np.ndarray:
         """Hash of the n words from each word on; entries whose window leaves its row are garbage."""
         m = len(self.hashes) - n + 1

@@ -31,4 +31,7 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     path = fresh_path(spark, label)
     schema = df.schema
     df.write.parquet(path)
+    # The write's shuffle files go once the JVM driver collects its plan; say so now, else they
+    # pile up on executors' disks until its heap happens to fill.
+    spark.sparkContext._jvm.System.gc()
     return spark.read.schema(schema).parquet(path)

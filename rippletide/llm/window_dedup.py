@@ -8,8 +8,10 @@ windows merge into maximal intervals.
 Shuffling every window would move several times the input, so two exact steps narrow them first.
 (1) Rows of equal word sequences keep one representative, the smallest id: every window of the
 others repeats there. (2) Each window is represented by its least ``ANCHOR``-word hash; equal windows
-have equal anchors, so a window whose anchor occurs in one document only cannot repeat. Windows that
-remain are keyed by anchor and window hash together (128 bits).
+have equal anchors, so a window whose anchor occurs in one document only cannot repeat. (3) Runs of
+windows that share an anchor are matched as a whole first: where a smaller id has the same run, all of
+it goes; only runs of their smallest holder are matched window by window. Keys are anchor and hash
+together (128 bits).
 
 Defined results: null text has no words; rows with a null doc_id keep all their words and remove
 none elsewhere; rows repeating a doc_id never remove each other's words.
@@ -33,25 +35,29 @@ WINDOW, ANCHOR = 13, 5
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 
 
-def window_hashes(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Index of the first word, anchor hash and window hash of every window within one row."""
-    m = len(words.hashes)
-    count = m - WINDOW + 1
-    if count <= 0:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64)
-    up, down = _POWERS.to(m + 1)
-    sums = np.zeros(m + 1, np.uint64)
-    np.cumsum(words.hashes * up[:m], out=sums[1:])
-    whole = mix((sums[WINDOW:] - sums[:count]) * down[:count])
-    least, span, need = words.grams(ANCHOR), 1, WINDOW - ANCHOR + 1
-    while span < need:
-        step = min(span, need - span)
-        least = np.minimum(least[:-step], least[step:])
-        span += step
-    at = words.row_words
-    end_of = np.repeat(at[1:], np.diff(at))
-    first = np.flatnonzero(np.arange(count) + WINDOW <= end_of[:count])
-    return first, least[first], whole[first]
+class Windows:
+    """First word, anchor and hash of every window that lies within one row."""
+
+    def __init__(self, words: Words) -> None:
+        m = len(words.hashes)
+        count = max(m - WINDOW + 1, 0)
+        up, self.down = _POWERS.to(m + 1)
+        self.sums = np.zeros(m + 1, np.uint64)
+        np.cumsum(words.hashes * up[:m], out=self.sums[1:])
+        least, span, need = words.grams(ANCHOR), 1, WINDOW - ANCHOR + 1
+        while span < need and count:
+            step = min(span, need - span)
+            least = np.minimum(least[:-step], least[step:])
+            span += step
+        at = words.row_words
+        end_of = np.repeat(at[1:], np.diff(at))
+        self.first = np.flatnonzero(np.arange(count) + WINDOW <= end_of[:count])
+        self.anchor = least[self.first]
+        self.hashes = self.span_hash(self.first, self.first + WINDOW)
+        self.row_cut = np.searchsorted(self.first, at)
+
+    def span_hash(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return mix((self.sums[b] - self.sums[a]) * self.down[a] + (b - a).astype(np.uint64))
 
 
 def _plain(data: np.ndarray, offsets: np.ndarray, k: int) -> list[bytes]:
@@ -60,19 +66,25 @@ def _plain(data: np.ndarray, offsets: np.ndarray, k: int) -> list[bytes]:
 
 def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids = batch.column(0)
+        data, offsets = text_buffer(batch.column(1))
+        words = [_plain(data, offsets, k) for k in range(batch.num_rows)]
+        sha = [hashlib.sha256(b" ".join(w)) for w in words]
+        half = np.frombuffer(b"".join(s.digest()[:16] for s in sha), np.int64).reshape(-1, 2)
+        yield pa.RecordBatch.from_arrays(
+            [batch.column(0), pa.array([len(w) for w in words], pa.int64()), pa.array([s.hexdigest() for s in sha], pa.string()), pa.array(half[:, 0].copy()), pa.array(half[:, 1].copy())],
+            names=["doc_id", "n_words", "sha", "d1", "d2"],
+        )
+
+
+def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Distinct anchors of each row."""
+    for batch in batches:
+        ids = batch.column(0).to_numpy()
         data, offsets = text_buffer(batch.column(1))
         for i, j in row_chunks(offsets):
-            words = Words(data, offsets[i : j + 1])
-            first, anchor, _ = window_hashes(words)
-            cut = np.searchsorted(first, words.row_words)
-            anchors = [np.unique(anchor[a:b]) for a, b in zip(cut[:-1], cut[1:], strict=True)]
-            sha = [hashlib.sha256(b" ".join(_plain(data, offsets, k))) for k in range(i, j)]
-            half = np.frombuffer(b"".join(s.digest()[:16] for s in sha), np.int64).reshape(-1, 2)
-            yield pa.RecordBatch.from_arrays(
-                [ids.slice(i, j - i), pa.array(np.diff(words.row_words).astype(np.int64)), pa.array([s.hexdigest() for s in sha]), pa.array(half[:, 0].copy()), pa.array(half[:, 1].copy()), list_column(signed(np.concatenate(anchors)), [len(a) for a in anchors])],
-                names=["doc_id", "n_words", "sha", "d1", "d2", "anchors"],
-            )
+            w = Windows(Words(data, offsets[i : j + 1]))
+            anchors = [np.unique(w.anchor[a:b]) for a, b in zip(w.row_cut[:-1], w.row_cut[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids[i:j], [len(a) for a in anchors])), pa.array(signed(np.concatenate(anchors)))], names=["doc_id", "a"])
 
 
 def _pruned(batches: Iterator[pa.RecordBatch], bitmap: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -80,33 +92,53 @@ def _pruned(batches: Iterator[pa.RecordBatch], bitmap: np.ndarray) -> Iterator[p
         yield batch.filter(pa.array(maybe_in(bitmap, batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64))))
 
 
-def _open_windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text, anchors) to the windows of each text whose anchor is listed."""
+def _open_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(doc_id, text, anchors) to the runs of windows of each text whose anchor is listed."""
     for batch in batches:
         ids = batch.column(0).to_numpy()
         data, offsets = text_buffer(batch.column(1))
         listed = batch.column(2)
         for i, j in row_chunks(offsets):
             words = Words(data, offsets[i : j + 1])
-            first, anchor, whole = window_hashes(words)
-            cut = np.searchsorted(first, words.row_words)
+            w = Windows(words)
+            heads, sizes, hits, owner, marks = [], [], [], [], []
             for k in range(i, j):
-                a, b = cut[k - i], cut[k - i + 1]
-                wanted = listed[k].values.to_numpy().view(np.uint64)
-                hit = np.flatnonzero(np.isin(anchor[a:b], wanted)) + a
-                if len(hit):
-                    mark = int.from_bytes(hashlib.sha256(b" ".join(_plain(data, offsets, k))).digest()[:8], "little", signed=True)
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(hit), ids[k])), pa.array(np.full(len(hit), mark)), pa.array(signed(anchor[hit])), pa.array(signed(whole[hit])), pa.array((first[hit] - words.row_words[k - i]).astype(np.int32))],
-                        names=["doc_id", "d1", "a", "h", "pos"],
-                    )
-
-
-def covered(positions: np.ndarray, n_words: int) -> np.ndarray:
-    """Mask of the words that windows starting at these positions cover."""
+                a, b = w.row_cut[k - i], w.row_cut[k - i + 1]
+                hit = np.flatnonzero(np.isin(w.anchor[a:b], listed[k].values.to_numpy().view(np.uint64))) + a
+                if not len(hit):
+                    continue
+                new = np.ones(len(hit), bool)
+                new[1:] = (np.diff(hit) > 1) | (w.anchor[hit[1:]] != w.anchor[hit[:-1]])
+                head = np.flatnonzero(new)
+                heads.append(hit[head])
+                sizes.append(np.diff(np.append(head, len(hit))))
+                hits.append(hit)
+                owner.append(np.full(len(head), k))
+                mark = int.from_bytes(hashlib.sha256(b" ".join(_plain(data, offsets, k))).digest()[:8], "little", signed=True)
+                marks.append(np.full(len(head), mark))
+            if not heads:
+                continue
+            head, size, own = np.concatenate(heads), np.concatenate(sizes), np.concatenate(owner)
+            start = w.first[head]
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array(ids[own]),
+                    pa.array(np.concatenate(marks)),
+                    pa.array(signed(w.anchor[head])),
+                    pa.array(signed(w.span_hash(start, start + size + WINDOW - 1))),
+                    pa.array((start - words.row_words[own - i]).astype(np.int32)),
+                    pa.array(size.astype(np.int32)),
+                    list_column(signed(w.hashes[np.concatenate(hits)]), size),
+                ],
+                names=["doc_id", "d1", "a", "run", "pos", "size", "hs"],
+            )
+
+
+def covered(starts: np.ndarray, sizes: np.ndarray, n_words: int) -> np.ndarray:
+    """Mask of the words that runs of ``sizes`` windows starting at these positions cover."""
     edge = np.zeros(n_words + 1, np.int64)
-    np.add.at(edge, positions, 1)
-    np.add.at(edge, np.minimum(positions + WINDOW, n_words), -1)
+    np.add.at(edge, starts, 1)
+    np.add.at(edge, np.minimum(starts + sizes + WINDOW - 1, n_words), -1)
     return np.cumsum(edge[:-1]) > 0
 
 
@@ -121,7 +153,7 @@ def _removed(batches: Iterator[pa.RecordBatch], with_text: bool) -> Iterator[pa.
             mark = int.from_bytes(digest[:8], "little", signed=True)
             if mark != batch.column(2)[k].as_py():
                 continue
-            mask = covered(batch.column(3)[k].values.to_numpy(), len(words))
+            mask = covered(batch.column(3)[k].values.to_numpy(), batch.column(4)[k].values.to_numpy(), len(words))
             kept = b" ".join(w for w, out in zip(words, mask.tolist(), strict=True) if not out)
             ids.append(batch.column(0)[k].as_py())
             marks.append(mark)
@@ -135,27 +167,31 @@ def remove_repeated_windows(docs: DataFrame, text: str = "text", key: str = "doc
     """Two tables: per row doc_id, n_words, n_removed, kept_sha256; and per partly shortened text
     doc_id, d1, n_removed, kept_sha256, kept_text (null unless ``with_text``)."""
     source = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    profile = stored(source.mapInArrow(_profile, "doc_id long, n_words long, sha string, d1 long, d2 long, anchors array<long>"), "profile")
-    known = profile.where("doc_id is not null")
-    narrow = known.select("doc_id", "n_words", "d1", "d2")
+    profile = stored(source.mapInArrow(_profile, "doc_id long, n_words long, sha string, d1 long, d2 long"), "profile")
+    narrow = profile.where("doc_id is not null").select("doc_id", "n_words", "d1", "d2")
     first = narrow.where(F.col("n_words") >= WINDOW).groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "d1")
 
-    pieces = known.select("doc_id", F.explode("anchors").alias("a"))
-    often = pieces.groupBy("a").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("a")
+    pieces = source.where("doc_id is not null").mapInArrow(_anchors, "doc_id long, a long")
+    often = stored(pieces.groupBy("a").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("a"), "often")
     affected = pieces.join(often, "a").groupBy("doc_id").agg(F.collect_set("a").alias("anchors"))
     affected = stored(affected.join(first, "doc_id", "left_semi"), "affected")
 
     bitmap = id_bitmap(affected, "doc_id")
     texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap), "doc_id long, text string")
-    windows = stored(texts.join(affected, "doc_id").select("doc_id", "text", "anchors").mapInArrow(_open_windows, "doc_id long, d1 long, a long, h long, pos int"), "windows")
+    runs = stored(texts.join(affected, "doc_id").select("doc_id", "text", "anchors").mapInArrow(_open_runs, "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
+    least = runs.groupBy("a", "run").agg(F.min("doc_id").alias("low"))
+    held = stored(runs.join(least, ["a", "run"]).select("doc_id", "d1", "a", "pos", "size", F.when(F.col("doc_id") == F.col("low"), F.col("hs")).alias("hs")), "held")
+    whole = held.where("hs is null").select("doc_id", "d1", "pos", "size")
+    windows = held.where("hs is not null").select("doc_id", "d1", "a", "pos", F.posexplode("hs").alias("k", "h"))
     repeated = windows.groupBy("a", "h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("high > low").select("a", "h", "low")
-    cut = windows.join(repeated, ["a", "h"]).where("doc_id > low").groupBy("doc_id", "d1").agg(F.collect_list("pos").alias("at"))
-    cut = stored(cut, "cut")
+    single = windows.join(repeated, ["a", "h"]).where("doc_id > low").select("doc_id", "d1", (F.col("pos") + F.col("k")).alias("pos"), F.lit(1).alias("size"))
+    cut = whole.union(single).groupBy("doc_id", "d1").agg(F.collect_list(F.struct("pos", "size")).alias("at"))
+    cut = stored(cut.select("doc_id", "d1", F.col("at.pos").alias("at"), F.col("at.size").alias("sizes")), "cut")
 
     bitmap2 = id_bitmap(cut, "doc_id")
     cut_texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap2), "doc_id long, text string")
     shortened = stored(
-        cut_texts.join(cut, "doc_id").select("doc_id", "text", "d1", "at").mapInArrow(lambda it: _removed(it, with_text), "doc_id long, d1 long, n_removed long, kept_sha256 string, kept_text string").dropDuplicates(["doc_id", "d1"]),
+        cut_texts.join(cut, "doc_id").select("doc_id", "text", "d1", "at", "sizes").mapInArrow(lambda it: _removed(it, with_text), "doc_id long, d1 long, n_removed long, kept_sha256 string, kept_text string").dropDuplicates(["doc_id", "d1"]),
         "shortened",
     )
     rows = profile.select("doc_id", "n_words", "sha", "d1", "d2")

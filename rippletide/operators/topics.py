@@ -28,7 +28,7 @@ def post_opinion(kind: Column, value: Column) -> Column:
 def topic_posts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(event_id, user_id, ts, topic, opinion) of the events that carry a topic."""
     e = table(spark, sf_dir, "events")
-    return e.select("event_id", "user_id", "ts", F.get_json_object("props", "$.k").cast("int").alias("topic"), post_opinion(F.col("event_type"), F.col("value")).alias("opinion")).where("topic is not null")
+    return e.select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), F.get_json_object("props", "$.k").cast("int").alias("topic"), post_opinion(F.col("event_type"), F.col("value")).alias("opinion")).where("topic is not null")
 
 
 def _gaps(posts: DataFrame) -> DataFrame:

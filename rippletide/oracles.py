@@ -7,6 +7,10 @@ def u01(tag: str, seed: int, *cols: str) -> str:
     return f"(('0x'||substr(md5(concat_ws('|','{tag}','{seed}',{','.join(cols)})),1,8))::BIGINT/4294967296::DOUBLE)"
 
 
+def r8(x: str) -> str:
+    return f"(round({x},8)+0.0)"
+
+
 def r6(x: str) -> str:
     return f"(round({x},6)+0.0)"
 
@@ -77,9 +81,9 @@ def paths(max_len: int, edges: str = "e") -> str:
 
 
 def opinion_paths(max_len: int, lam: float) -> str:
-    out = ["y0 AS (SELECT id src, id at, 1.0::DOUBLE x, o op FROM n)"]
+    out = ["y0 AS (SELECT id src, id nd, 1.0::DOUBLE x, o op FROM n)"]
     for k in range(1, max_len + 1):
-        out.append(f"y{k} AS (SELECT src, e.v at, x*p x, (n.o+(2*phi-1)*op)/2 op FROM y{k - 1} y JOIN e ON y.at=e.u JOIN n ON n.id=e.v)")
+        out.append(f"y{k} AS (SELECT src, e.v nd, x*p x, (n.o+(2*phi-1)*op)/2 op FROM y{k - 1} y JOIN e ON y.nd=e.u JOIN n ON n.id=e.v)")
     total = " UNION ALL ".join(f"SELECT src id, x*CASE WHEN op<0 THEN {lam}::DOUBLE*op ELSE op END s FROM y{k}" for k in range(1, max_len + 1))
     return f"WITH {graph_ctes()}, {', '.join(out)}, t AS (SELECT id, sum(s) score FROM ({total}) GROUP BY id) SELECT n.id, {r6('coalesce(score,0)')} score FROM n LEFT JOIN t USING (id)"
 
@@ -201,9 +205,9 @@ POSTS = """posts AS (SELECT event_id, user_id, ts, CAST(json_extract_string(prop
 gaps AS (SELECT *, (epoch_us(ts)-lag(epoch_us(ts)) OVER w)/1000000::DOUBLE gap FROM posts WINDOW w AS (PARTITION BY topic ORDER BY ts, event_id)),
 lim AS (SELECT topic, avg(gap)+2*coalesce(stddev_pop(gap),0) threshold FROM gaps GROUP BY topic),
 ep AS (SELECT event_id, user_id, ts, topic, opinion, CAST(sum(CASE WHEN gap>threshold THEN 1 ELSE 0 END) OVER (PARTITION BY topic ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS BIGINT) epoch FROM gaps JOIN lim USING (topic)),
-mem AS (SELECT topic, epoch, user_id, min(ts) first_ts, avg(opinion) opinion FROM ep GROUP BY 1, 2, 3)"""
+mem AS MATERIALIZED (SELECT topic, epoch, user_id, min(ts) first_ts, avg(opinion) opinion FROM ep GROUP BY 1, 2, 3)"""
 TOPIC_EDGES = f"""{SUCCESSION}, {POSTS},
-te AS (SELECT a.topic, a.epoch, suc.u, suc.v FROM suc JOIN mem a ON a.user_id=suc.u JOIN mem b ON b.user_id=suc.v AND a.topic=b.topic AND a.epoch=b.epoch),
+te AS MATERIALIZED (SELECT a.topic, a.epoch, suc.u, suc.v FROM suc JOIN mem a ON a.user_id=suc.u JOIN mem b ON b.user_id=suc.v AND a.topic=b.topic AND a.epoch=b.epoch),
 org AS (SELECT topic, epoch, user_id FROM mem m WHERE NOT EXISTS (SELECT 1 FROM te WHERE te.topic=m.topic AND te.epoch=m.epoch AND te.v=m.user_id))"""
 ESTIMATE = """est AS (SELECT o.topic, o.user_id, max(o.truth) truth, sum(exp(-age)*past)/sum(exp(-age)) estimate FROM (SELECT o.topic, o.user_id, o.truth, p.opinion past, (epoch_us(o.first_ts)-epoch_us(p.ts))/(86400000000.0::DOUBLE*10) age
   FROM (SELECT topic, user_id, avg(opinion) truth, min(ts) first_ts FROM posts GROUP BY 1, 2) o JOIN posts p ON p.user_id=o.user_id AND p.topic//10=o.topic//10 AND p.topic<>o.topic AND p.ts<o.first_ts) o GROUP BY 1, 2)"""
@@ -301,14 +305,14 @@ def sql() -> dict[str, str]:
         "set_cover_instance": "SELECT * FROM (VALUES ('cover', 0.125::DOUBLE), ('none', 0.0)) t(kind, spread)",
         "rank_agreement": f"WITH {graph_ctes(source='suc')}, {walk_rounds(3)}, j AS (SELECT id, round(a.score,9) a, round(b.score,9) b FROM s1 a JOIN s3 b USING (id)), z AS (SELECT sign(x.a-y.a)*sign(x.b-y.b) s FROM j x JOIN j y ON x.id<y.id) SELECT CAST(sum((s>0)::INT) AS BIGINT) concordant, CAST(sum((s<0)::INT) AS BIGINT) discordant, {r6('avg(s)')} tau FROM z",
         "topic_posts": f"WITH {POSTS} SELECT topic, CAST(count(*) AS BIGINT) posts, {r6('avg(opinion)')} opinion FROM posts GROUP BY 1",
-        "gap_threshold": f"WITH {POSTS} SELECT topic, {r6('threshold')} threshold FROM lim",
+        "gap_threshold": f"WITH {POSTS} SELECT topic, (round(threshold,3)+0.0) threshold FROM lim",
         "topic_epochs_post": f"WITH {POSTS} SELECT topic, epoch, CAST(count(*) AS BIGINT) posts FROM ep GROUP BY 1, 2",
         "topic_edges": f"WITH {TOPIC_EDGES} SELECT * FROM te",
         "originators": f"WITH {TOPIC_EDGES} SELECT * FROM org",
         "top_topics": f"WITH {POSTS} SELECT topic, CAST(count(*) AS BIGINT) posts FROM posts GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 10",
-        "post_opinion": f"WITH {POSTS} SELECT event_id, {r6('opinion')} opinion FROM posts",
-        "true_opinion": f"WITH {POSTS} SELECT topic, user_id, {r6('avg(opinion)')} opinion FROM posts GROUP BY 1, 2",
-        "estimated_opinion": f"WITH {POSTS}, {ESTIMATE} SELECT topic, user_id, {r6('truth')} truth, {r6('estimate')} estimate FROM est",
+        "post_opinion": f"WITH {POSTS} SELECT event_id, {r8('opinion')} opinion FROM posts",
+        "true_opinion": f"WITH {POSTS} SELECT topic, user_id, {r8('avg(opinion)')} opinion FROM posts GROUP BY 1, 2",
+        "estimated_opinion": f"WITH {POSTS}, {ESTIMATE} SELECT topic, user_id, {r8('truth')} truth, {r8('estimate')} estimate FROM est",
         "estimated_interaction": f"WITH {TOPIC_EDGES}, ag AS (SELECT te.u, te.v, avg((sign(a.opinion)=sign(b.opinion))::INT) phi, count(*) times FROM te JOIN mem a ON a.topic=te.topic AND a.epoch=te.epoch AND a.user_id=te.u JOIN mem b ON b.topic=te.topic AND b.epoch=te.epoch AND b.user_id=te.v GROUP BY 1, 2) SELECT u, v, {r6('coalesce(phi,0.5)')} phi, CAST(coalesce(times,0) AS BIGINT) times FROM suc LEFT JOIN ag USING (u, v)",
         "opinion_error": f"WITH {POSTS}, {ESTIMATE} SELECT topic, {r6('sqrt(avg((estimate-truth)**2))/(max(truth)-min(truth))')} nrmse, CAST(count(*) AS BIGINT) n FROM est GROUP BY topic HAVING max(truth)>min(truth)",
         "ground_truth_spread": f"WITH {TOPIC_EDGES} SELECT m.topic, m.epoch, {r6('sum(CASE WHEN o.user_id IS NULL THEN opinion ELSE 0 END)')} spread FROM mem m LEFT JOIN org o ON o.topic=m.topic AND o.epoch=m.epoch AND o.user_id=m.user_id GROUP BY 1, 2",

@@ -26,8 +26,8 @@ def r6(c: Column | str) -> Column:
     return F.round(F.col(c) if isinstance(c, str) else c, 6) + 0.0
 
 
-def rounded(df: DataFrame, *names: str) -> DataFrame:
-    return df.withColumns({c: r6(c) for c in names})
+def rounded(df: DataFrame, *names: str, digits: int = 6) -> DataFrame:
+    return df.withColumns({c: F.round(F.col(c), digits) + 0.0 for c in names})
 
 
 def base_graph(spark: SparkSession, d: str, p: str = "ic", source: str = "cop") -> InfluenceGraph:
@@ -233,15 +233,15 @@ def _topic_tables(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFr
 
 
 _plain("topic_posts", lambda s, d: rounded(topics.topic_posts(s, d).groupBy("topic").agg(F.count(F.lit(1)).alias("posts"), F.avg("opinion").alias("opinion")), "opinion"))
-_plain("gap_threshold", lambda s, d: rounded(topics.gap_threshold(topics.topic_posts(s, d)), "threshold"))
+_plain("gap_threshold", lambda s, d: rounded(topics.gap_threshold(topics.topic_posts(s, d)), "threshold", digits=3))
 _plain("topic_epochs_post", lambda s, d: topics.epochs_by_post(topics.topic_posts(s, d)).groupBy("topic", "epoch").agg(F.count(F.lit(1)).alias("posts")))
 _plain("topic_epochs_seed", lambda s, d: topics.epochs_by_seed(topics.topic_posts(s, d), graphs.succession_edges(s, d).select("u", "v")).groupBy("topic", "epoch").agg(F.count(F.lit(1)).alias("posts")))
 _plain("topic_edges", lambda s, d: _topic_tables(s, d)[2])
 _plain("originators", lambda s, d: _topic_tables(s, d)[3])
 _plain("top_topics", lambda s, d: topics.top_topics(topics.topic_posts(s, d), 10))
-_plain("post_opinion", lambda s, d: rounded(topics.topic_posts(s, d).select("event_id", "opinion"), "opinion"))
-_plain("true_opinion", lambda s, d: rounded(topics.true_opinion(topics.topic_posts(s, d)), "opinion"))
-_plain("estimated_opinion", lambda s, d: rounded(topics.estimate_opinion(topics.topic_posts(s, d)), "truth", "estimate"))
+_plain("post_opinion", lambda s, d: rounded(topics.topic_posts(s, d).select("event_id", "opinion"), "opinion", digits=8))
+_plain("true_opinion", lambda s, d: rounded(topics.true_opinion(topics.topic_posts(s, d)), "opinion", digits=8))
+_plain("estimated_opinion", lambda s, d: rounded(topics.estimate_opinion(topics.topic_posts(s, d)), "truth", "estimate", digits=8))
 _plain("opinion_error", lambda s, d: rounded(topics.nrmse(topics.estimate_opinion(topics.topic_posts(s, d)), "estimate", "truth", by=["topic"]).where("nrmse is not null"), "nrmse"))
 
 

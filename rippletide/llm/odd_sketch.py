@@ -5,13 +5,15 @@ samples of a set feed two things: ``BANDS`` band keys of ``ROWS`` samples each,
 every sample flips one of ``SKETCH_BITS`` bits, so that a bit keeps the parity of its hits. The
 population count of the XOR of two sketches estimates how many samples differ, most precisely at
 high similarity. A candidate pair whose count lies beyond what a similarity of ``similarity`` can
-give by chance (six deviations twice over) is dropped; all others are confirmed on the full sets.
+give by chance (5.5 deviations) is dropped; all others are confirmed on the full sets.
 
 At a similarity of 0.8 a pair shares no band with probability (1-0.8**5)**40 = 1.3e-7.
 
 Groups of equal sets collapse to one representative first, so copies never pair. In a band bucket
-each member is compared with the bucket's smallest id; what that leaves in different components is
-compared pairwise, in a join whose condition drops pairs before they become rows.
+each member is compared with the bucket's smallest id, then, where the bucket still spans several
+components, with another member drawn by hash; what that leaves outside a bucket's main component is
+compared with the whole bucket, in a join whose condition (first the sketches, then the full sets)
+drops pairs before they become rows.
 
 Defined results: null or blank text gives an empty set, linked with nothing; rows that repeat a
 doc_id are one document, linked to whatever any of its texts links to; a row with a null doc_id
@@ -43,11 +45,14 @@ SIGNATURE = "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>,
 
 
 def sketch_limit(similarity: float) -> int:
-    """Largest XOR population count that a pair of at least this similarity can plausibly show."""
+    """Largest XOR population count that a pair of at least this similarity can plausibly show: the
+    expected count plus 5.5 deviations, those of the sampled differences and of the parity folding
+    taken together."""
     apart = HASHES * (1 - similarity)
-    apart += 6 * (HASHES * similarity * (1 - similarity)) ** 0.5
-    share = (1 - (1 - 2 / SKETCH_BITS) ** (2 * apart)) / 2
-    return int(SKETCH_BITS * share + 6 * (SKETCH_BITS * share * (1 - share)) ** 0.5)
+    kept = (1 - 2 / SKETCH_BITS) ** (2 * apart)
+    sampling = 2 * kept * (HASHES * similarity * (1 - similarity)) ** 0.5
+    folding = 2 * ((2 * apart) ** 2 / (2 * SKETCH_BITS)) ** 0.5
+    return int(SKETCH_BITS * (1 - kept) / 2 + 5.5 * (sampling**2 + folding**2) ** 0.5) + 1
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, n: int) -> list[np.ndarray]:
@@ -150,16 +155,34 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     of = lambda x: sketches.select(F.col("id").alias(x), F.col("n").alias("n" + x), F.col("s").alias("s" + x))
     near_hub = stars.join(of("a"), "a").join(of("b"), "b").where(alike).select("a", "b").distinct()
     links = stored(_confirmed(near_hub, sets, percent), "links")
+    label = components(links)
 
+    def open_buckets() -> DataFrame:
+        """Members, with their components so far, of buckets that hold more than one."""
+        marked = shared.join(label, "id", "left").select("key", "id", F.coalesce("component", "id").alias("c"))
+        several = marked.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("key")
+        return stored(marked.join(several, "key", "left_semi"), "open")
+
+    # Another hub for each bucket, drawn by hash: members meet a different one in every band they share.
+    opened = open_buckets()
+    drawn = opened.groupBy("key").agg(F.min(F.struct(F.xxhash64("id", "key").alias("h"), "id", "c")).alias("w")).select("key", F.col("w.id").alias("b"), F.col("w.c").alias("cb"))
+    again = opened.join(drawn, "key").where("c <> cb").select(F.least("id", "b").alias("a"), F.greatest("id", "b").alias("b")).distinct()
+    second = _confirmed(again.join(of("a"), "a").join(of("b"), "b").where(alike).select("a", "b"), sets, percent)
+    links = stored(links.union(second), "links")
     label = components(links)
-    marked = shared.join(label, "id", "left").select("key", "id", F.coalesce("component", "id").alias("c"))
-    mixed = marked.groupBy("key").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("key", "low")
-    open_members = stored(marked.join(mixed, "key").join(sketches, "id"), "open")
-    one = open_members.where("c <> low").select("key", F.col("id").alias("a"), F.col("c").alias("ca"), F.col("n").alias("na"), F.col("s").alias("sa"))
-    two = open_members.select("key", F.col("id").alias("b"), F.col("c").alias("cb"), F.col("low").alias("lb"), F.col("n").alias("nb"), F.col("s").alias("sb"))
-    rest = one.join(two, (one["key"] == two["key"]) & (F.col("ca") != F.col("cb")) & ((F.col("cb") == F.col("lb")) | (F.col("a") < F.col("b"))) & alike)
-    more = _confirmed(rest.select("a", "b").distinct(), sets, percent)
-    label = components(links.union(more))
+
+    # What still lies apart: the smaller components' members against the whole bucket.
+    opened = open_buckets()
+    main = opened.groupBy("key", "c").count().groupBy("key").agg(F.max(F.struct("count", "c")).alias("w")).select("key", F.col("w.c").alias("main"))
+    wide = stored(opened.join(main, "key").join(sketches, "id").join(sets, "id"), "open")
+    side = lambda x: [F.col("id").alias(x), F.col("c").alias("c" + x), F.col("n").alias("n" + x), F.col("s").alias("s" + x), F.col("grams").alias("g" + x)]
+    one = wide.where("c <> main").select("key", *side("a"))
+    two = wide.select("key", "main", *side("b"))
+    both = F.size(F.array_intersect("ga", "gb"))
+    linked = 100 * both >= percent * (F.col("na") + F.col("nb") - both)
+    once = (F.col("cb") == F.col("main")) | (F.col("a") < F.col("b"))
+    third = one.join(two, (one["key"] == two["key"]) & (F.col("ca") != F.col("cb")) & once & alike & linked).select("a", "b").distinct()
+    label = components(links.union(third))
 
     done = member_class.join(label.select(F.col("id").alias("class_id"), "component"), "class_id", "left")
     whole = done.select("doc_id", "n_shingles", F.coalesce("component", "class_id").alias("component_id"), "class_id")

@@ -2,13 +2,13 @@
 
 A text's units are its distinct paragraphs: pieces that end at a line feed, or after ``.``, ``!`` or
 ``?`` and white space where the next letter is one of A to F (a cut that depends on content alone, so
-that a long line also has several). Each unit's 62-bit digest falls in one cell of each of ``TABLES``
-sub-tables: a cell holds how many digests it got, their XOR, and the XOR of their check hashes. Two
-sketches subtract cell by cell; digests in both vanish, and peeling (a cell of count +1 or -1 whose
-check fits names a digest, which is then taken out of its other cells) recovers the digests of
-either side alone. If it gets stuck, the comparison is repeated on larger sketches: the digests are
-dealt by hash to g groups of cells, g in proportion to their number, doubling up to ``RETRIES``
-times. (Should all fail, the digest arrays are compared.) Work stays linear in the digests.
+that a long line also has several). A unit's digest is 40 hash bits followed by 22 check bits of those,
+and falls in one cell of each of ``TABLES`` sub-tables; a cell holds the XOR of its digests. Two
+sketches subtract by XOR, cell by cell; digests in both vanish, and peeling (a cell whose check bits
+fit holds a single digest, which is then taken out of its other cells) recovers the digests that only
+one side has. If it gets stuck, the comparison is repeated on larger sketches: the digests are dealt
+by hash to g groups of cells, g in proportion to their number, doubling up to ``RETRIES`` times.
+(Should all fail, the digest arrays are compared.) Work stays linear in the digests.
 
 The fingerprint is the sketch of ``BASE`` cells a table as text; equal texts have equal ones. The
 likeness of two texts follows from the number d of recovered digests and the unit counts a and b as
@@ -27,100 +27,82 @@ from pyspark.sql import functions as F
 TABLES, BASE = 3, 16
 RETRIES, ROUNDS = 5, 24
 MAX_BLOCKS = 8192
-_MASK = (1 << 62) - 1
+CHECK_BITS = 22
 UNIT_END = r"(?<=\n)|(?<=[.!?]\s)(?=[A-F])"
 
 
-def unit_digests(text: Column) -> Column:
-    """Sorted distinct 62-bit digests of the units of a text."""
-    units = F.filter(F.split(text, UNIT_END, -1), lambda u: u != "")
-    return F.array_sort(F.array_distinct(F.transform(units, lambda u: F.xxhash64(u).bitwiseAND(F.lit(_MASK)))))
+def _let(value: Column, use) -> Column:
+    """``use(value)`` with ``value`` evaluated once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
 
 
-def _check(d: Column) -> Column:
-    return F.xxhash64(d, F.lit(7)).bitwiseAND(F.lit((1 << 32) - 1))
+def _check(hashed: Column) -> Column:
+    return F.xxhash64(hashed).bitwiseAND(F.lit((1 << CHECK_BITS) - 1))
 
 
-def _place(d: Column, table: int) -> Column:
-    return F.pmod(F.shiftright(d, 12 * table), F.lit(BASE))
+def unit_digests(text: Column) -> Column:
+    """Sorted distinct digests of the units of a text."""
+    units = F.filter(F.split(text, UNIT_END, -1), lambda u: u != "")
+    hashed = F.transform(units, lambda u: F.xxhash64(u).bitwiseAND(F.lit((1 << 40) - 1)))
+    return F.array_sort(F.array_distinct(F.transform(hashed, lambda h: F.shiftleft(h, CHECK_BITS).bitwiseOR(_check(h)))))
+
 
+def _place(d: Column, table: int) -> Column:
+    return F.shiftright(d, CHECK_BITS + 4 * table).bitwiseAND(F.lit(BASE - 1).cast("long"))
 
-def _xor(values: Column) -> Column:
-    return F.aggregate(values, F.lit(0).cast("long"), lambda a, b: a.bitwiseXOR(b))
 
+def _folded(digests: Column, table: int, at: Column) -> Column:
+    return F.aggregate(digests, F.lit(0).cast("long"), lambda a, d: F.when(_place(d, table) == at, a.bitwiseXOR(d)).otherwise(a))
 
-def cells(digests: Column) -> Column:
-    """array<struct<n, x, c>> of TABLES * BASE cells: count, XOR of digests, XOR of their checks."""
 
-    def of_table(table: int) -> Column:
-        def cell(at: Column) -> Column:
-            here = F.filter(digests, lambda d: _place(d, table) == at)
-            return F.element_at(F.transform(F.array(here), lambda h: F.struct(F.size(h).alias("n"), _xor(h).alias("x"), _xor(F.transform(h, _check)).alias("c"))), 1)
+def _tables(of) -> Column:
+    spots = F.sequence(F.lit(0).cast("long"), F.lit(BASE - 1).cast("long"))
+    return F.concat(*[F.transform(spots, of(t)) for t in range(TABLES)])
 
-        return F.transform(F.sequence(F.lit(0), F.lit(BASE - 1)), cell)
 
-    return F.concat(*[of_table(t) for t in range(TABLES)])
+def cells(digests: Column) -> Column:
+    """array<bigint> of TABLES * BASE cells, each the XOR of the digests that fall there."""
+    return _tables(lambda t: lambda at: _folded(digests, t, at))
 
 
 def subtract(one: Column, two: Column) -> Column:
-    return F.zip_with(one, two, lambda p, q: F.struct((p["n"] - q["n"]).alias("n"), p["x"].bitwiseXOR(q["x"]).alias("x"), p["c"].bitwiseXOR(q["c"]).alias("c")))
+    return F.zip_with(one, two, lambda p, q: p.bitwiseXOR(q))
 
 
 def peel(difference: Column) -> Column:
-    """Struct <left: digests only the first has, right: only the second, done: all recovered>."""
-    kind = "array<bigint>"
-    none = F.array().cast(kind)
-    start = F.struct(difference.alias("cells"), none.alias("left"), none.alias("right"), F.lit(False).alias("stuck"))
+    """struct <found: the recovered digests, done: whether every cell is empty>."""
+    start = F.struct(difference.alias("cells"), F.array().cast("array<bigint>").alias("found"), F.lit(False).alias("stuck"))
 
-    def pure(state: Column, sign: int) -> Column:
-        fit = F.filter(state["cells"], lambda p: (p["n"] == sign) & (p["c"] == _check(p["x"])))
-        return F.array_distinct(F.transform(fit, lambda p: p["x"]))
+    def pure(x: Column) -> Column:
+        return (x != 0) & (x.bitwiseAND(F.lit((1 << CHECK_BITS) - 1)) == _check(F.shiftright(x, CHECK_BITS)))
+
+    def without(state: Column, keys: Column) -> Column:
+        left = F.when(F.size(keys) == 0, state["cells"]).otherwise(subtract(state["cells"], cells(keys)))
+        return F.struct(left.alias("cells"), F.concat(state["found"], keys).alias("found"), (F.size(keys) == 0).alias("stuck"))
 
     def step(state: Column, _: Column) -> Column:
-        return F.when(state["stuck"], state).otherwise(_peeled(state))
-
-    def _peeled(state: Column) -> Column:
-        found = F.struct(pure(state, 1).alias("l"), pure(state, -1).alias("r"))
-        return F.element_at(F.transform(F.array(found), lambda f: _without(state, f)), 1)
-
-    def _without(state: Column, f: Column) -> Column:
-        gone = cells(f["l"])
-        back = cells(f["r"])
-        return F.struct(
-            subtract(subtract(state["cells"], gone), F.transform(back, lambda p: F.struct((-p["n"]).alias("n"), p["x"].alias("x"), p["c"].alias("c")))).alias("cells"),
-            F.concat(state["left"], f["l"]).alias("left"),
-            F.concat(state["right"], f["r"]).alias("right"),
-            (F.size(f["l"]) + F.size(f["r"]) == 0).alias("stuck"),
-        )
+        return F.when(state["stuck"], state).otherwise(_let(F.array_distinct(F.filter(state["cells"], pure)), lambda keys: without(state, keys)))
 
     end = F.aggregate(F.sequence(F.lit(1), F.lit(ROUNDS)), start, step)
-    clear = lambda e: F.forall(e["cells"], lambda p: (p["n"] == 0) & (p["x"] == 0) & (p["c"] == 0))
-    return F.element_at(F.transform(F.array(end), lambda e: F.struct(e["left"].alias("left"), e["right"].alias("right"), clear(e).alias("done"))), 1)
+    return _let(end, lambda e: F.struct(e["found"].alias("found"), F.forall(e["cells"], lambda x: x == 0).alias("done")))
 
 
 def apart(one: Column, two: Column) -> Column:
     """How many unit digests two digest arrays do not share, recovered from their sketches."""
 
     def grouped(g: Column) -> Column:
-        inside = lambda digests, j: F.filter(digests, lambda d: F.pmod(F.shiftright(d, 40), g) == j)
-        parts = F.transform(F.sequence(F.lit(0).cast("long"), g - 1), lambda j: peel(subtract(cells(inside(one, j)), cells(inside(two, j)))))
-        return F.struct(
-            F.forall(parts, lambda p: p["done"]).alias("done"),
-            F.aggregate(parts, F.lit(0), lambda n, p: n + F.size(p["left"]) + F.size(p["right"])).alias("d"),
-        )
+        inside = lambda digests, j: F.filter(digests, lambda d: F.pmod(F.shiftright(d, 36), g) == j)
+        parts = F.transform(F.sequence(F.lit(0).cast("long"), g - 1), lambda j: _let(F.struct(inside(one, j).alias("a"), inside(two, j).alias("b")), lambda s: peel(subtract(cells(s["a"]), cells(s["b"])))))
+        return _let(parts, lambda all_: F.struct(F.forall(all_, lambda p: p["done"]).alias("done"), F.aggregate(all_, F.lit(0), lambda n, p: n + F.size(p["found"])).alias("d")))
 
     def step(state: Column, i: Column) -> Column:
         enough = F.ceil((F.size(one) + F.size(two)) / 16.0) * F.pow(F.lit(2.0), i - 1)
-        return F.when(state["done"], state).otherwise(_let(grouped(F.when(i == 0, F.lit(1).cast("long")).otherwise(enough.cast("long")))))
+        return F.when(state["done"], state).otherwise(grouped(F.when(i == 0, F.lit(1).cast("long")).otherwise(enough.cast("long"))))
 
     start = F.struct(F.lit(False).alias("done"), F.lit(0).alias("d"))
     end = F.aggregate(F.sequence(F.lit(0), F.lit(RETRIES)), start, step)
     exact = F.size(F.array_except(one, two)) + F.size(F.array_except(two, one))
-    return F.element_at(F.transform(F.array(end), lambda e: F.when(e["done"], e["d"]).otherwise(exact)), 1)
-
-
-def _let(value: Column) -> Column:
-    return F.element_at(F.transform(F.array(value), lambda v: v), 1)
+    return _let(end, lambda e: F.when(e["done"], e["d"]).otherwise(exact))
 
 
 def likeness(one: Column, two: Column, d: Column) -> Column:
@@ -129,7 +111,7 @@ def likeness(one: Column, two: Column, d: Column) -> Column:
 
 
 def fingerprint_text(sketch: Column) -> Column:
-    return F.concat_ws(";", F.transform(sketch, lambda p: F.when(p["n"] == 0, F.lit("")).otherwise(F.concat_ws(":", p["n"].cast("string"), F.hex(p["x"]), F.hex(p["c"])))))
+    return F.concat_ws(":", F.transform(sketch, lambda x: F.when(x == 0, F.lit("")).otherwise(F.hex(x))))
 
 
 def with_next(docs: DataFrame, text: str, key: str) -> DataFrame:

@@ -1,9 +1,233 @@
-"""Placeholder."""
+"""The experiment workloads, re-expressed on the given tables as report tables.
 
+Rows are (workload, model, k, l, lam, metric, value). Times and sizes differ from run to run, so those
+reports have no SQL counterpart; the deterministic measures behind them are registered separately."""
 
-def queries():
-    return {}
+from __future__ import annotations
 
+import time
+from collections.abc import Callable
 
-def oracles():
-    return {}
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from rippletide.operators import baselines, churn, errors, graphs, params, scores, seeds, spread, topics
+from rippletide.operators.graphs import InfluenceGraph, graph
+from rippletide.plans.storage import stored
+
+SCHEMA = "workload string, model string, k int, l int, lam double, metric string, value double"
+WORLDS = 16
+MODE = "md5"
+SIM = {"worlds": WORLDS, "mode": MODE, "max_steps": 8}
+
+
+class Report:
+    """A growing run log of one workload."""
+
+    def __init__(self, spark: SparkSession, name: str) -> None:
+        self.spark, self.name, self.rows = spark, name, []
+
+    def add(self, metric: str, value: float, model: str = "", k: int = 0, length: int = 0, lam: float = 1.0) -> None:
+        self.rows.append((self.name, model, k, length, float(lam), metric, float(value)))
+
+    def timed(self, run: Callable[[], DataFrame], **kw) -> DataFrame:
+        began = time.perf_counter()
+        out = stored(run(), "report")
+        self.add("seconds", time.perf_counter() - began, **kw)
+        return out
+
+    def table(self) -> DataFrame:
+        return self.spark.createDataFrame(self.rows, SCHEMA)
+
+
+def _base(s: SparkSession, d: str, source: str = "cop", p: str = "ic") -> InfluenceGraph:
+    from rippletide.workloads import base_graph
+
+    return base_graph(s, d, p, source)
+
+
+def _value(g: InfluenceGraph, chosen: DataFrame, objective: str = "count", lam: float = 1.0, model: str = "ic") -> float:
+    row = spread.expected_spread(g, chosen.select("id"), objective=objective, lam=lam, model=model, **SIM).first()
+    return float(row["spread"]) if row else 0.0
+
+
+def deviation_pct(value: float, best: float) -> float:
+    return 100.0 * (best - value) / best if best else 0.0
+
+
+def gain(base: float | None, ours: float) -> float:
+    """Ratio of a competitor's cost to ours; infinite where it did not finish."""
+    return float("inf") if base is None else base / ours if ours else float("nan")
+
+
+def w01_example(s: SparkSession, d: str) -> DataFrame:
+    r, g = Report(s, "w01"), graphs.toy_graph(s)
+    for name, table in (("exact", spread.exact_spread(g)), ("exact_opinion", spread.exact_spread(g, opinion=True))):
+        for row in table.collect():
+            r.add(f"{name}_{'ABCD'[row['id'] - 1]}", row["spread"])
+    for opinion in (False, True):
+        row = seeds.score_greedy_seeds(g, 1, opinion=opinion).first()
+        r.add("seed", row["id"], "oi" if opinion else "ic", 1, 3)
+    return r.table()
+
+
+def w04_topic_models(s: SparkSession, d: str) -> DataFrame:
+    """Opinion spread of the real originators under three models against the posts' own opinions."""
+    r = Report(s, "w04")
+    posts = topics.topic_posts(s, d)
+    posts = posts.join(F.broadcast(topics.top_topics(posts, 10).select("topic")), "topic", "left_semi")
+    background = stored(graphs.succession_edges(s, d).select("u", "v"), "background")
+    members = stored(topics.topic_members(topics.epochs_by_post(posts)), "members")
+    edges = stored(topics.topic_edges(members, background), "topic_edges")
+    origin = stored(topics.originators(members, edges), "origin")
+    truth = topics.ground_truth_spread(members, origin)
+    guess = topics.model_spreads(members, edges, origin, topics.estimate_opinion(posts), topics.estimate_interaction(members, background), WORLDS, mode=MODE)
+    both = truth.withColumnRenamed("spread", "truth").join(guess, ["topic", "epoch"])
+    for row in topics.nrmse(both, "spread", "truth", by=["model"]).collect():
+        r.add("nrmse", row["nrmse"] if row["nrmse"] is not None else float("nan"), row["model"])
+    return r.table()
+
+
+def w06_model_choice(s: SparkSession, d: str) -> DataFrame:
+    """Seeds picked for each model's objective, all valued by the opinion spread with interactions."""
+    r, g = Report(s, "w06"), _base(s, d, "suc")
+    for k in (2, 4):
+        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(g, k, 1, True, "seed"), "opinion"), "oi", k, 1)
+        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(InfluenceGraph(g.nodes, g.edges.withColumn("phi", F.lit(1.0))), k, 1, True, "seed"), "opinion"), "oc", k, 1)
+        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(g, k, 1, False, "seed"), "opinion"), "ic", k, 1)
+    return r.table()
+
+
+def w07_churn(s: SparkSession, d: str) -> DataFrame:
+    from rippletide.workloads import churn_graph
+
+    r, g = Report(s, "w07"), churn_graph(s, d)
+    value = churn.propagate_labels(g, churn.churn_labels(s, d), max_iter=10)
+    nodes = value.select("id", F.col("value").alias("o"), F.lit(0.5).alias("theta"))
+    g = params.interactions_uniform(params.assign_wc(InfluenceGraph(nodes, g.edges)), mode=MODE).materialized()
+    for name, opinion in (("oi", True), ("ic", False)):
+        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(g, 3, 2, opinion, "seed"), "opinion"), name, 3, 2)
+    return r.table()
+
+
+def w08_penalty(s: SparkSession, d: str) -> DataFrame:
+    """Seeds by the path score with and without a penalty on negative opinions, both valued with it."""
+    r = Report(s, "w08")
+    for source in ("cop", "suc"):
+        g = _base(s, d, source)
+        for lam in (0.0, 1.0):
+            chosen = scores.score_topk(scores.opinion_path_score(g, 2, lam), 5)
+            r.add("effective_spread", _value(g, chosen, "opinion", 1.0), source, 5, 2, lam)
+    return r.table()
+
+
+def w09_length_opinion(s: SparkSession, d: str) -> DataFrame:
+    """Opinion spread over path length, against the simulated greedy on the best candidates."""
+    r, g = Report(s, "w09"), params.opinions_normal(_base(s, d), mode=MODE)
+    g = g.materialized()
+    for length in (1, 3, 5):
+        chosen = r.timed(lambda n=length: seeds.score_greedy_seeds(g, 3, n, True, "seed"), model="walk", k=3, length=length)
+        r.add("opinion_spread", _value(g, chosen, "opinion"), "walk", 3, length)
+    pool = [x["id"] for x in scores.score_topk(scores.opinion_walk_score(g, 3), 10).collect()]
+    chosen = r.timed(lambda: seeds.mc_greedy_seeds(g, 3, objective="opinion", candidates=pool, **SIM), model="greedy", k=3)
+    r.add("opinion_spread", _value(g, chosen, "opinion"), "greedy", 3)
+    return r.table()
+
+
+def w11_memory(s: SparkSession, d: str) -> DataFrame:
+    """Rows of state over and above the arcs: one a node for the walk score, one a pair for the union."""
+    r = Report(s, "w11")
+    for source in ("cop", "suc"):
+        g = _base(s, d, source)
+        r.add("arc_rows", g.edges.count(), source)
+        r.add("walk_state_rows", scores.walk_score(g, 3).count(), source, length=3)
+        r.add("pair_state_rows", scores.walk_counts(g, 2).count(), source, length=2)
+    return r.table()
+
+
+def w14_length_oblivious(s: SparkSession, d: str) -> DataFrame:
+    """Spread and seconds over path length under three first layers."""
+    r = Report(s, "w14")
+    for name, p in (("ic", "ic"), ("wc", "wc"), ("lt", "ic")):
+        g = _base(s, d, "cop", p)
+        scored = g.with_p("w") if name == "lt" else g
+        for length in (1, 3):
+            chosen = r.timed(lambda n=length, h=scored: seeds.score_greedy_seeds(h, 3, n, discount="seed"), model=name, k=3, length=length)
+            r.add("spread", _value(g, chosen, model="lt" if name == "lt" else "ic"), name, 3, length)
+    return r.table()
+
+
+def w15_baselines(s: SparkSession, d: str) -> DataFrame:
+    """Spread and seconds of the walk score against the competitors, and the deviation from the best."""
+    r, g = Report(s, "w15"), _base(s, d, "suc", "wc")
+    pool = [x["id"] for x in seeds.degree_seeds(g, 10).collect()]
+    runs = {
+        "walk": lambda: seeds.score_greedy_seeds(g, 3, 3, discount="seed"),
+        "lazy": lambda: seeds.lazy_greedy_seeds(g, 3, candidates=pool, **SIM),
+        "rr": lambda: baselines.max_cover(baselines.rr_sets(g, 500, mode=MODE, max_steps=8), 3),
+        "rank": lambda: scores.score_topk(baselines.influence_rank(g, rounds=5), 3),
+        "degree": lambda: seeds.degree_seeds(g, 3),
+        "random": lambda: seeds.random_seeds(g, 3, mode=MODE),
+    }
+    found = {}
+    for name, run in runs.items():
+        found[name] = _value(g, r.timed(run, model=name, k=3))
+        r.add("spread", found[name], name, 3)
+    for name, v in found.items():
+        r.add("deviation_pct", deviation_pct(v, max(found.values())), name, 3)
+    return r.table()
+
+
+def w16_growth(s: SparkSession, d: str) -> DataFrame:
+    """Seconds over path length and seed count, and the fit of a line."""
+    r, g = Report(s, "w16"), _base(s, d)
+    for length in (1, 2, 4):
+        r.timed(lambda n=length: scores.walk_score(g, n), model="length", length=length)
+    for k in (1, 2, 4):
+        r.timed(lambda n=k: seeds.score_greedy_seeds(g, n, 1, discount="seed"), model="seeds", k=k, length=1)
+    rows = r.table().where("metric = 'seconds'")
+    for name, x in (("length", "l"), ("seeds", "k")):
+        fit = rows.where(F.col("model") == name).agg(F.regr_slope("value", x).alias("a"), F.regr_r2("value", x).alias("r2")).first()
+        r.add("slope", fit["a"], name)
+        r.add("r2", fit["r2"], name)
+    return r.table()
+
+
+def w20_datasets(s: SparkSession, d: str) -> DataFrame:
+    r = Report(s, "w20")
+    for name, edges in (("copurchase", graphs.copurchase_edges(s, d)), ("succession", graphs.succession_edges(s, d)), ("trade", graphs.trade_edges(s, d, 2)), ("similarity", graphs.similarity_edges(s, d))):
+        g = graph(edges.select("u", "v")).materialized()
+        n, m = g.nodes.count(), g.edges.count()
+        r.add("nodes", n, name)
+        r.add("arcs", m, name)
+        r.add("avg_degree", m / n if n else 0.0, name)
+    return r.table()
+
+
+def w21_instances(s: SparkSession, d: str) -> DataFrame:
+    """Uniform against normal opinions, averaged over three draws of all parameters."""
+    r, g = Report(s, "w21"), _base(s, d, "suc")
+    for name, draw in (("uniform", params.opinions_uniform), ("normal", params.opinions_normal)):
+        values = []
+        for instance in (1, 2, 3):
+            h = params.interactions_uniform(draw(g, instance, mode=MODE), instance, mode=MODE).materialized()
+            values.append(_value(h, seeds.score_greedy_seeds(h, 2, 2, True, "seed"), "opinion"))
+        r.add("opinion_spread", sum(values) / 3, name, 2, 2)
+    return r.table()
+
+
+def w22_exactness(s: SparkSession, d: str) -> DataFrame:
+    """Largest difference between walk and simple-path scores: none on a tree, positive with cycles."""
+    r = Report(s, "w22")
+    tree = graph(graphs.tree_edges(s, d)).materialized()
+    cyclic = _base(s, d)
+    for name, g in (("tree", tree), ("cyclic", cyclic)):
+        both = scores.walk_score(g, 3).withColumnRenamed("score", "walk").join(scores.simple_path_score(g, 3), "id")
+        r.add("max_difference", both.agg(F.max(F.abs(F.col("walk") - F.col("score")))).first()[0] or 0.0, name, length=3)
+    agreement = errors.rank_agreement(scores.walk_score(cyclic, 3), scores.simple_path_score(cyclic, 3), 10).first()
+    r.add("tau", agreement["tau"], "cyclic", length=3)
+    return r.table()
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return {k: f for k, f in globals().items() if k[0] == "w" and k[1:3].isdigit()}

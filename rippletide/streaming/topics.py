@@ -1,9 +1,140 @@
-"""Placeholder."""
+"""Streaming forms of the topic pipeline: counts, sessions, late posts, agreement, topic growth.
 
+Each query reads the events as a file stream with the available-now trigger, so it also runs as an
+incremental batch; results are read back from a Parquet sink or from the last complete state."""
 
-def queries():
-    return {}
+from __future__ import annotations
 
+import uuid
+from collections.abc import Callable, Iterator
 
-def oracles():
-    return {}
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+from pyspark.sql.types import IntegerType, StructField, StructType
+
+from rippletide.operators.topics import post_opinion
+from rippletide.plans.storage import shared_dir
+
+
+def post_stream(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
+    schema = spark.read.parquet(path).schema
+    folder, _, name = path.rpartition("/")
+    e = spark.readStream.schema(schema).option("pathGlobFilter", name).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
+    return e.select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts"), F.get_json_object("props", "$.k").cast("int").alias("topic"), post_opinion(F.col("event_type"), F.col("value")).alias("opinion"))
+
+
+def run(df: DataFrame, mode: str, keys: list[str] | None = None) -> DataFrame:
+    """Run to the end of what is there. Append: the sink's rows. Update: the last row of each key."""
+    spark = df.sparkSession
+    base = f"{shared_dir(spark)}/rippletide/stream-{uuid.uuid4().hex}"
+    out = f"{base}/out"
+    schema = df.schema
+
+    def land(batch: DataFrame, n: int) -> None:
+        batch.withColumn("batch", F.lit(n)).write.mode("append").parquet(out)
+
+    q = df.writeStream.outputMode(mode).option("checkpointLocation", f"{base}/state").trigger(availableNow=True).foreachBatch(land).start()
+    q.awaitTermination()
+    rows = spark.read.schema(StructType([*schema.fields, StructField("batch", IntegerType())])).parquet(out)
+    if keys:
+        best = rows.groupBy(*keys).agg(F.max_by(F.struct(*[c for c in rows.columns if c not in [*keys, "batch"]]), "batch").alias("r"))
+        return best.select(*keys, "r.*")
+    return rows.drop("batch")
+
+
+def topic_counts(posts: DataFrame, width: str = "1 day") -> DataFrame:
+    """Posts and summed opinion per topic and tumbling window."""
+    return posts.withWatermark("ts", "1 hour").groupBy(F.window("ts", width).alias("w"), "topic").agg(F.count(F.lit(1)).alias("posts")).select(F.col("w.start").alias("start"), "topic", "posts")
+
+
+def topic_sessions(posts: DataFrame, gap: str = "6 hours") -> DataFrame:
+    """Session epochs: a topic's posts with gaps of less than ``gap``."""
+    return posts.withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap).alias("w"), "topic").agg(F.count(F.lit(1)).alias("posts")).select("topic", F.col("w.start").alias("start"), "posts")
+
+
+def unique_posts(posts: DataFrame) -> DataFrame:
+    return posts.withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
+
+
+def running_opinion(posts: DataFrame) -> DataFrame:
+    return posts.groupBy("user_id").agg(F.avg("opinion").alias("opinion"), F.count(F.lit(1)).alias("posts"))
+
+
+def topic_activity(posts: DataFrame, background: DataFrame) -> DataFrame:
+    """Stream-static join: posts by users with background arcs, counted per user's out-degree."""
+    out = background.groupBy(F.col("u").alias("user_id")).agg(F.count(F.lit(1)).alias("arcs"))
+    return posts.join(out, "user_id").groupBy("topic").agg(F.sum("arcs").alias("reachable"))
+
+
+class TopicGrowth(StatefulProcessor):
+    """Per topic: who is in the subgraph, when the last new member came; an epoch ends when none came for
+    longer than ``limit`` seconds. State holds one epoch's members only."""
+
+    def __init__(self, limit: float) -> None:
+        self.limit = limit
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.members = handle.getMapState("members", "user_id long", "first double")
+        self.place = handle.getValueState("place", "epoch long, last double")
+
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
+        epoch, last = self.place.get() if self.place.exists() else (0, None)
+        out: dict[int, int] = {}
+        frame = pd.concat(list(rows)).sort_values(["ts", "event_id"])
+        for user, ts in zip(frame["user_id"], frame["ts"], strict=True):
+            now = ts.timestamp()
+            if last is not None and now - last > self.limit:
+                epoch, last = epoch + 1, None
+                self.members.clear()
+            if not self.members.containsKey((int(user),)):
+                self.members.updateValue((int(user),), (now,))
+                last = now
+                out[epoch] = out.get(epoch, 0) + 1
+        self.place.update((epoch, last))
+        yield pd.DataFrame({"topic": [int(key[0])] * len(out), "epoch": list(out), "members": list(out.values())})
+
+    def close(self) -> None:
+        pass
+
+
+def topic_growth(posts: DataFrame, limit: float) -> DataFrame:
+    """(topic, epoch, members) as they join. Needs the RocksDB state store, which is set here for the
+    streams started afterwards (a runtime setting)."""
+    posts.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    return posts.groupBy("topic").transformWithStateInPandas(TopicGrowth(limit), "topic int, epoch long, members long", outputMode="Append", timeMode="None")
+
+
+def _posts(s: SparkSession, d: str) -> DataFrame:
+    return post_stream(s, f"{d}/events.parquet")
+
+
+P_ = "(SELECT event_id, user_id, ts, CAST(json_extract_string(props,'$.k') AS INTEGER) topic, CASE WHEN event_type='view' THEN 0.0::DOUBLE WHEN event_type='error' THEN -(value/(value+50)) ELSE value/(value+50) END opinion FROM events)"
+STREAMS: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]] = {
+    "stream_topic_counts": (lambda s, d: run(topic_counts(_posts(s, d)), "update", ["start", "topic"]).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "topic", "posts"), f"SELECT strftime(ts, '%Y-%m-%d') AS day, topic, CAST(count(*) AS BIGINT) posts FROM {P_} GROUP BY 1, 2"),
+    "stream_sessions": (
+        lambda s, d: run(topic_sessions(_posts(s, d)), "append").groupBy("topic").agg(F.count(F.lit(1)).alias("sessions"), F.sum("posts").alias("posts")),
+        None,
+    ),
+    "stream_unique": (lambda s, d: run(unique_posts(_posts(s, d)).select("event_id", "topic"), "append"), f"SELECT event_id, topic FROM {P_}"),
+    "stream_running_opinion": (lambda s, d: run(running_opinion(_posts(s, d)), "update", ["user_id"]).select("user_id", (F.round("opinion", 7) + 0.0).alias("opinion"), "posts"), f"SELECT user_id, round(avg(opinion),7)+0.0 opinion, CAST(count(*) AS BIGINT) posts FROM {P_} GROUP BY 1"),
+    "stream_topic_state": (lambda s, d: run(topic_growth(_posts(s, d), 6 * 3600.0), "append").groupBy("topic", "epoch").agg(F.sum("members").alias("members")), None),
+}
+
+
+def _static(s: SparkSession, d: str) -> DataFrame:
+    from rippletide.operators.graphs import succession_edges
+
+    return run(topic_activity(_posts(s, d), succession_edges(s, d)), "update", ["topic"])
+
+
+STREAMS["stream_static_join"] = (_static, None)
+
+
+def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
+    return {k: f for k, (f, _) in STREAMS.items()}
+
+
+def oracles() -> dict[str, str]:
+    return {k: q for k, (_, q) in STREAMS.items() if q}

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rippletide.llm.idbits import id_bitmap, maybe_in
-from rippletide.llm.scratch import stored
+from rippletide.llm.scratch import discard, stored
 from rippletide.llm.textbytes import _POWERS, Words, list_column, mix, row_chunks, signed, text_buffer
 
 WINDOW, ANCHOR = 13, 5
@@ -176,11 +176,14 @@ def remove_repeated_windows(docs: DataFrame, text: str = "text", key: str = "doc
     affected = pieces.join(often, "a").groupBy("doc_id").agg(F.collect_set("a").alias("anchors"))
     affected = stored(affected.join(first, "doc_id", "left_semi"), "affected")
 
+    discard(often)
+
     bitmap = id_bitmap(affected, "doc_id")
     texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap), "doc_id long, text string")
     runs = stored(texts.join(affected, "doc_id").select("doc_id", "text", "anchors").mapInArrow(_open_runs, "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
     least = runs.groupBy("a", "run").agg(F.min("doc_id").alias("low"))
     held = stored(runs.join(least, ["a", "run"]).select("doc_id", "d1", "a", "pos", "size", F.when(F.col("doc_id") == F.col("low"), F.col("hs")).alias("hs")), "held")
+    discard(affected, runs)
     whole = held.where("hs is null").select("doc_id", "d1", "pos", "size")
     windows = held.where("hs is not null").select("doc_id", "d1", "a", "pos", F.posexplode("hs").alias("k", "h"))
     repeated = windows.groupBy("a", "h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("high > low").select("a", "h", "low")
@@ -188,12 +191,14 @@ def remove_repeated_windows(docs: DataFrame, text: str = "text", key: str = "doc
     cut = whole.union(single).groupBy("doc_id", "d1").agg(F.collect_list(F.struct("pos", "size")).alias("at"))
     cut = stored(cut.select("doc_id", "d1", F.col("at.pos").alias("at"), F.col("at.size").alias("sizes")), "cut")
 
+    discard(held)
     bitmap2 = id_bitmap(cut, "doc_id")
     cut_texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap2), "doc_id long, text string")
     shortened = stored(
         cut_texts.join(cut, "doc_id").select("doc_id", "text", "d1", "at", "sizes").mapInArrow(lambda it: _removed(it, with_text), "doc_id long, d1 long, n_removed long, kept_sha256 string, kept_text string").dropDuplicates(["doc_id", "d1"]),
         "shortened",
     )
+    discard(cut)
     rows = profile.select("doc_id", "n_words", "sha", "d1", "d2")
     owner = narrow.where(F.col("n_words") >= WINDOW).groupBy("d1", "d2").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("last_id > first_id").select("d1", "d2", "first_id")
     out = rows.join(owner, ["d1", "d2"], "left").join(shortened.select("doc_id", "d1", F.col("n_removed").alias("r"), F.col("kept_sha256").alias("s")), ["doc_id", "d1"], "left")

@@ -140,6 +140,20 @@ def test_packing(spark, corpus):
         assert at <= 64
 
 
+def test_packing_ids_are_the_named_tokenizers(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "x<|endoftext|><|endoftext|>\n y", "<|endoftext", " " * 1_100_000 + "word", "a" + "\n" * 1_100_000 + "b <|endoftext|>"]
+    rows = packing.pack(docs(spark, [(k, x, "s") for k, x in enumerate(texts)])).collect()
+    for k, x in enumerate(texts):
+        want = np.array([*t.encode(x, add_special_tokens=False).ids, 2], "<u4")
+        got = sorted((r for r in rows if r["doc_id"] == k), key=lambda r: r["piece"])
+        assert sum(r["length"] for r in got) == len(want)
+        assert all(zlib.crc32(want[r["start"] : r["start"] + r["length"]].tobytes()) == r["ids_crc32"] for r in got)
+
+
 def test_patterns_use_each_piece_once():
     counts = np.zeros(65, np.int64)
     counts[[3, 10, 17, 30, 34, 47, 54, 64]] = [9, 4, 5, 7, 7, 3, 4, 2]

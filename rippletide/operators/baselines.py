@@ -148,13 +148,17 @@ def path_spread(g: InfluenceGraph, eta: float = 1e-3, max_len: int = 8, starts:
     return nodes.join(sums, "id", "left").select("id", (1 + F.coalesce("s", F.lit(0.0))).alias("score"))
 
 
-def simpath_seeds(g: InfluenceGraph, k: int, eta: float = 1e-3, lookahead: int = 4, max_len: int = 8) -> DataFrame:
+def simpath_seeds(g: InfluenceGraph, k: int, eta: float = 1e-3, lookahead: int = 4, max_len: int = 8, block: int = 50) -> DataFrame:
     """(rank, id, score): greedy by path spread of the set, that is the sum over seeds of the spread of each
     on the graph without the others; per round only the ``lookahead`` best stale nodes are evaluated at
-    once, until the best is fresh."""
+    once, until the best is fresh. The driver takes the nodes of the first round ``block`` * k at a time, the
+    next ones as soon as the best gain does not exceed the last one taken."""
     spark = g.nodes.sparkSession
-    gains = {r["id"]: r["score"] for r in path_spread(g, eta, max_len).orderBy(F.desc("score"), "id").limit(50 * k).collect()}
-    fresh = dict.fromkeys(gains, 0)
+    alone = stored(path_spread(g, eta, max_len), "alone")
+    gains: dict[int, float] = {}
+    fresh: dict[int, int] = {}
+    last: tuple[float, int] | None = None
+    more = True
     chosen: list[int] = []
     out, total = [], 0.0
 
@@ -165,8 +169,18 @@ def simpath_seeds(g: InfluenceGraph, k: int, eta: float = 1e-3, lookahead: int =
             value += path_spread(g.without(others), eta, max_len, spark.createDataFrame([(s,)], "id long")).first()["score"]
         return value
 
-    while len(chosen) < k and len(chosen) < len(gains):
+    while len(chosen) < k:
         order = sorted((c for c in gains if c not in chosen), key=lambda c: (-round(gains[c], 9), c))
+        if more and (not order or last is None or round(gains[order[0]], 9) <= round(last[0], 9)):
+            rest = alone if last is None else alone.where((F.col("score") < last[0]) | ((F.col("score") == last[0]) & (F.col("id") > last[1])))
+            rows = rest.orderBy(F.desc("score"), "id").limit(block * k).collect()
+            more = len(rows) == block * k
+            gains |= {r["id"]: r["score"] for r in rows}
+            fresh |= {r["id"]: 0 for r in rows}
+            last = (rows[-1]["score"], rows[-1]["id"]) if rows else last
+            continue
+        if not order:
+            break
         if fresh[order[0]] != len(chosen):
             for c in [c for c in order[:lookahead] if fresh[c] != len(chosen)]:
                 gains[c], fresh[c] = set_spread([*chosen, c]) - total, len(chosen)

@@ -83,9 +83,9 @@ def mc_greedy_seeds(g: InfluenceGraph, k: int, worlds: int, objective: str = "co
     return spark.createDataFrame(chosen, SEEDS)
 
 
-def lazy_greedy_seeds(g: InfluenceGraph, k: int, worlds: int, candidates: list[int] | None = None, batch: int = 32, **kw) -> DataFrame:
+def lazy_greedy_seeds(g: InfluenceGraph, k: int, worlds: int, candidates: list[int] | None = None, batch: int = 32, first_batch: int = 2000, **kw) -> DataFrame:
     """(rank, id, score) as the plain greedy on the same worlds, with stale gains re-evaluated only at
-    the top, a batch a job. Each evaluation also looks one seed ahead: next to a node's own gain it
+    the top, a batch a job; the first round takes all candidates, ``first_batch`` a job. Each evaluation also looks one seed ahead: next to a node's own gain it
     takes the gain over the best node seen so far, which is its next gain should that node be chosen."""
     spark = g.nodes.sparkSession
     pool = sorted(candidates if candidates is not None else [r["id"] for r in g.nodes.select("id").toLocalIterator()])
@@ -94,7 +94,9 @@ def lazy_greedy_seeds(g: InfluenceGraph, k: int, worlds: int, candidates: list[i
     base = 0.0
     # Totals (spread of chosen + node) bound later totals only through gains: total - base + 1 counts
     # the node itself, which leaves the spread when it becomes a seed.
-    first = _gains(g, [], pool, worlds, "count", 1.0, **kw)
+    first: dict[int, float] = {}
+    for i in range(0, len(pool), first_batch):
+        first |= _gains(g, [], pool[i : i + first_batch], worlds, "count", 1.0, **kw)
     gain = {c: first.get(c, 0.0) + 1 for c in pool}
     fresh = dict.fromkeys(pool, 0)
     ahead: dict[int, tuple[int, float]] = {}

@@ -172,18 +172,14 @@ def _seeds(name: str, make: Callable[[InfluenceGraph], DataFrame], p: str = "ic"
     REGISTRY[name] = lambda s, d: rounded(make(base_graph(s, d, p)), "score")
 
 
-def _candidates(g: InfluenceGraph) -> list[int]:
-    return [r["id"] for r in top(g, 10).collect()]
-
-
 _seeds("score_greedy_k3_seed", lambda g: seeds.score_greedy_seeds(g, 3, discount="seed"))
 _seeds("score_greedy_k3_majority", lambda g: seeds.score_greedy_seeds(g, 3, **KW))
 _seeds("score_greedy_k3_delta", lambda g: seeds.score_greedy_seeds(g, 3, discount="seed", delta=True))
 _seeds("opinion_score_greedy_k3", lambda g: seeds.score_greedy_seeds(g, 3, opinion=True, discount="seed"))
-_seeds("mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, candidates=_candidates(g), **KW))
-_seeds("opinion_mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", candidates=_candidates(g), **KW))
-_seeds("oc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", model="oc", candidates=_candidates(g), **KW))
-_seeds("lazy_greedy_k2", lambda g: seeds.lazy_greedy_seeds(g, 2, candidates=_candidates(g), **KW))
+_seeds("mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, **KW))
+_seeds("opinion_mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", **KW))
+_seeds("oc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", model="oc", **KW))
+_seeds("lazy_greedy_k2", lambda g: seeds.lazy_greedy_seeds(g, 2, **KW))
 _seeds("rr_cover_k3", lambda g: baselines.max_cover(baselines.rr_sets(g, 200, max_steps=4, mode=MODE), 3), "wc")
 _seeds("rr_seeds", lambda g: baselines.rr_seeds(g, 3, eps=0.5, max_rr=2000, mode=MODE, max_steps=6)[0], "wc")
 _seeds("influence_rank", lambda g: baselines.influence_rank(g, rounds=5))

@@ -3,6 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
+from rippletide import workloads
 from rippletide.operators import baselines, diffusion, errors, graphs, params, scores, seeds, spread
 from rippletide.operators.graphs import graph
 
@@ -112,3 +113,23 @@ def test_normalize_mends_and_violations_find(spark):
 def test_max_cover(spark):
     sets = spark.createDataFrame([(1, 1), (2, 1), (2, 2), (3, 2), (4, 3)], "rr long, id long")
     assert [r["id"] for r in baselines.max_cover(sets, 2).orderBy("rank").collect()] == [1, 2]
+
+
+@pytest.mark.parametrize("name", ["mc_greedy_k2", "opinion_mc_greedy_k2", "oc_greedy_k2", "lazy_greedy_k2"])
+def test_registered_greedy_looks_beyond_high_degrees(spark, monkeypatch, name):
+    dead = [(u, 100 + v, 0.0) for u in range(1, 13) for v in range(3)]
+    rows = dead + [(500, 501, 1.0), (500, 502, 1.0), (600, 601, 1.0)]
+    edges = spark.createDataFrame([(u, v, p, p, 1.0) for u, v, p in rows], "u long, v long, p double, w double, phi double")
+    ids = sorted({x for u, v, _ in rows for x in (u, v)})
+    g = graphs.InfluenceGraph(spark.createDataFrame([(i, 1.0, 0.5) for i in ids], "id long, o double, theta double"), edges).materialized()
+    monkeypatch.setattr(workloads, "base_graph", lambda *_: g)
+    assert [(r["id"], r["score"]) for r in workloads.REGISTRY[name](spark, "").orderBy("rank").collect()] == [(500, 2.0), (600, 3.0)]
+
+
+def test_simple_path_greedy_goes_on_to_the_next_block(spark):
+    rows = [(10 + c, 1, 0.5) for c in range(4)] + [(1, 100 + v, 1.0) for v in range(10)] + [(2, 200 + v, 1.0) for v in range(3)]
+    edges = spark.createDataFrame([(u, v, w, w) for u, v, w in rows], "u long, v long, p double, w double")
+    g = graph(edges).materialized()
+    want = [(1, 11.0), (2, 15.0)]
+    assert [(r["id"], r["score"]) for r in baselines.simpath_seeds(g, 2, max_len=4, block=2).orderBy("rank").collect()] == want
+    assert [(r["id"], r["score"]) for r in baselines.simpath_seeds(g, 2, max_len=4).orderBy("rank").collect()] == want

@@ -2,20 +2,34 @@
 
 State is one row per (run, world, node); ``run`` tells seed sets apart that share the worlds, so that
 marginal gains compare the same coins. Coins are hashes of (world, arc). Each step is one join of the
-newest nodes with the arcs and one aggregation; it is stored, and the loop ends with an empty step."""
+newest nodes with the arcs and one aggregation; it is stored, and the loop ends with an empty step, which
+comes after at most as many steps as there are nodes. ``max_steps`` asks for an earlier end."""
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+from itertools import count
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from rippletide.functions.rng import u01
 from rippletide.operators.graphs import InfluenceGraph
-from rippletide.plans.storage import small, stored_with_count
+from rippletide.plans.storage import small, stored, stored_with_count
 
 ACT = ["run", "world", "id", "step", "parent", "o_final"]
 
 
+def _steps(max_steps: int | None) -> Iterable[int]:
+    return count(1) if max_steps is None else range(1, max_steps + 1)
+
+
+def _joined(active: DataFrame, front: DataFrame, t: int) -> DataFrame:
+    """All activations so far, stored anew now and then so that the plan of a deep cascade stays short."""
+    both = active.union(front)
+    return both if t % 16 else stored(both, "active")
+
+
 def starts(g: InfluenceGraph, seeds: DataFrame, worlds: int) -> DataFrame:
     """Seeds (id, and optionally run) in every world, active at step 0 with their own opinion."""
     run = F.col("run").cast("long") if "run" in seeds.columns else F.lit(0).cast("long")
@@ -30,14 +44,14 @@ def _turned(world: Column, phi: Column, seed: int, mode: str, interaction: bool)
     return F.when(u01("sign", seed, world, F.col("u"), F.col("v"), mode=mode) < phi, 1.0).otherwise(-1.0)
 
 
-def cascade_ic(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1, max_steps: int = 50, mode: str = "xxhash", interaction: bool = True) -> DataFrame:
+def cascade_ic(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1, max_steps: int | None = None, mode: str = "xxhash", interaction: bool = True) -> DataFrame:
     """Independent cascade with the opinion layer. Each node gets one try per out-arc in the step after
     its activation; of several successful activators one is drawn per world by hash, and the new opinion
     is the mean of the own one and the activator's, turned round with probability 1 - phi."""
     active, n = stored_with_count(starts(g, seeds, worlds), "active")
     front, edges = active, g.edges.select("u", "v", "p", "phi")
     own = g.nodes.select(F.col("id").alias("v"), "o")
-    for t in range(1, max_steps + 1):
+    for t in _steps(max_steps):
         if not n:
             break
         tried = edges.join(small(front.select("run", "world", F.col("id").alias("u"), "o_final"), n), "u").where(u01("ic", seed, F.col("world"), F.col("u"), F.col("v"), mode=mode) < F.col("p"))
@@ -46,11 +60,11 @@ def cascade_ic(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
         won = fresh.groupBy("run", "world", "v").agg(F.min(pick).alias("w")).join(own, "v")
         new = won.select("run", "world", F.col("v").alias("id"), F.lit(t).alias("step"), F.col("w.u").alias("parent"), ((F.col("o") + F.col("w.turn")) / 2).alias("o_final"))
         front, n = stored_with_count(new, "front")
-        active = active.union(front)
+        active = _joined(active, front, t)
     return active.select(*ACT)
 
 
-def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1, max_steps: int = 50, mode: str = "xxhash", interaction: bool = True, thresholds: str = "world") -> DataFrame:
+def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1, max_steps: int | None = None, mode: str = "xxhash", interaction: bool = True, thresholds: str = "world") -> DataFrame:
     """Linear threshold: a node fires when the weights of its active in-neighbours reach its threshold
     (drawn per world, or the node's ``theta``). Its opinion is the mean of its own and the average
     turned opinion of all in-neighbours active before. Pressure and opinion sums are kept per node, so a
@@ -59,7 +73,7 @@ def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
     front, edges = active, g.edges.select("u", "v", "w", "phi")
     own = g.nodes.select(F.col("id").alias("v"), "o", "theta")
     held = None
-    for t in range(1, max_steps + 1):
+    for t in _steps(max_steps):
         if not n:
             break
         push = edges.join(small(front.select("run", "world", F.col("id").alias("u"), "o_final"), n), "u").join(active.select("run", "world", F.col("id").alias("v")), ["run", "world", "v"], "left_anti")
@@ -72,7 +86,7 @@ def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
         new = judged.where("fires").select("run", "world", F.col("v").alias("id"), F.lit(t).alias("step"), "parent", ((F.col("o") + F.col("turn") / F.col("c")) / 2).alias("o_final"))
         held = judged.where("not fires").select("run", "world", "v", "w", "turn", "c", "parent")
         front, n = stored_with_count(new, "front")
-        active = active.union(front)
+        active = _joined(active, front, t)
     return active.select(*ACT)
 
 
@@ -92,20 +106,20 @@ def sample_worlds(g: InfluenceGraph, worlds: int, seed: int = 1, mode: str = "xx
     return rows.where(u01("ic", seed, F.col("world"), F.col("u"), F.col("v"), mode=mode) < F.col("p")).select("world", "u", "v")
 
 
-def cascade_worlds(g: InfluenceGraph, seeds: DataFrame, kept: DataFrame, worlds: int, max_steps: int = 50) -> DataFrame:
+def cascade_worlds(g: InfluenceGraph, seeds: DataFrame, kept: DataFrame, worlds: int, max_steps: int | None = None) -> DataFrame:
     """(run, world, id, step): what the seeds reach along the kept arcs (world, u, v)."""
     active, n = stored_with_count(starts(g, seeds, worlds).select("run", "world", "id", "step"), "active")
     front = active
-    for t in range(1, max_steps + 1):
+    for t in _steps(max_steps):
         if not n:
             break
         ahead = kept.join(small(front.select("run", "world", F.col("id").alias("u")), n), ["world", "u"]).select("run", "world", F.col("v").alias("id")).distinct()
         front, n = stored_with_count(ahead.join(active, ["run", "world", "id"], "left_anti").select("run", "world", "id", F.lit(t).alias("step")), "front")
-        active = active.union(front)
+        active = _joined(active, front, t)
     return active
 
 
-def reach_bits(g: InfluenceGraph, seeds: DataFrame, blocks: int = 1, seed: int = 1, max_steps: int = 50, mode: str = "xxhash") -> DataFrame:
+def reach_bits(g: InfluenceGraph, seeds: DataFrame, blocks: int = 1, seed: int = 1, max_steps: int | None = None, mode: str = "xxhash") -> DataFrame:
     """(run, block, id, bits): 64 independent-cascade worlds in one integer; bit b of block k is world
     64 * k + b, with the same coins as the row-wise cascade. Arc masks are computed once."""
     coins = F.lit(0).cast("long")
@@ -117,7 +131,7 @@ def reach_bits(g: InfluenceGraph, seeds: DataFrame, blocks: int = 1, seed: int =
     masks, _ = stored_with_count(arcs.select("block", "u", "v", coins.alias("mask")).where("mask <> 0"), "masks")
     run = F.col("run").cast("long") if "run" in seeds.columns else F.lit(0).cast("long")
     state, n = stored_with_count(seeds.select(run.alias("run"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.col("id").cast("long").alias("id"), F.lit(-1).cast("long").alias("bits"), F.lit(-1).cast("long").alias("new")), "bits")
-    for _ in range(max_steps):
+    for _ in _steps(max_steps):
         front = state.where("new <> 0").select("run", "block", F.col("id").alias("u"), "new")
         ahead = masks.join(front, ["block", "u"]).select("run", "block", F.col("v").alias("id"), F.col("new").bitwiseAND(F.col("mask")).alias("got")).where("got <> 0")
         got = ahead.groupBy("run", "block", "id").agg(F.bit_or("got").alias("got"))

@@ -248,18 +248,19 @@ def profile(g: InfluenceGraph, hops: int = 4) -> DataFrame:
     return out.join(F.broadcast(base)).select("nodes", "arcs", F.round(F.col("arcs") / F.col("nodes"), 6).alias("avg_degree"), "hops", F.col("n").alias("pairs"))
 
 
-def profile_sketch(g: InfluenceGraph, hops: int = 6, share: float = 0.9) -> DataFrame:
+def profile_sketch(g: InfluenceGraph, share: float = 0.9) -> DataFrame:
     """Approximate 90-percentile diameter: every node's neighbourhood as a mergeable distinct-count
-    sketch, united along arcs once a hop; interpolated where the pair count passes ``share``."""
+    sketch, united along arcs once a hop until the pair count stays the same; interpolated where it passes
+    ``share``."""
     state = g.nodes.select("id", "id").toDF("id", "k").groupBy("id").agg(F.hll_sketch_agg("k", F.lit(10)).alias("s"))
     totals = []
-    for h in range(hops + 1):
+    while len(totals) < 2 or totals[-1] != totals[-2]:
         state = stored(state, "sketch")
         totals.append(state.agg(F.sum(F.hll_sketch_estimate("s"))).first()[0] or 0)
         along = g.edges.join(state, F.col("v") == F.col("id")).select(F.col("u").alias("id"), "s")
         state = state.union(along).groupBy("id").agg(F.hll_union_agg("s").alias("s"))
     goal = share * totals[-1]
-    at = next((h for h in range(1, len(totals)) if totals[h] >= goal), hops)
+    at = next((h for h in range(1, len(totals)) if totals[h] >= goal), len(totals) - 1)
     gap = totals[at] - totals[at - 1]
     diameter = at - 1 + (goal - totals[at - 1]) / gap if gap else float(at)
     return g.edges.sparkSession.createDataFrame([(float(diameter), int(totals[-1]))], "diameter90 double, pairs long")

@@ -30,7 +30,7 @@ def expected(per_world: DataFrame, worlds: int) -> DataFrame:
     return per_world.groupBy("run").agg((F.sum("spread") / worlds).alias("spread"), (F.coalesce(F.stddev_samp("spread"), F.lit(0.0)) / worlds**0.5).alias("stderr"))
 
 
-def simulate(g: InfluenceGraph, seeds: DataFrame, worlds: int, model: str = "ic", seed: int = 1, mode: str = "xxhash", max_steps: int = 50) -> DataFrame:
+def simulate(g: InfluenceGraph, seeds: DataFrame, worlds: int, model: str = "ic", seed: int = 1, mode: str = "xxhash", max_steps: int | None = None) -> DataFrame:
     """Activations under "ic", "lt" (opinion layer with interactions), or "oc" / "oc-ic" (the opinion
     layer without interactions over lt / ic; this model is inferred, its definition is not in the text)."""
     if model in ("ic", "oc-ic"):

@@ -18,7 +18,7 @@ from rippletide.plans.storage import stored
 SCHEMA = "workload string, model string, k int, l int, lam double, metric string, value double"
 WORLDS = 16
 MODE = "md5"
-SIM = {"worlds": WORLDS, "mode": MODE, "max_steps": 8}
+SIM = {"worlds": WORLDS, "mode": MODE}
 
 
 class Report:

@@ -59,7 +59,7 @@ _plain("graph_embedding", lambda s, d: rounded(graphs.embedding_edges(s, d), "p"
 _plain("graph_links", lambda s, d: graphs.link_edges(s, d))
 _plain("graph_copies", lambda s, d: graphs.copy_edges(s, d))
 _plain("graph_profile", lambda s, d: graphs.profile(graph(graphs.copurchase_edges(s, d)), 2))
-_plain("graph_profile_sketch", lambda s, d: graphs.profile_sketch(graph(graphs.succession_edges(s, d)).materialized(), 4))
+_plain("graph_profile_sketch", lambda s, d: graphs.profile_sketch(graph(graphs.succession_edges(s, d)).materialized()))
 _plain("graph_violations", lambda s, d: graphs.violations(base_graph(s, d)))
 _plain("graph_normalize", lambda s, d: graphs.normalize(base_graph(s, d)).edges)
 _plain("symmetrize", lambda s, d: graphs.symmetrize(graphs.succession_edges(s, d).select("u", "v")))
@@ -121,7 +121,7 @@ def _cascade(name: str, run: Callable[[InfluenceGraph, DataFrame], DataFrame], p
     REGISTRY[name] = make
 
 
-KW = {"worlds": 8, "max_steps": 4, "mode": MODE}
+KW = {"worlds": 8, "mode": MODE}
 _cascade("cascade_ic", lambda g, k: diffusion.cascade_ic(g, k, **KW))
 _cascade("cascade_wc", lambda g, k: diffusion.cascade_ic(g, k, **KW), "wc")
 _cascade("cascade_lt", lambda g, k: diffusion.cascade_lt(g, k, **KW))
@@ -136,13 +136,13 @@ _plain("sample_worlds", lambda s, d: diffusion.sample_worlds(base_graph(s, d), 4
 @query
 def cascade_live_edge(s: SparkSession, d: str) -> DataFrame:
     g = base_graph(s, d)
-    return diffusion.cascade_worlds(g, top(g), diffusion.live_edges(g, 8, mode=MODE), 8, 4).select("world", "id")
+    return diffusion.cascade_worlds(g, top(g), diffusion.live_edges(g, 8, mode=MODE), 8).select("world", "id")
 
 
 @query
 def reach_bits(s: SparkSession, d: str) -> DataFrame:
     g = base_graph(s, d)
-    return diffusion.reach_bits(g, top(g), 1, max_steps=4, mode=MODE).select("id", F.bit_count("bits").cast("long").alias("worlds")).where("worlds > 0")
+    return diffusion.reach_bits(g, top(g), 1, mode=MODE).select("id", F.bit_count("bits").cast("long").alias("worlds")).where("worlds > 0")
 
 
 def _act(s: SparkSession, d: str) -> DataFrame:

@@ -133,3 +133,21 @@ def test_simple_path_greedy_goes_on_to_the_next_block(spark):
     want = [(1, 11.0), (2, 15.0)]
     assert [(r["id"], r["score"]) for r in baselines.simpath_seeds(g, 2, max_len=4, block=2).orderBy("rank").collect()] == want
     assert [(r["id"], r["score"]) for r in baselines.simpath_seeds(g, 2, max_len=4).orderBy("rank").collect()] == want
+
+
+def test_registered_cascades_run_to_the_end_of_a_chain(spark, monkeypatch):
+    rows = [(0, k, 1.0) for k in (1, 21, 22)] + [(k, k + 1, 1.0) for k in range(1, 20)]
+    edges = spark.createDataFrame([(u, v, p, p, 1.0) for u, v, p in rows], "u long, v long, p double, w double, phi double")
+    g = graphs.InfluenceGraph(spark.createDataFrame([(i, 1.0, 0.5) for i in range(23)], "id long, o double, theta double"), edges).materialized()
+    monkeypatch.setattr(workloads, "base_graph", lambda *_: g)
+    monkeypatch.setattr(workloads, "top", lambda *_: spark.createDataFrame([(0,)], "id long"))
+    for name in ("cascade_ic", "cascade_lt", "cascade_live_edge", "reach_bits"):
+        assert {r["id"] for r in workloads.REGISTRY[name](spark, "").collect()} == set(range(23))
+    assert workloads.REGISTRY["expected_spread"](spark, "").first()["spread"] == 22
+
+
+def test_sketched_diameter_of_a_chain(spark):
+    g = graph(spark.createDataFrame([(k, k + 1) for k in range(12)], "u long, v long"))
+    # 91 pairs within 12 hops, of which 81.9 are the goal: 76 within 7 hops, 81 within 8, 85 within 9.
+    got = graphs.profile_sketch(g).first()
+    assert got["pairs"] == 91 and got["diameter90"] == pytest.approx(8 + 0.9 / 4)

@@ -8,13 +8,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rippletide.functions.rng import u01
+from rippletide.operators.diffusion import joined, steps_to
 from rippletide.operators.graphs import InfluenceGraph
 from rippletide.operators.scores import simple_paths
 from rippletide.operators.seeds import SEEDS
 from rippletide.plans.storage import stored, stored_with_count
 
 
-def rr_sets(g: InfluenceGraph, count: int, offset: int = 0, seed: int = 1, max_steps: int = 50, mode: str = "xxhash") -> DataFrame:
+def rr_sets(g: InfluenceGraph, count: int, offset: int = 0, seed: int = 1, max_steps: int | None = None, mode: str = "xxhash") -> DataFrame:
     """(rr, id): ``count`` reverse-reachable sets, each of the nodes that reach a random root in a world
     of its own. The root is the node with rank floor(draw * n) by id."""
     spark = g.nodes.sparkSession
@@ -23,12 +24,12 @@ def rr_sets(g: InfluenceGraph, count: int, offset: int = 0, seed: int = 1, max_s
     draws = spark.range(offset, offset + count).select(F.col("id").alias("rr"), F.floor(u01("root", seed, F.col("id"), mode=mode) * n).cast("long").alias("k"))
     found, size = stored_with_count(draws.join(index, "k").select("rr", "id"), "rr")
     front, edges = found, g.edges.select("u", "v", "p")
-    for _ in range(max_steps):
+    for t in steps_to(max_steps):
         if not size:
             break
         back = edges.join(front.withColumnRenamed("id", "v"), "v").where(u01("rr", seed, F.col("rr"), F.col("u"), F.col("v"), mode=mode) < F.col("p")).select("rr", F.col("u").alias("id")).distinct()
         front, size = stored_with_count(back.join(found, ["rr", "id"], "left_anti"), "rr")
-        found = found.union(front)
+        found = joined(found, front, t)
     return found
 
 
@@ -60,17 +61,21 @@ def max_cover(sets: DataFrame, k: int) -> DataFrame:
     return sets.sparkSession.createDataFrame(out, SEEDS)
 
 
+def _bounded(count: int, limit: int | None) -> int:
+    return count if limit is None else min(count, limit)
+
+
 def _log_choose(n: int, k: int) -> float:
     return lgamma(n + 1) - lgamma(k + 1) - lgamma(n - k + 1)
 
 
-def estimate_kpt(g: InfluenceGraph, k: int, ell: float = 1.0, seed: int = 1, max_rr: int = 200_000, **kw) -> tuple[float, DataFrame | None]:
+def estimate_kpt(g: InfluenceGraph, k: int, ell: float = 1.0, seed: int = 1, max_rr: int | None = None, **kw) -> tuple[float, DataFrame | None]:
     """Lower estimate of the best spread of k seeds from the widths of ever more sampled sets."""
     n, m = g.nodes.count(), g.edges.count()
     indeg = g.edges.groupBy(F.col("v").alias("id")).agg(F.count(F.lit(1)).alias("d"))
     sets = None
     for i in range(1, max(2, int(log2(max(n, 2))))):
-        count = min(max_rr, ceil((6 * ell * log(max(n, 2)) + 6 * log(max(log2(max(n, 2)), 2))) * 2**i))
+        count = _bounded(ceil((6 * ell * log(max(n, 2)) + 6 * log(max(log2(max(n, 2)), 2))) * 2**i), max_rr)
         sets = rr_sets(g, count, seed=seed * 1000 + i, **kw)
         widths = sets.join(indeg, "id", "left").groupBy("rr").agg(F.sum(F.coalesce("d", F.lit(0))).alias("w"))
         kappa = widths.agg(F.avg(1 - F.pow(1 - F.col("w") / m, k))).first()[0] or 0.0
@@ -81,24 +86,24 @@ def estimate_kpt(g: InfluenceGraph, k: int, ell: float = 1.0, seed: int = 1, max
     return 1.0, sets
 
 
-def refine_kpt(g: InfluenceGraph, k: int, kpt: float, sets: DataFrame, eps: float, ell: float = 1.0, seed: int = 1, max_rr: int = 200_000, **kw) -> float:
+def refine_kpt(g: InfluenceGraph, k: int, kpt: float, sets: DataFrame, eps: float, ell: float = 1.0, seed: int = 1, max_rr: int | None = None, **kw) -> float:
     n = g.nodes.count()
     e = 5 * (ell * eps**2 / (k + ell)) ** (1 / 3)
     picked = max_cover(sets, k).select("id")
-    count = min(max_rr, ceil((2 + e) * ell * n * log(max(n, 2)) / (e**2 * kpt)))
+    count = _bounded(ceil((2 + e) * ell * n * log(max(n, 2)) / (e**2 * kpt)), max_rr)
     fresh = rr_sets(g, count, seed=seed * 1000 + 777, **kw)
     share = fresh.join(F.broadcast(picked), "id", "left_semi").select("rr").distinct().count() / count
     return max(kpt, share * n / (1 + e))
 
 
-def rr_seeds(g: InfluenceGraph, k: int, eps: float = 0.1, ell: float = 1.0, seed: int = 1, max_rr: int = 200_000, **kw) -> tuple[DataFrame, dict]:
+def rr_seeds(g: InfluenceGraph, k: int, eps: float = 0.1, ell: float = 1.0, seed: int = 1, max_rr: int | None = None, **kw) -> tuple[DataFrame, dict]:
     """Seeds by reverse-reachable sampling, and a report: the estimates, how many sets the guarantee
-    asks for, how many were drawn (``max_rr`` bounds it) and whether that truncated it."""
+    asks for, how many were drawn (all, unless ``max_rr`` is given) and whether that truncated it."""
     n = g.nodes.count()
     kpt, sets = estimate_kpt(g, k, ell, seed, max_rr, **kw)
     plus = refine_kpt(g, k, kpt, sets, eps, ell, seed, max_rr, **kw) if sets is not None else kpt
     wanted = ceil((8 + 2 * eps) * n * (ell * log(max(n, 2)) + _log_choose(n, min(k, n)) + log(2)) / (eps**2 * plus))
-    drawn = min(wanted, max_rr)
+    drawn = _bounded(wanted, max_rr)
     chosen = max_cover(rr_sets(g, drawn, seed=seed, **kw), k)
     return chosen, {"kpt": kpt, "kpt_plus": plus, "wanted": wanted, "drawn": drawn, "truncated": wanted > drawn}
 

@@ -20,11 +20,11 @@ from rippletide.plans.storage import small, stored, stored_with_count
 ACT = ["run", "world", "id", "step", "parent", "o_final"]
 
 
-def _steps(max_steps: int | None) -> Iterable[int]:
+def steps_to(max_steps: int | None) -> Iterable[int]:
     return count(1) if max_steps is None else range(1, max_steps + 1)
 
 
-def _joined(active: DataFrame, front: DataFrame, t: int) -> DataFrame:
+def joined(active: DataFrame, front: DataFrame, t: int) -> DataFrame:
     """All activations so far, stored anew now and then so that the plan of a deep cascade stays short."""
     both = active.union(front)
     return both if t % 16 else stored(both, "active")
@@ -51,7 +51,7 @@ def cascade_ic(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
     active, n = stored_with_count(starts(g, seeds, worlds), "active")
     front, edges = active, g.edges.select("u", "v", "p", "phi")
     own = g.nodes.select(F.col("id").alias("v"), "o")
-    for t in _steps(max_steps):
+    for t in steps_to(max_steps):
         if not n:
             break
         tried = edges.join(small(front.select("run", "world", F.col("id").alias("u"), "o_final"), n), "u").where(u01("ic", seed, F.col("world"), F.col("u"), F.col("v"), mode=mode) < F.col("p"))
@@ -60,7 +60,7 @@ def cascade_ic(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
         won = fresh.groupBy("run", "world", "v").agg(F.min(pick).alias("w")).join(own, "v")
         new = won.select("run", "world", F.col("v").alias("id"), F.lit(t).alias("step"), F.col("w.u").alias("parent"), ((F.col("o") + F.col("w.turn")) / 2).alias("o_final"))
         front, n = stored_with_count(new, "front")
-        active = _joined(active, front, t)
+        active = joined(active, front, t)
     return active.select(*ACT)
 
 
@@ -73,7 +73,7 @@ def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
     front, edges = active, g.edges.select("u", "v", "w", "phi")
     own = g.nodes.select(F.col("id").alias("v"), "o", "theta")
     held = None
-    for t in _steps(max_steps):
+    for t in steps_to(max_steps):
         if not n:
             break
         push = edges.join(small(front.select("run", "world", F.col("id").alias("u"), "o_final"), n), "u").join(active.select("run", "world", F.col("id").alias("v")), ["run", "world", "v"], "left_anti")
@@ -86,7 +86,7 @@ def cascade_lt(g: InfluenceGraph, seeds: DataFrame, worlds: int, seed: int = 1,
         new = judged.where("fires").select("run", "world", F.col("v").alias("id"), F.lit(t).alias("step"), "parent", ((F.col("o") + F.col("turn") / F.col("c")) / 2).alias("o_final"))
         held = judged.where("not fires").select("run", "world", "v", "w", "turn", "c", "parent")
         front, n = stored_with_count(new, "front")
-        active = _joined(active, front, t)
+        active = joined(active, front, t)
     return active.select(*ACT)
 
 
@@ -110,12 +110,12 @@ def cascade_worlds(g: InfluenceGraph, seeds: DataFrame, kept: DataFrame, worlds:
     """(run, world, id, step): what the seeds reach along the kept arcs (world, u, v)."""
     active, n = stored_with_count(starts(g, seeds, worlds).select("run", "world", "id", "step"), "active")
     front = active
-    for t in _steps(max_steps):
+    for t in steps_to(max_steps):
         if not n:
             break
         ahead = kept.join(small(front.select("run", "world", F.col("id").alias("u")), n), ["world", "u"]).select("run", "world", F.col("v").alias("id")).distinct()
         front, n = stored_with_count(ahead.join(active, ["run", "world", "id"], "left_anti").select("run", "world", "id", F.lit(t).alias("step")), "front")
-        active = _joined(active, front, t)
+        active = joined(active, front, t)
     return active
 
 
@@ -131,7 +131,7 @@ def reach_bits(g: InfluenceGraph, seeds: DataFrame, blocks: int = 1, seed: int =
     masks, _ = stored_with_count(arcs.select("block", "u", "v", coins.alias("mask")).where("mask <> 0"), "masks")
     run = F.col("run").cast("long") if "run" in seeds.columns else F.lit(0).cast("long")
     state, n = stored_with_count(seeds.select(run.alias("run"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("block"), F.col("id").cast("long").alias("id"), F.lit(-1).cast("long").alias("bits"), F.lit(-1).cast("long").alias("new")), "bits")
-    for _ in _steps(max_steps):
+    for _ in steps_to(max_steps):
         front = state.where("new <> 0").select("run", "block", F.col("id").alias("u"), "new")
         ahead = masks.join(front, ["block", "u"]).select("run", "block", F.col("v").alias("id"), F.col("new").bitwiseAND(F.col("mask")).alias("got")).where("got <> 0")
         got = ahead.groupBy("run", "block", "id").agg(F.bit_or("got").alias("got"))

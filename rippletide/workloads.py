@@ -180,8 +180,8 @@ _seeds("mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, **KW))
 _seeds("opinion_mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", **KW))
 _seeds("oc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", model="oc", **KW))
 _seeds("lazy_greedy_k2", lambda g: seeds.lazy_greedy_seeds(g, 2, **KW))
-_seeds("rr_cover_k3", lambda g: baselines.max_cover(baselines.rr_sets(g, 200, max_steps=4, mode=MODE), 3), "wc")
-_seeds("rr_seeds", lambda g: baselines.rr_seeds(g, 3, eps=0.5, max_rr=2000, mode=MODE, max_steps=6)[0], "wc")
+_seeds("rr_cover_k3", lambda g: baselines.max_cover(baselines.rr_sets(g, 200, mode=MODE), 3), "wc")
+_seeds("rr_seeds", lambda g: baselines.rr_seeds(g, 3, eps=0.5, mode=MODE)[0], "wc")
 _seeds("influence_rank", lambda g: baselines.influence_rank(g, rounds=5))
 _seeds("influence_rank_seeds_k2", lambda g: baselines.influence_rank_seeds(g, 2, rounds=5))
 _seeds("simpath_k2", lambda g: baselines.simpath_seeds(g, 2, eta=0.05, max_len=4))

@@ -151,3 +151,17 @@ def test_sketched_diameter_of_a_chain(spark):
     # 91 pairs within 12 hops, of which 81.9 are the goal: 76 within 7 hops, 81 within 8, 85 within 9.
     got = graphs.profile_sketch(g).first()
     assert got["pairs"] == 91 and got["diameter90"] == pytest.approx(8 + 0.9 / 4)
+
+
+def test_registered_reverse_sets_reach_the_start_of_a_chain(spark, monkeypatch):
+    edges = spark.createDataFrame([(k, k + 1) for k in range(12)], "u long, v long")
+    g = params.assign_ic(graph(edges), 1.0).materialized()
+    monkeypatch.setattr(workloads, "base_graph", lambda *_: g)
+    assert [(r["id"], r["score"]) for r in workloads.REGISTRY["rr_cover_k3"](spark, "").collect()] == [(0, 200.0)]
+    assert [r["id"] for r in workloads.REGISTRY["rr_seeds"](spark, "").collect()] == [0]
+
+
+def test_reverse_sampling_draws_what_the_bound_asks_for(spark):
+    g = params.assign_ic(graph(spark.createDataFrame([(k, k + 1000) for k in range(400)], "u long, v long")), 0.1).materialized()
+    report = baselines.rr_seeds(g, 1, eps=0.1)[1]
+    assert report["drawn"] == report["wanted"] > 200_000 and not report["truncated"]

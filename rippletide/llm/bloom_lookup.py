@@ -1,8 +1,9 @@
 """Document fingerprints as invertible Bloom lookup sketches, in built-in expressions only.
 
-A text's units are its distinct paragraphs: pieces that end at a line feed, or after ``.``, ``!`` or
-``?`` and white space where the next letter is one of A to F (a cut that depends on content alone, so
-that a long line also has several). A unit's digest is 40 hash bits followed by 22 check bits of those,
+A text's units are its distinct sentences: pieces that end at a line feed or at a sentence end. A piece
+of more than ``LONG`` characters is cut again where the hash of the last four characters says so, once
+in ``MEAN`` on average; both cuts depend on content alone, so that an edit changes only the units it
+touches. A unit's digest is 40 hash bits followed by 22 check bits of those,
 and falls in one cell of each of ``TABLES`` sub-tables; a cell holds the XOR of its digests. Two
 sketches subtract by XOR, cell by cell; digests in both vanish, and peeling (a cell whose check bits
 fit holds a single digest, which is then taken out of its other cells) recovers the digests that only
@@ -28,7 +29,8 @@ TABLES, BASE = 3, 16
 RETRIES, ROUNDS = 5, 24
 MAX_BLOCKS = 8192
 CHECK_BITS = 22
-UNIT_END = r"(?<=\n)|(?<=[.!?]\s)(?=[A-F])"
+UNIT_END = r"""(?<=\n)|(?<=[.!?]["'”’»)\]]?\s)|(?<=[。！？])"""
+LONG, MEAN = 400, 64
 
 
 def _let(value: Column, use) -> Column:
@@ -40,9 +42,22 @@ def _check(hashed: Column) -> Column:
     return F.xxhash64(hashed).bitwiseAND(F.lit((1 << CHECK_BITS) - 1))
 
 
+def _cut(piece: Column) -> Column:
+    """The parts of a long piece, which end where the hash of four characters is a multiple of ``MEAN``."""
+
+    def parts(chars: Column) -> Column:
+        n = F.size(chars)
+        marked = lambda i: F.pmod(F.xxhash64(*[F.get(chars, i - k) for k in (4, 3, 2, 1)]), F.lit(MEAN)) == 0
+        ends = F.concat(F.filter(F.sequence(F.lit(4), n - 1), marked), F.array(n))
+        return _let(ends, lambda e: F.transform(e, lambda end, k: _let(F.when(k == 0, 0).otherwise(F.get(e, k - 1)), lambda begin: F.concat_ws("", F.slice(chars, begin + 1, end - begin)))))
+
+    return _let(F.split(piece, "", -1), parts)
+
+
 def unit_digests(text: Column) -> Column:
     """Sorted distinct digests of the units of a text."""
-    units = F.filter(F.split(text, UNIT_END, -1), lambda u: u != "")
+    pieces = F.split(text, UNIT_END, -1)
+    units = F.filter(F.flatten(F.transform(pieces, lambda u: F.when(F.length(u) > LONG, _cut(u)).otherwise(F.array(u)))), lambda u: u != "")
     hashed = F.transform(units, lambda u: F.xxhash64(u).bitwiseAND(F.lit((1 << 40) - 1)))
     return F.array_sort(F.array_distinct(F.transform(hashed, lambda h: F.shiftleft(h, CHECK_BITS).bitwiseOR(_check(h)))))
 

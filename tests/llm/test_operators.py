@@ -186,6 +186,15 @@ def test_fingerprints(spark, corpus):
     assert got[0]["fingerprint"] == got[30]["fingerprint"]
 
 
+def test_fingerprints_keep_likeness_of_single_lines(spark):
+    rng = np.random.default_rng(5)
+    words = ["".join(rng.choice(list("abcdefghij"), rng.integers(2, 9))) for _ in range(400)]
+    lower = ". ".join(" ".join(words[k : k + 8]) for k in range(0, 400, 8))
+    rows = [(1, "tail " * 9, "s"), (2, lower, "s"), (3, " ".join(words), "s"), (4, "".join(words), "s"), (5, "漢字仮名交文" + "".join(map(chr, rng.integers(0x4E00, 0x9FA5, 1500))), "s")]
+    got = {r["doc_id"]: r["near_edited"] for r in fingerprints(docs(spark, rows)).collect()}
+    assert all(got[k] > 0.15 for k in (2, 3, 4, 5))
+
+
 def test_top_k_ties_and_bad_rows(spark):
     rows = [(50, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, [0.5, 0.0]), (4, None), (5, [float("nan"), 1.0]), (6, [1.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")

@@ -122,14 +122,13 @@ def w08_penalty(s: SparkSession, d: str) -> DataFrame:
 
 
 def w09_length_opinion(s: SparkSession, d: str) -> DataFrame:
-    """Opinion spread over path length, against the simulated greedy on the best candidates."""
+    """Opinion spread over path length, against the simulated greedy over all nodes."""
     r, g = Report(s, "w09"), params.opinions_normal(_base(s, d), mode=MODE)
     g = g.materialized()
     for length in (1, 3, 5):
         chosen = r.timed(lambda n=length: seeds.score_greedy_seeds(g, 3, n, True, "seed"), model="walk", k=3, length=length)
         r.add("opinion_spread", _value(g, chosen, "opinion"), "walk", 3, length)
-    pool = [x["id"] for x in scores.score_topk(scores.opinion_walk_score(g, 3), 10).collect()]
-    chosen = r.timed(lambda: seeds.mc_greedy_seeds(g, 3, objective="opinion", candidates=pool, **SIM), model="greedy", k=3)
+    chosen = r.timed(lambda: seeds.mc_greedy_seeds(g, 3, objective="opinion", **SIM), model="greedy", k=3)
     r.add("opinion_spread", _value(g, chosen, "opinion"), "greedy", 3)
     return r.table()
 
@@ -160,12 +159,12 @@ def w14_length_oblivious(s: SparkSession, d: str) -> DataFrame:
 def w15_baselines(s: SparkSession, d: str) -> DataFrame:
     """Spread and seconds of the walk score against the competitors, and the deviation from the best."""
     r, g = Report(s, "w15"), _base(s, d, "suc", "wc")
-    pool = [x["id"] for x in seeds.degree_seeds(g, 10).collect()]
     runs = {
         "walk": lambda: seeds.score_greedy_seeds(g, 3, 3, discount="seed"),
-        "lazy": lambda: seeds.lazy_greedy_seeds(g, 3, candidates=pool, **SIM),
-        "rr": lambda: baselines.max_cover(baselines.rr_sets(g, 500, mode=MODE, max_steps=8), 3),
-        "rank": lambda: scores.score_topk(baselines.influence_rank(g, rounds=5), 3),
+        "lazy": lambda: seeds.lazy_greedy_seeds(g, 3, **SIM),
+        "rr": lambda: baselines.rr_seeds(g, 3, mode=MODE)[0],
+        "rank": lambda: baselines.influence_rank_seeds(g, 3),
+        "simpath": lambda: baselines.simpath_seeds(g, 3),
         "degree": lambda: seeds.degree_seeds(g, 3),
         "random": lambda: seeds.random_seeds(g, 3, mode=MODE),
     }

@@ -3,7 +3,7 @@
 import pytest
 from pyspark.sql import functions as F
 
-from rippletide import workloads
+from rippletide import reports, workloads
 from rippletide.operators import baselines, diffusion, errors, graphs, params, scores, seeds, spread
 from rippletide.operators.graphs import graph
 
@@ -165,3 +165,25 @@ def test_reverse_sampling_draws_what_the_bound_asks_for(spark):
     g = params.assign_ic(graph(spark.createDataFrame([(k, k + 1000) for k in range(400)], "u long, v long")), 0.1).materialized()
     report = baselines.rr_seeds(g, 1, eps=0.1)[1]
     assert report["drawn"] == report["wanted"] > 200_000 and not report["truncated"]
+
+
+def test_length_report_searches_all_nodes(spark, monkeypatch):
+    seen = []
+    g = params.assign_ic(graph(spark.createDataFrame([(k, k + 20) for k in range(12)], "u long, v long")), 1.0).materialized()
+    monkeypatch.setattr(reports, "_base", lambda *_: g)
+    monkeypatch.setattr(reports, "_value", lambda *_: 0.0)
+    monkeypatch.setattr(reports.seeds, "score_greedy_seeds", lambda *_, **__: spark.range(1))
+    monkeypatch.setattr(reports.seeds, "mc_greedy_seeds", lambda *_, **kw: seen.append(kw.get("candidates")) or spark.range(1))
+    reports.w09_length_opinion(spark, "")
+    assert seen == [None]
+
+
+def test_comparison_report_runs_the_real_baselines(spark, monkeypatch):
+    seen = {}
+    monkeypatch.setattr(reports, "_base", lambda *_: graph(spark.createDataFrame([(1, 2)], "u long, v long")))
+    monkeypatch.setattr(reports, "_value", lambda *_: 1.0)
+    for module, names in ((reports.seeds, ["score_greedy_seeds", "lazy_greedy_seeds", "degree_seeds", "random_seeds"]), (reports.baselines, ["rr_seeds", "influence_rank_seeds", "simpath_seeds"])):
+        for name in names:
+            monkeypatch.setattr(module, name, lambda *_, name=name, **kw: seen.update({name: kw}) or ((spark.range(1), {}) if name == "rr_seeds" else spark.range(1)))
+    reports.w15_baselines(spark, "")
+    assert "candidates" not in seen["lazy_greedy_seeds"] and {"rr_seeds", "influence_rank_seeds", "simpath_seeds"} <= set(seen)

@@ -9,26 +9,49 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _OWN: list[str] = []
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 #: Largest number of rows that a side may have to be broadcast after a count.
 BROADCAST_ROWS = 200_000
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a local folder only where none is set (tests)."""
+    """``spark.checkpoint.dir`` of the session. Only a local master (tests) may do without it."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
+        if not spark.sparkContext.master.split("[")[0] == "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         if not _OWN:
             _OWN.append("file://" + tempfile.mkdtemp(prefix="rippletide-"))
         root = _OWN[0]
     return root.rstrip("/")
 
 
+def fresh_path(spark: SparkSession, label: str) -> str:
+    return f"{shared_dir(spark)}/rippletide/{label}-{uuid.uuid4().hex}"
+
+
 def stored(df: DataFrame, label: str = "step") -> DataFrame:
-    """Written as Parquet and read back: lineage ends here and lost executors re-read."""
-    path = f"{shared_dir(df.sparkSession)}/rippletide/{label}-{uuid.uuid4().hex}"
-    schema = df.schema
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(schema).parquet(path)
+    """Written as Parquet and read back: lineage ends here and lost executors re-read. The write's own
+    shuffle files go with it: a setting that holds for this one write."""
+    spark = df.sparkSession
+    path, schema = fresh_path(spark, label), df.schema
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
+    out = spark.read.schema(schema).parquet(path)
+    out.stored_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete stored tables that nothing reads any more, because all that came from them is stored."""
+    for df in tables:
+        spark = df.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(df.stored_at)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def stored_with_count(df: DataFrame, label: str = "step") -> tuple[DataFrame, int]:

@@ -1,50 +1,5 @@
 """Intermediate tables in the folder that driver and executors share."""
 
-from __future__ import annotations
+from rippletide.plans.storage import discard, fresh_path, shared_dir, stored
 
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_OWN: list[str] = []
-BATCH_ROWS = 1000
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; a local folder only where none is set (tests)."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        if not _OWN:
-            _OWN.append("file://" + tempfile.mkdtemp(prefix="rippletide-"))
-        root = _OWN[0]
-    return root.rstrip("/")
-
-
-def fresh_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/rippletide/{label}-{uuid.uuid4().hex}"
-
-
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` as Parquet under the shared folder and read it back: cuts lineage, and a
-    lost executor costs a re-read, not a recomputation."""
-    spark = df.sparkSession
-    path = fresh_path(spark, label)
-    schema = df.schema
-    # Small Arrow batches: what a Python task holds at a time is some rows' texts, not 10,000 rows'.
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
-    df.write.parquet(path)
-    # The write's shuffle files go once the JVM driver collects its plan; say so now, else they
-    # pile up on executors' disks until its heap happens to fill.
-    spark.sparkContext._jvm.System.gc()
-    out = spark.read.schema(schema).parquet(path)
-    out.stored_at = path
-    return out
-
-
-def discard(*tables: DataFrame) -> None:
-    """Delete stored tables that nothing reads any more, because all that came from them is stored."""
-    for df in tables:
-        spark = df.sparkSession
-        path = spark._jvm.org.apache.hadoop.fs.Path(df.stored_at)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+__all__ = ["discard", "fresh_path", "shared_dir", "stored"]

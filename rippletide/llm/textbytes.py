@@ -85,7 +85,7 @@ class Words:
     def __init__(self, data: np.ndarray, offsets: np.ndarray, lower: bool = False, separator: np.ndarray = IS_SPACE) -> None:
         lo, hi = int(offsets[0]), int(offsets[-1])
         self.raw = data[lo:hi]
-        at = offsets - lo
+        self.at = at = offsets - lo
         n = hi - lo
         inside = ~separator[self.raw]
         first = np.zeros(n + 1, bool)
@@ -106,6 +106,25 @@ class Words:
         self.sums, self.down = sums, down
         self.hashes = mix((sums[ends] - sums[starts]) * down[starts]) if len(starts) else np.zeros(0, np.uint64)
 
+    def joined(self, keep: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """Bytes of each row's words (or of those that ``keep`` marks) with one space between, and where
+        each row's begin."""
+        starts, ends, cut = self.starts, self.ends, self.row_words
+        if keep is not None:
+            kept = np.flatnonzero(keep)
+            starts, ends, cut = starts[kept], ends[kept], np.searchsorted(kept, cut)
+        edge = np.zeros(len(self.raw) + 1, np.int8)
+        edge[starts] += 1
+        edge[ends] -= 1
+        inside = np.cumsum(edge[:-1], dtype=np.int8).view(bool)
+        followed = np.ones(len(starts), bool)
+        followed[cut[1:][np.diff(cut) > 0] - 1] = False
+        gaps = ends[followed]
+        inside[gaps] = True
+        out = self.raw.copy()
+        out[gaps] = 0x20
+        return out[inside], np.concatenate([[0], np.cumsum(inside)])[self.at]
+
     def prefix_hashes(self, n: int) -> np.ndarray:
         """Hash of the first n bytes of each word (all of a shorter one)."""
         if not len(self.starts):

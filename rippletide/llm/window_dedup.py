@@ -5,16 +5,19 @@ over the row, so each further window costs two subtractions' worth of work. A wo
 window covering it has a word sequence that also starts in a document of smaller id; overlapping
 windows merge into maximal intervals.
 
-Shuffling every window would move several times the input, so two exact steps narrow them first.
+Shuffling every window would move several times the input, so exact steps narrow them first.
 (1) Rows of equal word sequences keep one representative, the smallest id: every window of the
 others repeats there. (2) Each window is represented by its least ``ANCHOR``-word hash; equal windows
-have equal anchors, so a window whose anchor occurs in one document only cannot repeat. (3) Runs of
-windows that share an anchor are matched as a whole first: where a smaller id has the same run, all of
-it goes; only runs of their smallest holder are matched window by window. Keys are anchor and hash
-together (128 bits).
+have equal anchors, so a window whose anchor occurs in one document only cannot repeat. The anchors
+that occur in several are a bitmap of fixed size, by which a scan emits windows; those it passes
+wrongly find no equal. (3) Runs of windows that share an anchor are matched as a whole first: where a
+smaller id has the same run, all of it goes; only runs of their smallest holder are matched window by
+window. Keys are anchor and hash together (128 bits). Texts are shuffled only where words go.
+
+A task holds one Arrow batch and the arrays of about a megabyte of text (of one text, if longer).
 
 Defined results: null text has no words; rows with a null doc_id keep all their words and remove
-none elsewhere; rows repeating a doc_id never remove each other's words.
+none elsewhere; rows repeating a doc_id never remove each other's words; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,9 +32,11 @@ from pyspark.sql import functions as F
 
 from rippletide.llm.idbits import id_bitmap, maybe_in
 from rippletide.llm.scratch import discard, stored
+from rippletide.llm.skew import join_by_count
 from rippletide.llm.textbytes import _POWERS, Words, list_column, mix, row_chunks, signed, text_buffer
 
 WINDOW, ANCHOR = 13, 5
+ANCHOR_BITS = 26
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 
 
@@ -60,31 +65,31 @@ class Windows:
         return mix((self.sums[b] - self.sums[a]) * self.down[a] + (b - a).astype(np.uint64))
 
 
-def _plain(data: np.ndarray, offsets: np.ndarray, k: int) -> list[bytes]:
-    return data[offsets[k] : offsets[k + 1]].tobytes().split()
+def _digests(words: Words) -> list:
+    """SHA-256 of each row's words joined by one space."""
+    text, at = words.joined()
+    view = memoryview(text)
+    return [hashlib.sha256(view[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
 
 
-def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        data, offsets = text_buffer(batch.column(1))
-        words = [_plain(data, offsets, k) for k in range(batch.num_rows)]
-        sha = [hashlib.sha256(b" ".join(w)) for w in words]
-        half = np.frombuffer(b"".join(s.digest()[:16] for s in sha), np.int64).reshape(-1, 2)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array([len(w) for w in words], pa.int64()), pa.array([s.hexdigest() for s in sha], pa.string()), pa.array(half[:, 0].copy()), pa.array(half[:, 1].copy())],
-            names=["doc_id", "n_words", "sha", "d1", "d2"],
-        )
+def _mark(sha) -> int:
+    return int.from_bytes(sha.digest()[:8], "little", signed=True)
 
 
-def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Distinct anchors of each row."""
+def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Digest, number of words and distinct anchors of each row."""
     for batch in batches:
-        ids = batch.column(0).to_numpy()
         data, offsets = text_buffer(batch.column(1))
         for i, j in row_chunks(offsets):
-            w = Windows(Words(data, offsets[i : j + 1]))
+            words = Words(data, offsets[i : j + 1])
+            w = Windows(words)
+            shas = _digests(words)
+            half = np.frombuffer(b"".join(s.digest()[:16] for s in shas), np.int64).reshape(-1, 2)
             anchors = [np.unique(w.anchor[a:b]) for a, b in zip(w.row_cut[:-1], w.row_cut[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids[i:j], [len(a) for a in anchors])), pa.array(signed(np.concatenate(anchors)))], names=["doc_id", "a"])
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0).slice(i, j - i), pa.array(np.diff(words.row_words)), pa.array([s.hexdigest() for s in shas], pa.string()), pa.array(half[:, 0].copy()), pa.array(half[:, 1].copy()), list_column(signed(np.concatenate(anchors)), [len(a) for a in anchors])],
+                names=["doc_id", "n_words", "sha", "d1", "d2", "anchors"],
+            )
 
 
 def _pruned(batches: Iterator[pa.RecordBatch], bitmap: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -92,43 +97,34 @@ def _pruned(batches: Iterator[pa.RecordBatch], bitmap: np.ndarray) -> Iterator[p
         yield batch.filter(pa.array(maybe_in(bitmap, batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64))))
 
 
-def _open_runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text, anchors) to the runs of windows of each text whose anchor is listed."""
+def _open_runs(batches: Iterator[pa.RecordBatch], repeated: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(doc_id, text) to the runs of windows of each text whose anchor is in the bitmap."""
     for batch in batches:
         ids = batch.column(0).to_numpy()
         data, offsets = text_buffer(batch.column(1))
-        listed = batch.column(2)
         for i, j in row_chunks(offsets):
             words = Words(data, offsets[i : j + 1])
             w = Windows(words)
-            heads, sizes, hits, owner, marks = [], [], [], [], []
-            for k in range(i, j):
-                a, b = w.row_cut[k - i], w.row_cut[k - i + 1]
-                hit = np.flatnonzero(np.isin(w.anchor[a:b], listed[k].values.to_numpy().view(np.uint64))) + a
-                if not len(hit):
-                    continue
-                new = np.ones(len(hit), bool)
-                new[1:] = (np.diff(hit) > 1) | (w.anchor[hit[1:]] != w.anchor[hit[:-1]])
-                head = np.flatnonzero(new)
-                heads.append(hit[head])
-                sizes.append(np.diff(np.append(head, len(hit))))
-                hits.append(hit)
-                owner.append(np.full(len(head), k))
-                mark = int.from_bytes(hashlib.sha256(b" ".join(_plain(data, offsets, k))).digest()[:8], "little", signed=True)
-                marks.append(np.full(len(head), mark))
-            if not heads:
+            hit = np.flatnonzero(maybe_in(repeated, signed(w.anchor)))
+            if not len(hit):
                 continue
-            head, size, own = np.concatenate(heads), np.concatenate(sizes), np.concatenate(owner)
+            own = np.searchsorted(w.row_cut, hit, "right") - 1
+            new = np.ones(len(hit), bool)
+            new[1:] = (np.diff(hit) > 1) | (w.anchor[hit[1:]] != w.anchor[hit[:-1]]) | (own[1:] != own[:-1])
+            at = np.flatnonzero(new)
+            head, own = hit[at], own[at]
+            size = np.diff(np.append(at, len(hit)))
             start = w.first[head]
+            marks = np.array([_mark(s) for s in _digests(words)], np.int64)
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array(ids[own]),
-                    pa.array(np.concatenate(marks)),
+                    pa.array(ids[i + own]),
+                    pa.array(marks[own]),
                     pa.array(signed(w.anchor[head])),
                     pa.array(signed(w.span_hash(start, start + size + WINDOW - 1))),
-                    pa.array((start - words.row_words[own - i]).astype(np.int32)),
+                    pa.array((start - words.row_words[own]).astype(np.int32)),
                     pa.array(size.astype(np.int32)),
-                    list_column(signed(w.hashes[np.concatenate(hits)]), size),
+                    list_column(signed(w.hashes[hit]), size),
                 ],
                 names=["doc_id", "d1", "a", "run", "pos", "size", "hs"],
             )
@@ -143,69 +139,65 @@ def covered(starts: np.ndarray, sizes: np.ndarray, n_words: int) -> np.ndarray:
 
 
 def _removed(batches: Iterator[pa.RecordBatch], with_text: bool) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text, marks, positions) to what is left of each text."""
+    """(doc_id, text, mark, positions, sizes) to what is left of each text."""
     for batch in batches:
         data, offsets = text_buffer(batch.column(1))
-        ids, marks, gone, shas, texts = [], [], [], [], []
-        for k in range(batch.num_rows):
-            words = _plain(data, offsets, k)
-            digest = hashlib.sha256(b" ".join(words)).digest()
-            mark = int.from_bytes(digest[:8], "little", signed=True)
-            if mark != batch.column(2)[k].as_py():
-                continue
-            mask = covered(batch.column(3)[k].values.to_numpy(), batch.column(4)[k].values.to_numpy(), len(words))
-            kept = b" ".join(w for w, out in zip(words, mask.tolist(), strict=True) if not out)
-            ids.append(batch.column(0)[k].as_py())
-            marks.append(mark)
-            gone.append(int(mask.sum()))
-            shas.append(hashlib.sha256(kept).hexdigest())
-            texts.append(kept.decode("utf-8", "replace") if with_text else None)
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(marks, pa.int64()), pa.array(gone, pa.int64()), pa.array(shas, pa.string()), pa.array(texts, pa.string())], names=["doc_id", "d1", "n_removed", "kept_sha256", "kept_text"])
+        cuts = batch.column(3).offsets.to_numpy()
+        starts, sizes = batch.column(3).values.to_numpy(), batch.column(4).values.to_numpy()
+        for i, j in row_chunks(offsets):
+            words = Words(data, offsets[i : j + 1])
+            gone = np.zeros(len(words.hashes), bool)
+            for k in range(i, j):
+                lo, hi = words.row_words[k - i], words.row_words[k - i + 1]
+                gone[lo:hi] = covered(starts[cuts[k] : cuts[k + 1]], sizes[cuts[k] : cuts[k + 1]], hi - lo)
+            left, at = words.joined(~gone)
+            view = memoryview(left)
+            # A doc_id may have rows of other texts; the mark says whose positions these are.
+            mine = np.array([_mark(s) for s in _digests(words)], np.int64) == batch.column(2).slice(i, j - i).to_numpy()
+            out = np.concatenate([[0], np.cumsum(gone)])[words.row_words]
+            shas = [hashlib.sha256(view[a:b]).hexdigest() for a, b in zip(at[:-1], at[1:], strict=True)]
+            texts = [str(view[a:b], "utf-8", "replace") if with_text else None for a, b in zip(at[:-1], at[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0).slice(i, j - i), batch.column(2).slice(i, j - i), pa.array(np.diff(out)), pa.array(shas, pa.string()), pa.array(texts, pa.string())],
+                names=["doc_id", "d1", "n_removed", "kept_sha256", "kept_text"],
+            ).filter(pa.array(mine))
 
 
 def remove_repeated_windows(docs: DataFrame, text: str = "text", key: str = "doc_id", with_text: bool = True) -> tuple[DataFrame, DataFrame]:
     """Two tables: per row doc_id, n_words, n_removed, kept_sha256; and per partly shortened text
     doc_id, d1, n_removed, kept_sha256, kept_text (null unless ``with_text``)."""
     source = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    profile = stored(source.mapInArrow(_profile, "doc_id long, n_words long, sha string, d1 long, d2 long"), "profile")
-    narrow = profile.where("doc_id is not null").select("doc_id", "n_words", "d1", "d2")
-    first = narrow.where(F.col("n_words") >= WINDOW).groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "d1")
-
-    pieces = source.where("doc_id is not null").mapInArrow(_anchors, "doc_id long, a long")
-    often = stored(pieces.groupBy("a").agg(F.count(F.lit(1)).alias("c")).where("c > 1").select("a"), "often")
-    affected = pieces.join(often, "a").groupBy("doc_id").agg(F.collect_set("a").alias("anchors"))
-    affected = stored(affected.join(first, "doc_id", "left_semi"), "affected")
-
-    discard(often)
-
-    bitmap = id_bitmap(affected, "doc_id")
-    texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap), "doc_id long, text string")
-    runs = stored(texts.join(affected, "doc_id").select("doc_id", "text", "anchors").mapInArrow(_open_runs, "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
-    least = runs.groupBy("a", "run").agg(F.min("doc_id").alias("low"))
-    held = stored(runs.join(least, ["a", "run"]).select("doc_id", "d1", "a", "pos", "size", F.when(F.col("doc_id") == F.col("low"), F.col("hs")).alias("hs")), "held")
-    discard(affected, runs)
+    known = source.where("doc_id is not null")
+    profile = stored(source.mapInArrow(_profile, "doc_id long, n_words long, sha string, d1 long, d2 long, anchors array<long>"), "profile")
+    narrow = profile.where(f"doc_id is not null and n_words >= {WINDOW}").select("doc_id", "n_words", "d1", "d2")
+    groups = stored(narrow.groupBy("d1", "d2").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id"), F.count(F.lit(1)).alias("c")), "groups")
+    copied = stored(groups.where("last_id > first_id"), "copied")
+    copies = join_by_count(narrow, copied, ["d1", "d2"]).where("doc_id > first_id").select("doc_id", "d1", F.col("n_words").alias("r"), F.lit(EMPTY_SHA).alias("s"))
+
+    first = id_bitmap(groups, "first_id")
+    pruned = lambda rows, bitmap: rows.mapInArrow(lambda it: _pruned(it, bitmap), rows.schema)
+    pieces = pruned(profile.where("doc_id is not null").select("doc_id", "anchors"), first).select(F.explode("anchors").alias("a"))
+    repeated = id_bitmap(pieces.groupBy("a").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "a", ANCHOR_BITS)
+
+    runs = stored(pruned(known, first).mapInArrow(lambda it: _open_runs(it, repeated), "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
+    least = stored(runs.groupBy("a", "run").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("c")), "least")
+    held = join_by_count(runs, least, ["a", "run"]).select("doc_id", "d1", "a", "pos", "size", F.when(F.col("doc_id") == F.col("low"), F.col("hs")).alias("hs"))
+    held = stored(held, "held")
+    discard(runs, least)
     whole = held.where("hs is null").select("doc_id", "d1", "pos", "size")
     windows = held.where("hs is not null").select("doc_id", "d1", "a", "pos", F.posexplode("hs").alias("k", "h"))
-    repeated = windows.groupBy("a", "h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("high > low").select("a", "h", "low")
-    single = windows.join(repeated, ["a", "h"]).where("doc_id > low").select("doc_id", "d1", (F.col("pos") + F.col("k")).alias("pos"), F.lit(1).alias("size"))
+    twice = stored(windows.groupBy("a", "h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"), F.count(F.lit(1)).alias("c")).where("high > low"), "twice")
+    single = join_by_count(windows, twice.select("a", "h", "low", "c"), ["a", "h"]).where("doc_id > low").select("doc_id", "d1", (F.col("pos") + F.col("k")).alias("pos"), F.lit(1).alias("size"))
     cut = whole.union(single).groupBy("doc_id", "d1").agg(F.collect_list(F.struct("pos", "size")).alias("at"))
     cut = stored(cut.select("doc_id", "d1", F.col("at.pos").alias("at"), F.col("at.size").alias("sizes")), "cut")
 
-    discard(held)
-    bitmap2 = id_bitmap(cut, "doc_id")
-    cut_texts = source.where("doc_id is not null").mapInArrow(lambda it: _pruned(it, bitmap2), "doc_id long, text string")
+    discard(held, twice)
+    changed = id_bitmap(cut, "doc_id")
     shortened = stored(
-        cut_texts.join(cut, "doc_id").select("doc_id", "text", "d1", "at", "sizes").mapInArrow(lambda it: _removed(it, with_text), "doc_id long, d1 long, n_removed long, kept_sha256 string, kept_text string").dropDuplicates(["doc_id", "d1"]),
+        pruned(known, changed).join(cut, "doc_id").select("doc_id", "text", "d1", "at", "sizes").mapInArrow(lambda it: _removed(it, with_text), "doc_id long, d1 long, n_removed long, kept_sha256 string, kept_text string").dropDuplicates(["doc_id", "d1"]),
         "shortened",
     )
     discard(cut)
-    rows = profile.select("doc_id", "n_words", "sha", "d1", "d2")
-    owner = narrow.where(F.col("n_words") >= WINDOW).groupBy("d1", "d2").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("last_id > first_id").select("d1", "d2", "first_id")
-    out = rows.join(owner, ["d1", "d2"], "left").join(shortened.select("doc_id", "d1", F.col("n_removed").alias("r"), F.col("kept_sha256").alias("s")), ["doc_id", "d1"], "left")
-    copy = F.coalesce(F.col("doc_id") > F.col("first_id"), F.lit(False))
-    return out.select(
-        "doc_id",
-        "n_words",
-        F.when(copy, F.col("n_words")).otherwise(F.coalesce("r", F.lit(0).cast("long"))).alias("n_removed"),
-        F.when(copy, F.lit(EMPTY_SHA)).otherwise(F.coalesce("s", "sha")).alias("kept_sha256"),
-    ), shortened
+    changes = shortened.select("doc_id", "d1", F.col("n_removed").alias("r"), F.col("kept_sha256").alias("s")).union(copies).dropDuplicates(["doc_id", "d1"])
+    out = profile.select("doc_id", "n_words", "sha", "d1").join(changes, ["doc_id", "d1"], "left")
+    return out.select("doc_id", "n_words", F.coalesce("r", F.lit(0).cast("long")).alias("n_removed"), F.coalesce("s", "sha").alias("kept_sha256")), shortened

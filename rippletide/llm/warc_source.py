@@ -34,6 +34,8 @@ from pyspark.sql.types import StructType
 
 SCHEMA = "record_id string, record_type string, page_id long, target_uri string, date string, payload_digest string, payload_bytes long, refers_to long, payload string"
 WRITE_FIELDS = ("page_id", "url", "payload", "record_type", "refers_to")
+# A revisit whose payload is null is written with these.
+KNOWN_FIELDS = ("payload_bytes", "payload_digest")
 PUSHED = ("record_type", "record_id", "page_id", "refers_to", "payload_digest")
 _DATE = datetime(2024, 1, 1, tzinfo=timezone.utc).strftime("%Y-%m-%dT%H:%M:%SZ")
 _HTTP = "HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {}\r\n\r\n"
@@ -47,32 +49,34 @@ def base32_sha1(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def record_urn(page_id: int | None) -> str:
-    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page_id}')}>"
+def record_urn(page_id: int | None, digest: str) -> str:
+    """The same page and payload have the same id; pages that repeat an id, or have none, differ by payload."""
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page_id}:{digest}')}>"
 
 
 def one_line(value: str) -> str:
     return " ".join(value.split())
 
 
-def encode_record(page_id: int | None, url: str | None, payload: bytes, record_type: str, refers_to: int | None) -> bytes:
+def encode_record(page_id: int | None, url: str | None, payload: bytes, record_type: str, refers_to: int | None, size: int | None = None, digest: str | None = None) -> bytes:
     """A response with its HTTP block, or a revisit whose block is empty; the digest and length are
-    those of the full payload either way."""
-    http = _HTTP.format(len(payload)).encode()
+    those of the full payload either way, given as ``digest`` and ``size`` where the payload is not."""
+    size, digest = (len(payload), base32_sha1(payload)) if digest is None else (size, digest)
+    http = _HTTP.format(size).encode()
     block = http + payload if record_type == "response" else http
     head = [
         "WARC/1.1",
         f"WARC-Type: {record_type}",
-        f"WARC-Record-ID: {record_urn(page_id)}",
+        f"WARC-Record-ID: {record_urn(page_id, digest)}",
         f"WARC-Date: {_DATE}",
         f"WARC-Target-URI: {one_line(url or '')}",
-        f"WARC-Payload-Digest: sha1:{base32_sha1(payload)}",
-        f"X-Payload-Length: {len(payload)}",
+        f"WARC-Payload-Digest: sha1:{digest}",
+        f"X-Payload-Length: {size}",
     ]
     if page_id is not None:
         head.append(f"X-Page-ID: {page_id}")
     if record_type == "revisit":
-        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_urn(refers_to)}", f"X-Refers-To-Page: {refers_to}"]
+        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_urn(refers_to, digest)}", f"X-Refers-To-Page: {refers_to}"]
     head += ["Content-Type: application/http; msgtype=response", f"Content-Length: {len(block)}"]
     return "\r\n".join(head).encode() + b"\r\n\r\n" + block + b"\r\n\r\n"
 
@@ -94,7 +98,9 @@ class WarcWriter(DataSourceWriter):
         self.path = options["path"].rstrip("/")
         self.compress = options.get("compress", "true").lower() == "true"
         self.roll = int(options.get("roll_bytes", 128 << 20))
-        self.at = [schema.fieldNames().index(f) for f in WRITE_FIELDS]
+        names = schema.fieldNames()
+        self.at = [names.index(f) for f in WRITE_FIELDS]
+        self.known = [names.index(f) for f in KNOWN_FIELDS] if set(KNOWN_FIELDS) <= set(names) else None
 
     def write(self, rows: Iterator) -> _Written:
         fs, root = file_system(self.path)
@@ -110,7 +116,8 @@ class WarcWriter(DataSourceWriter):
                     out, size = fs.open_output_stream(name + ".tmp", compression=None), 0
                     files.append(name)
                 page_id, url, payload, kind, refers = (row[i] for i in self.at)
-                data = encode_record(page_id, url, (payload or "").encode(), kind, refers)
+                known = [row[i] for i in self.known] if self.known and payload is None else []
+                data = encode_record(page_id, url, (payload or "").encode(), kind, refers, *known)
                 data = gzip_member(data) if self.compress else data
                 out.write(data)
                 size += len(data)

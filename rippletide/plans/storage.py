@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _OWN: list[str] = []
-_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 #: Largest number of rows that a side may have to be broadcast after a count.
 BROADCAST_ROWS = 200_000
 
@@ -30,17 +31,26 @@ def fresh_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark)}/rippletide/{label}-{uuid.uuid4().hex}"
 
 
+@contextmanager
+def holding(spark: SparkSession, settings: dict[str, str]) -> Iterator[None]:
+    """Runtime settings for what runs inside; afterwards they are as they were."""
+    before = {k: spark.conf.get(k, None) for k in settings}
+    for k, v in settings.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
 def stored(df: DataFrame, label: str = "step") -> DataFrame:
     """Written as Parquet and read back: lineage ends here and lost executors re-read. The write's own
-    shuffle files go with it: a setting that holds for this one write."""
+    shuffle files go once it is done."""
     spark = df.sparkSession
     path, schema = fresh_path(spark, label), df.schema
-    before = spark.conf.get(_CLEANUP, None)
-    spark.conf.set(_CLEANUP, "true")
-    try:
+    with holding(spark, {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true"}):
         df.write.parquet(path)
-    finally:
-        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
     out = spark.read.schema(schema).parquet(path)
     out.stored_at = path
     return out

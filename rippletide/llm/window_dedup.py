@@ -14,7 +14,7 @@ wrongly find no equal. (3) Runs of windows that share an anchor are matched as a
 smaller id has the same run, all of it goes; only runs of their smallest holder are matched window by
 window. Keys are anchor and hash together (128 bits). Texts are shuffled only where words go.
 
-A task holds one Arrow batch and the arrays of about a megabyte of text (of one text, if longer).
+A task holds one Arrow batch and the arrays of about ``CHUNK`` bytes of text (of one text, if longer).
 
 Defined results: null text has no words; rows with a null doc_id keep all their words and remove
 none elsewhere; rows repeating a doc_id never remove each other's words; other columns are ignored.
@@ -37,6 +37,7 @@ from rippletide.llm.textbytes import _POWERS, Words, list_column, mix, row_chunk
 
 WINDOW, ANCHOR = 13, 5
 ANCHOR_BITS = 26
+CHUNK = 1 << 18
 EMPTY_SHA = hashlib.sha256(b"").hexdigest()
 
 
@@ -80,7 +81,7 @@ def _profile(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Digest, number of words and distinct anchors of each row."""
     for batch in batches:
         data, offsets = text_buffer(batch.column(1))
-        for i, j in row_chunks(offsets):
+        for i, j in row_chunks(offsets, CHUNK):
             words = Words(data, offsets[i : j + 1])
             w = Windows(words)
             shas = _digests(words)
@@ -97,12 +98,12 @@ def _pruned(batches: Iterator[pa.RecordBatch], bitmap: np.ndarray) -> Iterator[p
         yield batch.filter(pa.array(maybe_in(bitmap, batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64))))
 
 
-def _open_runs(batches: Iterator[pa.RecordBatch], repeated: np.ndarray) -> Iterator[pa.RecordBatch]:
-    """(doc_id, text) to the runs of windows of each text whose anchor is in the bitmap."""
-    for batch in batches:
+def _open_runs(batches: Iterator[pa.RecordBatch], first: np.ndarray, repeated: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """(doc_id, text) to the runs of windows of each first text whose anchor is in the bitmap."""
+    for batch in _pruned(batches, first):
         ids = batch.column(0).to_numpy()
         data, offsets = text_buffer(batch.column(1))
-        for i, j in row_chunks(offsets):
+        for i, j in row_chunks(offsets, CHUNK):
             words = Words(data, offsets[i : j + 1])
             w = Windows(words)
             hit = np.flatnonzero(maybe_in(repeated, signed(w.anchor)))
@@ -144,7 +145,7 @@ def _removed(batches: Iterator[pa.RecordBatch], with_text: bool) -> Iterator[pa.
         data, offsets = text_buffer(batch.column(1))
         cuts = batch.column(3).offsets.to_numpy()
         starts, sizes = batch.column(3).values.to_numpy(), batch.column(4).values.to_numpy()
-        for i, j in row_chunks(offsets):
+        for i, j in row_chunks(offsets, CHUNK):
             words = Words(data, offsets[i : j + 1])
             gone = np.zeros(len(words.hashes), bool)
             for k in range(i, j):
@@ -179,7 +180,7 @@ def remove_repeated_windows(docs: DataFrame, text: str = "text", key: str = "doc
     pieces = pruned(profile.where("doc_id is not null").select("doc_id", "anchors"), first).select(F.explode("anchors").alias("a"))
     repeated = id_bitmap(pieces.groupBy("a").agg(F.count(F.lit(1)).alias("c")).where("c > 1"), "a", ANCHOR_BITS)
 
-    runs = stored(pruned(known, first).mapInArrow(lambda it: _open_runs(it, repeated), "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
+    runs = stored(known.mapInArrow(lambda it: _open_runs(it, first, repeated), "doc_id long, d1 long, a long, run long, pos int, size int, hs array<long>"), "runs")
     least = stored(runs.groupBy("a", "run").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("c")), "least")
     held = join_by_count(runs, least, ["a", "run"]).select("doc_id", "d1", "a", "pos", "size", F.when(F.col("doc_id") == F.col("low"), F.col("hs")).alias("hs"))
     held = stored(held, "held")

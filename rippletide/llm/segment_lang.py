@@ -4,10 +4,11 @@ The pieces are those of a fixed public byte-level vocabulary. A language is a pr
 piece; a word's probability is the sum over all its segmentations into pieces, found by a forward
 pass over the word's bytes, and a text's is the product over its words. Piece probabilities are
 fitted by expectation-maximisation on the same lattice, from word counts of a bounded sample of
-labelled texts (about ``per_lang`` documents of each language, chosen by a hash of doc_id).
+labelled texts (about ``per_lang`` documents of each language, chosen by a hash of doc_id). Sums are
+taken of logarithms, so that no word is too long and no language too unlikely for them.
 
 Words are runs of bytes that are ASCII letters or belong to a longer character, in lower case (ASCII)
-and led by a space; a run of over ``MAX_WORD`` bytes is scored in consecutive parts of that length.
+and led by a space, whatever their length. A model holds one column of piece probabilities a language.
 
 Defined results: ``und`` with score 0 for a null text or one without a letter, or if no language could
 be learned; ties go to the language that comes first by code point; a row with a null doc_id is
@@ -28,8 +29,9 @@ from pyspark.sql import functions as F
 
 from rippletide.llm.textbytes import LOWER, U, Words, row_chunks, text_buffer
 
-MAX_WORD, MAX_PIECE = 48, 16
 FLOOR = 1e-7
+HEAD = 16
+BLOCK_BYTES = 1 << 18
 NOT_LETTER = np.ones(256, bool)
 NOT_LETTER[0x80:] = False
 NOT_LETTER[0x41:0x5B] = NOT_LETTER[0x61:0x7B] = False
@@ -42,7 +44,7 @@ def vocabulary(path: str) -> list[bytes]:
     """Lower-case pieces of letters (with or without a leading space) and all single bytes."""
     with open(path, "rb") as lines:
         pieces = [base64.b64decode(line.split()[0]) for line in lines if line.strip()]
-    fit = {p for p in pieces if len(p) <= MAX_PIECE and p == p.lower() and not NOT_LETTER[np.frombuffer(p.lstrip(b" ") or b"a", np.uint8)].any()}
+    fit = {p for p in pieces if p == p.lower() and not NOT_LETTER[np.frombuffer(p.lstrip(b" ") or b"a", np.uint8)].any()}
     return sorted(fit | {bytes([b]) for b in range(256)})
 
 
@@ -56,7 +58,8 @@ def _piece_hash(p: bytes) -> int:
 class Lattice:
     """All places where pieces occur in some words, grouped by end offset within the word."""
 
-    def __init__(self, sorted_hashes: np.ndarray, piece_of: np.ndarray, seen: np.ndarray, words: list[bytes]) -> None:
+    def __init__(self, model: PieceModel, words: list[bytes]) -> None:
+        sorted_hashes, piece_of, seen = model.sorted_hashes, model.piece_of, model.seen
         size = np.array([len(w) for w in words], np.int64)
         self.start = np.concatenate([[0], np.cumsum(size)])
         data = np.frombuffer(b"".join(words), np.uint8).astype(np.uint64) + U(1)
@@ -65,8 +68,9 @@ class Lattice:
         self.n = len(data)
         begins, ends, pieces, offsets = [], [], [], []
         h = np.zeros(len(data), np.uint64)
-        for length in range(1, MAX_PIECE + 1):
-            ok = np.flatnonzero(left >= length)
+        ok = np.arange(len(data))
+        for length in range(1, model.longest + 1):
+            ok = ok[left[ok] >= length]
             if not len(ok):
                 break
             h[ok] = h[ok] * U(_BASE) + data[ok + length - 1]
@@ -79,10 +83,12 @@ class Lattice:
             ends.append(i + length)
             pieces.append(piece_of[spot[hit]])
             offsets.append(place[i] + length)
+            if length == HEAD:  # few pieces are longer: go on only where one may begin
+                ok = ok[np.isin(h[ok], model.long_heads)]
         begin, end, self.piece = (np.concatenate(x) for x in (begins, ends, pieces))
         until = np.concatenate(offsets)
         # State k of a word sits at its start + k + (its number), so that words do not share states.
-        number = np.repeat(np.arange(len(words)), size)[begin]
+        self.word = number = np.repeat(np.arange(len(words)), size)[begin]
         self.begin, self.end = begin + number, end + number
         self.first = self.start[:-1] + np.arange(len(words))
         self.last = self.start[1:] + np.arange(len(words))
@@ -101,23 +107,39 @@ class Lattice:
             out.append((order[a:b], heads, state[a:b][heads]))
         return out
 
-    def forward(self, p: np.ndarray) -> np.ndarray:
-        """p: piece probabilities (pieces x languages). Returns states x languages."""
-        alpha = np.zeros((self.states, p.shape[1]))
-        alpha[self.first] = 1
+    def forward(self, logs: np.ndarray) -> np.ndarray:
+        """logs: log piece probabilities (pieces x languages). Returns log sums, states x languages."""
+        alpha = np.full((self.states, logs.shape[1]), -np.inf)
+        alpha[self.first] = 0
         for edges, heads, states in self.by_end:
-            alpha[states] = np.add.reduceat(alpha[self.begin[edges]] * p[self.piece[edges]], heads)
+            alpha[states] = _log_sums(alpha[self.begin[edges]] + logs[self.piece[edges]], heads)
         return alpha
 
-    def expected(self, p: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    def expected(self, logs: np.ndarray, counts: np.ndarray) -> np.ndarray:
         """Expected piece counts (pieces x languages) given word counts (words x languages)."""
-        alpha = self.forward(p)
-        beta = np.zeros_like(alpha)
-        beta[self.last] = counts / alpha[self.last]
+        alpha = self.forward(logs)
+        beta = np.full_like(alpha, -np.inf)
+        beta[self.last] = -alpha[self.last]
         for edges, heads, states in reversed(self._groups(self.since, self.begin)):
-            beta[states] = np.add.reduceat(p[self.piece[edges]] * beta[self.end[edges]], heads)
-        flow = alpha[self.begin] * p[self.piece] * beta[self.end]
-        return np.stack([np.bincount(self.piece, flow[:, k], len(p)) for k in range(p.shape[1])], axis=1)
+            beta[states] = _log_sums(logs[self.piece[edges]] + beta[self.end[edges]], heads)
+        flow = np.exp(alpha[self.begin] + logs[self.piece] + beta[self.end]) * counts[self.word]
+        return np.stack([np.bincount(self.piece, flow[:, k], len(logs)) for k in range(logs.shape[1])], axis=1)
+
+
+def _log_sums(x: np.ndarray, heads: np.ndarray) -> np.ndarray:
+    """Logarithm of the sum of exp(x) over each group of rows."""
+    top = np.maximum.reduceat(x, heads)
+    return top + np.log(np.add.reduceat(np.exp(x - np.repeat(top, np.diff(np.append(heads, len(x))), axis=0)), heads))
+
+
+def _blocks(words: list[bytes]) -> Iterator[tuple[int, int]]:
+    """Ranges of words of about ``BLOCK_BYTES``; a longer word makes a range of its own."""
+    ends = np.cumsum([len(w) for w in words])
+    i = 0
+    while i < len(words):
+        j = max(i + 1, int(np.searchsorted(ends, (ends[i - 1] if i else 0) + BLOCK_BYTES, "right")))
+        yield i, j
+        i = j
 
 
 class PieceModel:
@@ -130,33 +152,28 @@ class PieceModel:
         self.seen = np.zeros(1 << 22, bool)
         self.seen[(h * _SPREAD) >> _SHIFT] = True
         self.n_pieces = len(pieces)
+        self.longest = max(map(len, pieces))
+        self.long_heads = np.unique(np.array([_piece_hash(p[:HEAD]) for p in pieces if len(p) > HEAD], np.uint64))
         self.langs: list[str] = []
-        self.p = np.zeros((self.n_pieces, 0))
-        self.prior = np.zeros(0)
+        self.logs = np.zeros((self.n_pieces, 0))
 
     def lattice(self, words: list[bytes]) -> Lattice:
-        return Lattice(self.sorted_hashes, self.piece_of, self.seen, words)
+        return Lattice(self, words)
 
     def fit(self, langs: list[str], words: list[bytes], counts: np.ndarray, rounds: int = 3) -> None:
         self.langs = langs
-        self.p = np.full((self.n_pieces, len(langs)), 1.0 / self.n_pieces)
-        blocks = [(self.lattice(words[i : i + 20000]), counts[i : i + 20000]) for i in range(0, len(words), 20000)]
+        p = np.full((self.n_pieces, len(langs)), 1.0 / self.n_pieces)
+        blocks = [(self.lattice(words[i:j]), counts[i:j]) for i, j in _blocks(words)]
         for _ in range(rounds):
-            use = np.zeros_like(self.p)
+            use = np.zeros_like(p)
             for lattice, c in blocks:
-                use += lattice.expected(self.p, c)
-            self.p = np.maximum(use / np.maximum(use.sum(axis=0), 1e-9), FLOOR)
-        self.p /= self.p.sum(axis=0)
-        self.prior = np.zeros(len(langs))
+                use += lattice.expected(np.log(p), c)
+            p = np.maximum(use / np.maximum(use.sum(axis=0), 1e-9), FLOOR)
+        self.logs = np.log(p / p.sum(axis=0))
 
     def word_scores(self, words: list[bytes]) -> np.ndarray:
-        lattice = self.lattice(words)
-        return np.log(np.maximum(lattice.forward(self.p)[lattice.last], 1e-300))
-
-
-def word_parts(raw: bytes) -> list[bytes]:
-    led = b" " + raw
-    return [led[i : i + MAX_WORD] for i in range(0, len(led), MAX_WORD)]
+        parts = [(x := self.lattice(words[i:j])).forward(self.logs)[x.last] for i, j in _blocks(words)]
+        return np.concatenate(parts)
 
 
 class Scorer:
@@ -188,11 +205,8 @@ class Scorer:
             fresh = np.flatnonzero(~known)
             for i in range(0, len(fresh), 20000):
                 some = fresh[i : i + 20000]
-                parts = [word_parts(words.bytes[words.starts[w] : words.ends[w]].tobytes()) for w in where[some]]
-                sums = self.model.word_scores([p for x in parts for p in x])
-                at = np.cumsum([0, *(len(x) for x in parts[:-1])])
                 self.keys = np.concatenate([self.keys, uniq[some]])
-                self.values = np.concatenate([self.values, np.add.reduceat(sums, at)])
+                self.values = np.concatenate([self.values, self.model.word_scores([b" " + words.bytes[words.starts[w] : words.ends[w]].tobytes() for w in where[some]])])
             order = np.argsort(self.keys, kind="stable")
             self.keys, self.values = self.keys[order], self.values[order]
             spot = np.searchsorted(self.keys, uniq)
@@ -204,13 +218,13 @@ class Scorer:
 
 
 def learn(docs: DataFrame, per_lang: int = 400, vocabulary_path: str | None = None, text: str = "text", lang: str = "lang", key: str = "doc_id", rounds: int = 3) -> PieceModel:
-    """Fit on a sample of about ``per_lang`` documents per language (and its first 200 languages by
-    size), never of those held out. The sample's word counts are what reaches the driver."""
+    """Fit on a sample of about ``per_lang`` documents per language, never of those held out. The
+    languages' names and the sample's word counts are what reaches the driver."""
     model = PieceModel(vocabulary(vocabulary_path or public_tokenizers.path("byte_bpe_50k.tiktoken")))
     known = docs.select(F.col(lang).cast("string").alias("lang"), F.col(text).cast("string").alias("text"), F.col(key).cast("string").alias("id")).where(
         "lang is not null and text is not null and crc32(cast(id as binary)) % 4 <> 2"
     )
-    sizes = known.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(200).collect()
+    sizes = known.groupBy("lang").count().collect()
     if not sizes:
         return model
     share = F.create_map(*[x for r in sizes for x in (F.lit(r["lang"]), F.lit(min(1.0, per_lang / r["count"])))])
@@ -222,10 +236,10 @@ def learn(docs: DataFrame, per_lang: int = 400, vocabulary_path: str | None = No
     rows: dict[bytes, np.ndarray] = {}
     for lg, w, c in zip(counted["lang"], counted["w"], counted["count"], strict=True):
         index.setdefault(lg, langs.index(lg))
-        for part in word_parts(LOWER[np.frombuffer(w.encode(), np.uint8)].tobytes()):
-            if part not in rows:
-                rows[part] = np.zeros(len(langs))
-            rows[part][index[lg]] += c
+        word = b" " + LOWER[np.frombuffer(w.encode(), np.uint8)].tobytes()
+        if word not in rows:
+            rows[word] = np.zeros(len(langs))
+        rows[word][index[lg]] += c
     words = sorted(rows)
     if words:
         model.fit(langs, words, np.array([rows[w] for w in words]), rounds)

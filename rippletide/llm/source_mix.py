@@ -4,10 +4,14 @@ Sources, by code point and null last, weigh ``weights`` in turn and share ``shar
 A target stops at ``max_repeat`` times its source's size; the excess goes to the others by weight
 until none is above, which is one water level: target = least(cap, level * weight).
 
-Blocks of ``block`` words are apportioned to sources by highest quotients: each gets the whole part
-of its target first, then the blocks left go by target / (2 * blocks + 1). A source's blocks are
-apportioned alike to its shards, by their sizes; a shard is a hash range of documents of about
-``shard_words`` words, so no window holds more than a shard's documents or a source's shards.
+Blocks of ``block`` words go to sources by highest quotients target / (2 * blocks + 1). No loop over
+blocks is needed: the common divisor that this amounts to lies within n / 2 blocks of the targets' own
+sum (n sources), which leaves about two doubtful quotients a source; those are ranked. A source's blocks
+are apportioned alike to its sections and a section's to its shards, by their sizes. A shard is a hash
+range of documents of about ``shard_words`` words and a section one of ``SECTION`` shards, so no window
+holds more than a shard's documents, a section's shards or a source's sections. Only the table of
+sources, one row each, is ordered in one task.
+
 Within a shard documents queue in seeded hash order and the quota is a range of that queue, read
 again from its start for repeats: at most one document of a shard is taken in part.
 
@@ -23,6 +27,7 @@ from pyspark.sql import functions as F
 from rippletide.llm.scratch import stored
 
 WORD = r"[^\x20\x09-\x0D]+"
+SECTION = 4096
 
 
 def targets(totals: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.5, max_repeat: int = 2) -> DataFrame:
@@ -43,14 +48,22 @@ def targets(totals: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: floa
     return rows.select("source", "source_size", F.when(open_, F.col("first.level") * F.col("w")).otherwise(F.col("cap")).alias("target"))
 
 
-def _apportioned(rows: DataFrame, claim: str, seats: str, within: list[str], out: str) -> DataFrame:
-    """Integer seats per row in proportion to ``claim`` (already scaled so that it sums to ``seats``
-    within each group): whole parts, then one each by highest quotient claim / (2 * got + 1)."""
-    rows = rows.withColumn("got", F.floor(claim))
+def apportioned(rows: DataFrame, claim: str, seats: str, within: list[str], tie: str, out: str) -> DataFrame:
+    """``rows`` with ``out``: of the ``seats`` of each group, one to each of the highest quotients
+    claim / (2 * got + 1), ties to the larger claim, then in order of ``tie`` (unique in a group). Claims
+    of a group sum to its seats; so the seats of a row lie within claim * (1 +- n / (2 * seats)) +- 1/2."""
     group = Window.partitionBy(*within)
-    queue = group.orderBy(F.desc(F.col(claim) / (2 * F.col("got") + 1)), F.desc(claim), "tie")
-    spare = F.col(seats) - F.sum("got").over(group)
-    return rows.withColumn(out, F.col("got") + F.when(F.row_number().over(queue) <= spare, 1).otherwise(0)).drop("got")
+    lean = F.try_divide(F.count(F.lit(1)).over(group), 2 * F.col(seats))
+    rows = rows.withColumn("_lean", F.coalesce(lean, F.lit(0.0)))
+    low = F.greatest(F.lit(0), F.floor(F.col(claim) * (1 - F.col("_lean")) - 0.5)).cast("long")
+    high = F.when(F.col(claim) > 0, F.ceil(F.col(claim) * (1 + F.col("_lean")) + 0.5)).otherwise(F.lit(0)).cast("long")
+    rows = rows.withColumn("_low", F.when(F.col(seats) > 0, low).otherwise(F.lit(0)).cast("long"))
+    rows = rows.withColumn("_spare", F.col(seats) - F.sum("_low").over(group))
+    doubtful = rows.select(*within, F.col(tie).alias("_tie"), F.col(claim).alias("_claim"), "_spare", F.explode(F.sequence(F.col("_low"), F.greatest(high, F.col("_low")))).alias("_k"))
+    queue = group.orderBy(F.desc(F.col("_claim") / (2 * F.col("_k") + 1)), F.desc("_claim"), "_tie")
+    won = doubtful.withColumn("_place", F.row_number().over(queue)).where("_place <= _spare").groupBy(*within, "_tie").agg(F.count(F.lit(1)).alias("_more"))
+    both = rows.withColumn("_tie", F.col(tie)).join(won, [*within, "_tie"], "left")
+    return both.withColumn(out, F.col("_low") + F.coalesce("_more", F.lit(0))).drop("_lean", "_low", "_spare", "_tie", "_more")
 
 
 def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.5, max_repeat: int = 2, block: int = 8, shard_words: int = 50_000, seed: int = 11, text: str = "text", key: str = "doc_id", source: str = "source", keep: list[str] | None = None) -> DataFrame:
@@ -63,16 +76,21 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.
         sized = stored(sized, "sized")
     totals = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
     plan = targets(totals, weights, share, max_repeat)
-    plan = plan.withColumn("claim", F.col("target") / block).withColumn("tie", F.struct(F.col("source").isNull(), "source")).withColumn("all", F.lit(1))
-    plan = plan.withColumn("seats", F.round(F.sum("claim").over(Window.partitionBy("all"))).cast("long"))
-    plan = _apportioned(plan, "claim", "seats", ["all"], "blocks").select("source", "source_size", "target", "blocks", F.row_number().over(Window.orderBy("tie")).alias("sid"), F.greatest(F.lit(1), F.ceil(F.col("source_size") / shard_words)).alias("shards"))
-    plan = stored(plan, "targets")
-
-    number = F.conv(F.substring("draw", 1, 8), 16, 10).cast("long")
-    rows = sized.join(plan, sized["source"].eqNullSafe(plan["source"])).drop("source").withColumn("shard", F.pmod(number, F.col("shards")))
-    quota = rows.groupBy("sid", "shard").agg(F.sum("size").alias("shard_size"), F.first("source_size").alias("ss"), F.first("blocks").alias("blocks"))
-    quota = quota.withColumn("claim", F.coalesce(F.try_divide(F.col("blocks") * F.col("shard_size"), F.col("ss")), F.lit(0.0))).withColumn("tie", F.col("shard"))
-    quota = _apportioned(quota, "claim", "blocks", ["sid"], "shard_blocks").select("sid", "shard", (F.col("shard_blocks") * block).alias("quota"), "shard_size")
+    whole = Window.partitionBy("all")
+    plan = plan.withColumn("all", F.lit(1)).withColumn("sid", F.row_number().over(Window.orderBy(F.col("source").isNull(), "source")))
+    plan = plan.withColumn("seats", F.round(F.sum("target").over(whole) / block).cast("long"))
+    plan = plan.withColumn("claim", F.coalesce(F.try_divide(F.col("target") * F.col("seats"), F.sum("target").over(whole)), F.lit(0.0)))
+    plan = apportioned(plan, "claim", "seats", ["all"], "sid", "blocks")
+    plan = stored(plan.select("source", "source_size", "target", "blocks", "sid", F.greatest(F.lit(1), F.ceil(F.col("source_size") / shard_words)).alias("shards")), "targets")
+
+    number = F.conv(F.substring("draw", 1, 15), 16, 10).cast("long")
+    rows = sized.join(plan, sized["source"].eqNullSafe(plan["source"])).drop("source").withColumn("shard", F.pmod(number, F.col("shards"))).withColumn("section", F.floor(F.col("shard") / SECTION))
+    shards = rows.groupBy("sid", "section", "shard").agg(F.sum("size").alias("shard_size"), F.first("source_size").alias("of"), F.first("blocks").alias("blocks"))
+    part = lambda size: F.coalesce(F.try_divide(F.col("blocks") * F.col(size), F.col("of")), F.lit(0.0))
+    sections = shards.groupBy("sid", "section").agg(F.sum("shard_size").alias("section_size"), F.first("of").alias("of"), F.first("blocks").alias("blocks")).withColumn("claim", part("section_size"))
+    sections = apportioned(sections, "claim", "blocks", ["sid"], "section", "section_blocks").select("sid", "section", F.col("section_size").alias("of"), F.col("section_blocks").alias("blocks"))
+    quota = shards.select("sid", "section", "shard", "shard_size").join(sections, ["sid", "section"]).withColumn("claim", part("shard_size"))
+    quota = apportioned(quota, "claim", "blocks", ["sid", "section"], "shard", "shard_blocks").select("sid", "shard", (F.col("shard_blocks") * block).alias("quota"), "shard_size")
 
     placed = rows.join(quota, ["sid", "shard"])
     queue = Window.partitionBy("sid", "shard").orderBy("draw", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)

@@ -10,11 +10,12 @@ import pytest
 from pyspark.sql import functions as F
 
 from rippletide.llm import cotrain, odd_sketch, packing, warc
+from rippletide.llm import bloom_lookup
 from rippletide.llm.bloom_lookup import fingerprints
 from rippletide.llm.secret_scan import find_secrets
-from rippletide.llm.segment_lang import PieceModel, identify, vocabulary
+from rippletide.llm.segment_lang import PieceModel, identify, learn, vocabulary
 from rippletide.llm.segment_topk import top_k
-from rippletide.llm.source_mix import mix
+from rippletide.llm.source_mix import apportioned, mix
 from rippletide.llm.window_dedup import EMPTY_SHA, remove_repeated_windows
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -102,7 +103,7 @@ def test_language_forward_sums_all_segmentations():
     words = [b" the", b" then", b" zz"]
     model.fit(["a"], words, np.array([[5.0], [3.0], [1.0]]), rounds=1)
     pieces = vocabulary(public_tokenizers.path("byte_bpe_50k.tiktoken"))
-    p = {w: model.p[k, 0] for k, w in enumerate(pieces)}
+    p = {w: np.exp(model.logs[k, 0]) for k, w in enumerate(pieces)}
 
     def total(w):
         return 1.0 if not w else sum(p[w[:k]] * total(w[k:]) for k in range(1, len(w) + 1) if w[:k] in p)
@@ -110,6 +111,31 @@ def test_language_forward_sums_all_segmentations():
     assert np.allclose(np.exp(model.word_scores(words))[:, 0], [total(w) for w in words])
 
 
+def test_language_of_rare_scripts_and_very_long_words(spark):
+    khmer = "ភាសាខ្មែរ" * 40
+    rows = [(k, "the house and the garden", "en") for k in range(30)] + [(100 + k, khmer, "km") for k in range(12)]
+    rows += [(200, "thehouseandthegarden" * 500, None), (201, khmer * 30, None), (202, "the garden", None), (203, None, None), (204, "12 !", None), (None, "the house", None)]
+    frame = spark.createDataFrame([(i, t, g, 1.5, 2, "z", "q", "w") for i, t, g in rows], "doc_id long, text string, lang string, score double, held_out int, lang_pred string, source string, id string")
+    got = identify(frame, learn(frame))
+    assert got.columns == ["doc_id", "held_out", "lang_pred", "score"]
+    by = {r["doc_id"]: r for r in got.collect()}
+    assert all(0 <= r["score"] <= 1 for r in by.values()) and len(by) == len(rows)
+    assert [by[k]["lang_pred"] for k in (200, 201, 202, 203, 204, None)] == ["en", "km", "en", "und", "und", "en"]
+    assert by[None]["held_out"] is False and all(by[k]["held_out"] == (zlib.crc32(str(k).encode()) % 4 == 2) for k in by if k is not None)
+
+
+def test_language_learns_nothing_from_held_out_rows(spark):
+    held = [k for k in range(200) if zlib.crc32(str(k).encode()) % 4 == 2]
+    rows = spark.createDataFrame([(k, "some words here", "xx") for k in held], "doc_id long, text string, lang string")
+    assert learn(rows).langs == []
+
+
+def test_language_ties_go_to_the_first_by_code_point(spark):
+    rows = [(k, "same words", g) for k, g in enumerate(["b", "a", "b", "a"] * 8)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert {r["lang_pred"] for r in identify(frame, learn(frame)).collect()} <= {"a", "b"}
+
+
 def test_language_without_labels_is_und(spark):
     rows = docs(spark, [(1, "some text", "s"), (2, None, "s"), (3, "123 !", "s")])
     import public_tokenizers
@@ -164,6 +190,56 @@ def test_patterns_use_each_piece_once():
     assert (used == counts).all()
 
 
+def seats_by_loop(claims, seats):
+    got = [0] * len(claims)
+    for _ in range(seats):
+        best = max(range(len(claims)), key=lambda i: (claims[i] / (2 * got[i] + 1), claims[i], -i))
+        got[best] += 1
+    return got
+
+
+def test_apportionment_equals_the_loop_over_seats(spark):
+    rng = np.random.default_rng(8)
+    groups = [[10.9] + [0.3] * 7, [1.0, 1.0, 1.0], [0.0, 0.0, 4.0], [0.5] * 8, [0.0]]
+    for _ in range(30):
+        x = rng.pareto(0.7, rng.integers(1, 30)) * rng.choice([0.01, 1, 100])
+        groups.append((x * (round(x.sum()) / x.sum())).tolist())
+    rows = [(g, i, c, round(sum(x))) for g, x in enumerate(groups) for i, c in enumerate(x)]
+    got = {(r["g"], r["i"]): r["won"] for r in apportioned(spark.createDataFrame(rows, "g int, i int, claim double, seats long"), "claim", "seats", ["g"], "i", "won").collect()}
+    for g, x in enumerate(groups):
+        assert [got[g, i] for i in range(len(x))] == seats_by_loop(x, round(sum(x))), (g, x)
+
+
+def test_mix_targets_and_quotas_by_hand(spark):
+    """Targets from the weights alone, by raising the level until no source is above twice its size."""
+    rng = np.random.default_rng(4)
+    rows = [(k, " ".join(["w"] * int(rng.integers(0, 60))), str(rng.choice(["a", "b", "c", "d"], p=[0.7, 0.1, 0.1, 0.1]))) for k in range(400)] + [(1000, "x y z", None), (None, "p q", "a"), (1001, None, "b")]
+    rows.append((7, "again here", rows[7][2]))
+    got = mix(docs(spark, rows).withColumn("size", F.lit("extra")).withColumn("target", F.lit(1)), block=1, shard_words=200).collect()
+    size, order = {}, ["a", "b", "c", "d", None]
+    for _, t, s in rows:
+        size[s] = size.get(s, 0) + len(WORD.findall(t or ""))
+    weight = dict(zip(order, [5, 2, 1, 5, 2], strict=True))
+    total, target, free = 1.5 * sum(size.values()), {}, set(order)
+    while free:
+        left = total - sum(target.values())
+        level = left / sum(weight[s] for s in free)
+        full = {s for s in free if level * weight[s] >= 2 * size[s]}
+        if not full:
+            target |= {s: level * weight[s] for s in free}
+            break
+        target |= {s: 2.0 * size[s] for s in full}
+        free -= full
+    source = {i: s for i, _, s in rows}
+    taken = dict.fromkeys(order, 0)
+    assert len(got) == len(rows)
+    for r in got:
+        s = source[r["doc_id"]]
+        assert r["source_size"] == size[s] and r["target"] == pytest.approx(target[s]) and 0 <= r["taken"] <= 2 * r["size"]
+        taken[s] += r["taken"]
+    assert all(abs(taken[s] - target[s]) <= 1 for s in order), (taken, target)
+
+
 def test_mix_meets_targets(spark, corpus):
     rows = mix(docs(spark, corpus), block=1).collect()
     again = mix(docs(spark, corpus), block=1).collect()
@@ -195,6 +271,49 @@ def test_fingerprints_keep_likeness_of_single_lines(spark):
     assert all(got[k] > 0.15 for k in (2, 3, 4, 5))
 
 
+def test_sketches_tell_how_many_digests_differ(spark):
+    """Peeling, also where the first sketch is too small, against the sets themselves."""
+    rng = np.random.default_rng(9)
+    sets = []
+    for common, a, b in ((0, 0, 0), (5, 0, 0), (3, 1, 2), (10, 20, 0), (0, 40, 40), (100, 150, 90), (0, 700, 1)):
+        x = [int(v) for v in rng.integers(0, 1 << 40, common + a + b)]
+        sets.append((x[:common] + x[common : common + a], x[:common] + x[common + a :]))
+    made = lambda c: F.transform(c, lambda h: F.shiftleft(h, bloom_lookup.CHECK_BITS).bitwiseOR(bloom_lookup._check(h)))
+    rows = spark.createDataFrame(sets, "a array<long>, b array<long>").select(made(F.col("a")).alias("a"), made(F.col("b")).alias("b"))
+    rows = rows.withColumn("s", bloom_lookup.subtract(bloom_lookup.cells(F.col("a")), bloom_lookup.cells(F.col("b"))))
+    got = rows.select(bloom_lookup.apart(F.col("a"), F.col("b"), F.col("s")).alias("d"), bloom_lookup.peel(F.col("s"))["done"].alias("first")).collect()
+    assert [r["d"] for r in got] == [len(set(a) ^ set(b)) for a, b in sets]
+    assert [r["first"] for r in got] == [True, True, True, True, False, False, False]
+
+
+def test_likeness_is_that_of_the_paragraph_sets(spark, corpus):
+    long = [(100 + k, " ".join(f"v{(k * 7 + i * i) % 97}" for i in range(30 * k)), "s") for k in range(1, 8)]
+    rows = [r for r in corpus if r[0] is not None] + long
+    got = {r["doc_id"]: r for r in fingerprints(docs(spark, rows)).collect()}
+    order = sorted(rows, key=lambda r: -r[0])
+    pairs = []
+    for k, (i, t, _) in enumerate(order):
+        a, b = t or "", order[(k + 1) % len(order)][1] or ""
+        h = len(a) // 2
+        pairs += [(i, "near_edited", a, a[: len(a) - h] + b[:h]), (i, "near_next", a, b)]
+    words = spark.createDataFrame(pairs, "i long, kind string, a string, b string").select("i", "kind", bloom_lookup.word_hashes(F.col("a")).alias("a"), bloom_lookup.word_hashes(F.col("b")).alias("b"))
+    top = F.greatest(bloom_lookup.level(F.col("a")), bloom_lookup.level(F.col("b")))
+    for r in words.select("i", "kind", *[bloom_lookup.unit_digests(F.col(c), bloom_lookup.paragraph_ends(F.col(c), top)).alias(c) for c in "ab"]).collect():
+        one, two = set(r["a"]), set(r["b"])
+        assert got[r["i"]][r["kind"]] == pytest.approx(len(one & two) / len(one | two) if one | two else 1.0)
+
+
+def test_next_document_over_blocks_and_repeated_ids(spark):
+    rng = np.random.default_rng(2)
+    ids = [*rng.integers(0, 60, 80).tolist(), *[7] * 40, *[None] * 20, 2**62, 2**62 + 1, 2**62 + 3]
+    frame = docs(spark, [(i, f"text {k % 90}" if k % 11 else None, "s") for k, i in enumerate(ids)])
+    for cuts, rows in ((8192, 100), (4, 3), (1, 2), (16, 1)):
+        got = bloom_lookup.with_next(frame, "text", "doc_id", cuts, rows).select("doc_id", "t", F.col("next.t").alias("next_text"), F.xxhash64("t").alias("h")).collect()
+        order = sorted(got, key=lambda r: (-(r["doc_id"] if r["doc_id"] is not None else -(2**63)), r["h"], r["t"]))
+        assert len(got) == len(ids)
+        assert sorted((r["t"], r["next_text"]) for r in order) == sorted((r["t"], order[(k + 1) % len(order)]["t"]) for k, r in enumerate(order))
+
+
 def test_top_k_ties_and_bad_rows(spark):
     rows = [(50, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, [0.5, 0.0]), (4, None), (5, [float("nan"), 1.0]), (6, [1.0])]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")

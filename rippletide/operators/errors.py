@@ -104,6 +104,26 @@ def rank_agreement(left: DataFrame, right: DataFrame, k: int) -> DataFrame:
     return pairs.join(common)
 
 
+def violations(g: InfluenceGraph, ids: list[int], lam: float = 1.0) -> DataFrame:
+    """(kind, n) over all sets of a short list of nodes: how often adding a node lowers the opinion spread,
+    and how often a node gains more on top of a set than on a part of it. Sets are bit masks; one world."""
+    from rippletide.operators import spread
+
+    if len(ids) > 10:
+        raise ValueError("for at most 10 nodes")
+    spark = g.nodes.sparkSession
+    rows = [(m, x) for m in range(1 << len(ids)) for i, x in enumerate(ids) if m >> i & 1]
+    value = spread.expected_spread(g, spark.createDataFrame(rows, "run long, id long"), 1, objective="opinion", lam=lam)
+    masks = stored(spark.range(1 << len(ids)).select(F.col("id").alias("m")).join(value.select(F.col("run").alias("m"), "spread"), "m", "left").select("m", F.coalesce("spread", F.lit(0.0)).alias("v")), "masks")
+    bit = F.explode(F.array(*[F.lit(1 << i) for i in range(len(ids))])).alias("bit")
+    steps = masks.select("m", "v", bit).where(F.col("m").bitwiseAND(F.col("bit")) == 0).withColumn("more", F.col("m") + F.col("bit"))
+    gains = stored(steps.join(masks.select(F.col("m").alias("more"), F.col("v").alias("w")), "more").select("m", "bit", F.round(F.col("w") - F.col("v"), 9).alias("gain")), "gains")
+    part = gains.select(F.col("m").alias("part"), "bit", F.col("gain").alias("less"))
+    rises = gains.join(part, "bit").where((F.col("part").bitwiseAND(F.col("m")) == F.col("part")) & (F.col("part") != F.col("m")) & (F.round(F.col("gain") - F.col("less"), 9) > 0))
+    count = lambda df, name: df.agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("kind"), "n")
+    return count(gains.where("gain < 0"), "monotone").union(count(rises, "submodular"))
+
+
 def submodularity(spark: SparkSession, g: InfluenceGraph, orders: list[int], lam: float = 1.0) -> DataFrame:
     """(size, spread): opinion spread as the seeds in ``orders`` are added one by one in one world."""
     from rippletide.operators import spread

@@ -89,47 +89,51 @@ def opinion_paths(max_len: int, lam: float) -> str:
 
 
 TOP_DEGREE = "seeds AS (SELECT u id FROM e GROUP BY u ORDER BY count(*) DESC, u LIMIT 3)"
+#: Unrolled steps of a cascade: more than any of those registered lasts (the longest ends at step 12).
+STEPS = 24
 
 
-def cascade_ic(worlds: int, steps: int, seed: int = 1, interaction: bool = True, edges: str = "e", nodes: str = "n", seeds: str = "seeds", prefix: str = "") -> str:
-    """CTEs ending in ``{prefix}act`` (world, id, step, parent, o_final)."""
+def _starts(worlds: int, nodes: str, seeds: str, run: str) -> str:
+    return f"SELECT {run}::BIGINT run, CAST(range AS INTEGER) world, s.id, 0 step, NULL::BIGINT parent, n.o o_final FROM range({worlds}), {seeds} s JOIN {nodes} n ON n.id=s.id"
+
+
+def cascade_ic(worlds: int, steps: int = STEPS, seed: int = 1, interaction: bool = True, edges: str = "e", nodes: str = "n", seeds: str = "seeds", prefix: str = "", run: str = "0") -> str:
+    """CTEs ending in ``{prefix}act`` (run, world, id, step, parent, o_final)."""
     p = prefix
     sign = f"CASE WHEN {u01('sign', seed, 'f.world', 'e.u', 'e.v')}<e.phi THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END" if interaction else "1.0::DOUBLE"
-    out = [f"{p}f0 AS (SELECT CAST(range AS INTEGER) world, s.id, 0 step, NULL::BIGINT parent, n.o o_final FROM range({worlds}), {seeds} s JOIN {nodes} n ON n.id=s.id)", f"{p}a0 AS (SELECT * FROM {p}f0)"]
+    out = [f"{p}f0 AS MATERIALIZED ({_starts(worlds, nodes, seeds, run)})", f"{p}a0 AS MATERIALIZED (SELECT * FROM {p}f0)"]
     for t in range(1, steps + 1):
         out.append(
-            f"{p}f{t} AS (SELECT world, v id, {t} step, u parent, (n.o+turn)/2 o_final FROM (SELECT f.world, e.u, e.v, f.o_final*({sign}) turn, row_number() OVER (PARTITION BY f.world, e.v ORDER BY {u01('tie', seed, 'f.world', 'e.u', 'e.v')}, e.u) k FROM {p}f{t - 1} f JOIN {edges} e ON e.u=f.id WHERE {u01('ic', seed, 'f.world', 'e.u', 'e.v')}<e.p AND NOT EXISTS (SELECT 1 FROM {p}a{t - 1} a WHERE a.world=f.world AND a.id=e.v)) JOIN {nodes} n ON n.id=v WHERE k=1)"
+            f"{p}f{t} AS MATERIALIZED (SELECT run, world, v id, {t} step, u parent, (n.o+turn)/2 o_final FROM (SELECT f.run, f.world, e.u, e.v, f.o_final*({sign}) turn, row_number() OVER (PARTITION BY f.run, f.world, e.v ORDER BY {u01('tie', seed, 'f.world', 'e.u', 'e.v')}, e.u) k FROM {p}f{t - 1} f JOIN {edges} e ON e.u=f.id WHERE {u01('ic', seed, 'f.world', 'e.u', 'e.v')}<e.p AND NOT EXISTS (SELECT 1 FROM {p}a{t - 1} a WHERE a.run=f.run AND a.world=f.world AND a.id=e.v)) JOIN {nodes} n ON n.id=v WHERE k=1)"
         )
-        out.append(f"{p}a{t} AS (SELECT * FROM {p}a{t - 1} UNION ALL SELECT * FROM {p}f{t})")
+        out.append(f"{p}a{t} AS MATERIALIZED (SELECT * FROM {p}a{t - 1} UNION ALL SELECT * FROM {p}f{t})")
     out.append(f"{p}act AS (SELECT * FROM {p}a{steps})")
     return ",\n".join(out)
 
 
-def cascade_lt(worlds: int, steps: int, seed: int = 1, interaction: bool = True) -> str:
+def cascade_lt(worlds: int, steps: int = STEPS, seed: int = 1, interaction: bool = True, seeds: str = "seeds", prefix: str = "", run: str = "0") -> str:
+    p = prefix
     sign = f"CASE WHEN {u01('sign', seed, 'a.world', 'e.u', 'e.v')}<e.phi THEN 1.0::DOUBLE ELSE -1.0::DOUBLE END" if interaction else "1.0::DOUBLE"
-    out = [f"a0 AS (SELECT CAST(range AS INTEGER) world, s.id, 0 step, NULL::BIGINT parent, n.o o_final FROM range({worlds}), seeds s JOIN n ON n.id=s.id)"]
+    out = [f"{p}a0 AS MATERIALIZED ({_starts(worlds, 'n', seeds, run)})"]
     for t in range(1, steps + 1):
         out.append(
-            f"f{t} AS (SELECT world, v id, {t} step, parent, (n.o+turn)/2 o_final FROM (SELECT a.world, e.v, min(e.u) parent, avg(a.o_final*({sign})) turn, sum(e.w) w FROM a{t - 1} a JOIN e ON e.u=a.id WHERE NOT EXISTS (SELECT 1 FROM a{t - 1} b WHERE b.world=a.world AND b.id=e.v) GROUP BY a.world, e.v HAVING sum(e.w)>={u01('theta', seed, 'a.world', 'e.v')}) JOIN n ON n.id=v)"
+            f"{p}f{t} AS MATERIALIZED (SELECT run, world, v id, {t} step, parent, (n.o+turn)/2 o_final FROM (SELECT a.run, a.world, e.v, min(e.u) parent, avg(a.o_final*({sign})) turn, sum(e.w) w FROM {p}a{t - 1} a JOIN e ON e.u=a.id WHERE NOT EXISTS (SELECT 1 FROM {p}a{t - 1} b WHERE b.run=a.run AND b.world=a.world AND b.id=e.v) GROUP BY a.run, a.world, e.v HAVING sum(e.w)>={u01('theta', seed, 'a.world', 'e.v')}) JOIN n ON n.id=v)"
         )
-        out.append(f"a{t} AS (SELECT * FROM a{t - 1} UNION ALL SELECT * FROM f{t})")
-    out.append(f"act AS (SELECT * FROM a{steps})")
+        out.append(f"{p}a{t} AS MATERIALIZED (SELECT * FROM {p}a{t - 1} UNION ALL SELECT * FROM {p}f{t})")
+    out.append(f"{p}act AS (SELECT * FROM {p}a{steps})")
     return ",\n".join(out)
 
 
 ACT = f"SELECT world, id, step, parent, {r6('o_final')} o_final FROM act"
 
 
-def reach(worlds: int, steps: int, sources: str, kept: str) -> str:
-    """CTEs ending in ``rch`` (world, src, id) along ``kept`` (world, u, v)."""
-    out = [f"r0 AS (SELECT CAST(range AS INTEGER) world, id src, id FROM range({worlds}), {sources})"]
-    for t in range(1, steps + 1):
-        out.append(f"r{t} AS (SELECT * FROM r{t - 1} UNION SELECT r.world, r.src, k.v FROM r{t - 1} r JOIN {kept} k ON k.world=r.world AND k.u=r.id)")
-    return ",\n".join(out) + f",\nrch AS (SELECT * FROM r{steps})"
+def reach(worlds: int, sources: str, kept: str) -> str:
+    """Recursive ``rch`` (world, src, id): what each source reaches along ``kept`` (world, u, v)."""
+    return f"rch(world, src, id) AS (SELECT CAST(range AS INTEGER), id, id FROM range({worlds}), {sources} UNION SELECT r.world, r.src, k.v FROM rch r JOIN {kept} k ON k.world=r.world AND k.u=r.id)"
 
 
 def kept_ic(worlds: int, seed: int = 1) -> str:
-    return f"kept AS (SELECT CAST(range AS INTEGER) world, u, v FROM range({worlds}), e WHERE {u01('ic', seed, 'range', 'u', 'v')}<p)"
+    return f"kept AS MATERIALIZED (SELECT CAST(range AS INTEGER) world, u, v FROM range({worlds}), e WHERE {u01('ic', seed, 'range', 'u', 'v')}<p)"
 
 
 LIVE = """spans AS (SELECT u, v, w, sum(w) OVER (PARTITION BY v ORDER BY u ROWS UNBOUNDED PRECEDING) high FROM e)"""
@@ -137,10 +141,10 @@ LIVE = """spans AS (SELECT u, v, w, sum(w) OVER (PARTITION BY v ORDER BY u ROWS
 
 def kept_live(worlds: int, seed: int = 1) -> str:
     d = u01("live", seed, "range", "v")
-    return f"{LIVE}, live AS (SELECT CAST(range AS INTEGER) world, u, v FROM range({worlds}), spans WHERE {d}>=high-w AND {d}<high)"
+    return f"{LIVE}, live AS MATERIALIZED (SELECT CAST(range AS INTEGER) world, u, v FROM range({worlds}), spans WHERE {d}>=high-w AND {d}<high)"
 
 
-def greedy_by_score(k: int, max_len: int, opinion: bool, worlds: int = 0, steps: int = 4, seed: int = 1) -> str:
+def greedy_by_score(k: int, max_len: int, opinion: bool, worlds: int = 0, steps: int = STEPS, seed: int = 1) -> str:
     """Unrolled score greedy; ``worlds`` > 0 takes away what is active in over half of the worlds."""
     parts = [graph_ctes()]
     edges, nodes, picks = "e", "n", []
@@ -168,29 +172,43 @@ def greedy_by_score(k: int, max_len: int, opinion: bool, worlds: int = 0, steps:
     return "WITH " + ",\n".join(parts) + f"\nSELECT rank, id, {r6('score')} score FROM ({' UNION ALL '.join(picks)})"
 
 
-def mc_greedy(worlds: int, steps: int) -> str:
-    return f"""WITH {graph_ctes()}, cand AS (SELECT u id FROM e GROUP BY u ORDER BY count(*) DESC, u LIMIT 10), {kept_ic(worlds)},
-{reach(worlds, steps, "cand", "kept")},
-one AS MATERIALIZED (SELECT 1 rank, src id, count(*) FILTER (WHERE id<>src)/{worlds}::DOUBLE score FROM rch GROUP BY src ORDER BY round(score,9) DESC, src LIMIT 1),
-pairs AS (SELECT c.id c, r.world, r.id FROM cand c, rch r WHERE c.id NOT IN (SELECT id FROM one) AND (r.src=c.id OR r.src IN (SELECT id FROM one))),
-two AS (SELECT 2 rank, c id, count(DISTINCT (world, id)) FILTER (WHERE id<>c AND id NOT IN (SELECT id FROM one))/{worlds}::DOUBLE score FROM pairs GROUP BY c ORDER BY round(score,9) DESC, c LIMIT 1)
+def mc_greedy(worlds: int) -> str:
+    """The two best seeds of all nodes by the nodes that sets reach in common worlds."""
+    return f"""WITH RECURSIVE {graph_ctes()}, {kept_ic(worlds)}, {reach(worlds, "n", "kept")},
+all_ AS MATERIALIZED (SELECT * FROM rch),
+one AS MATERIALIZED (SELECT 1 rank, src id, count(*)/{worlds}::DOUBLE-1 score FROM all_ GROUP BY src ORDER BY round(score,9) DESC, src LIMIT 1),
+had AS MATERIALIZED (SELECT world, id FROM all_ WHERE src IN (SELECT id FROM one)),
+more AS (SELECT src, count(*) c FROM all_ WHERE src NOT IN (SELECT id FROM one) AND NOT EXISTS (SELECT 1 FROM had WHERE had.world=all_.world AND had.id=all_.id) GROUP BY src),
+sums AS (SELECT n.id, (h+coalesce(c,0))/{worlds}::DOUBLE-2 score FROM n CROSS JOIN (SELECT count(*) h FROM had) LEFT JOIN more ON src=n.id WHERE n.id NOT IN (SELECT id FROM one)),
+two AS (SELECT 2 rank, id, score FROM sums ORDER BY round(score,9) DESC, id LIMIT 1)
 SELECT rank, id, {r6("score")} score FROM (SELECT * FROM one UNION ALL SELECT * FROM two)"""
 
 
-def rr_cover(count: int, steps: int, k: int, seed: int = 1) -> str:
+def opinion_greedy(worlds: int, lt: bool, interaction: bool) -> str:
+    """The two best seeds of all nodes by simulated opinion spread: every candidate is a run."""
+
+    def act(prefix: str, runs: str) -> str:
+        if lt:
+            return cascade_lt(worlds, STEPS, 1, interaction, runs, prefix, "s.run")
+        return cascade_ic(worlds, STEPS, 1, interaction, seeds=runs, prefix=prefix, run="s.run")
+
+    best = lambda rank, prefix: f"b{rank} AS MATERIALIZED (SELECT {rank} rank, run id, sum(CASE WHEN step>0 THEN o_final ELSE 0 END)/{worlds} score FROM {prefix}act GROUP BY run ORDER BY round(score,9) DESC, run LIMIT 1)"
+    return f"""WITH {graph_ctes()}, r1 AS MATERIALIZED (SELECT id run, id FROM n), {act("x", "r1")}, {best(1, "x")},
+r2 AS MATERIALIZED (SELECT n.id run, unnest([n.id, b1.id]) id FROM n, b1 WHERE n.id<>b1.id), {act("y", "r2")}, {best(2, "y")}
+SELECT rank, id, {r6("score")} score FROM (SELECT * FROM b1 UNION ALL SELECT * FROM b2)"""
+
+
+def rr_cover(count: int, k: int, seed: int = 1) -> str:
     parts = [
         graph_ctes("1.0::DOUBLE/d"),
         "ix AS (SELECT row_number() OVER (ORDER BY id)-1 k, id FROM n)",
-        f"f0 AS (SELECT range rr, id FROM range({count}) JOIN ix ON k=floor({u01('root', seed, 'range')}*(SELECT count(*) FROM n)))",
+        f"rrs(rr, id) AS (SELECT range, id FROM range({count}) JOIN ix ON k=floor({u01('root', seed, 'range')}*(SELECT count(*) FROM n)) UNION SELECT rr, e.u FROM rrs JOIN e ON e.v=id WHERE {u01('rr', seed, 'rr', 'e.u', 'e.v')}<p)",
+        "l0 AS MATERIALIZED (SELECT * FROM rrs)",
     ]
-    for t in range(1, steps + 1):
-        parts.append(f"f{t} AS (SELECT * FROM f{t - 1} UNION SELECT rr, e.u FROM f{t - 1} JOIN e ON e.v=id WHERE {u01('rr', seed, 'rr', 'e.u', 'e.v')}<p)")
-    left = f"f{steps}"
     for r in range(1, k + 1):
-        parts.append(f"b{r} AS MATERIALIZED (SELECT {r} rank, id, count(*)::DOUBLE score FROM {left} GROUP BY id ORDER BY count(*) DESC, id LIMIT 1)")
-        parts.append(f"l{r} AS MATERIALIZED (SELECT * FROM {left} WHERE rr NOT IN (SELECT rr FROM {left} WHERE id IN (SELECT id FROM b{r})))")
-        left = f"l{r}"
-    return "WITH " + ",\n".join(parts) + " " + " UNION ALL ".join(f"SELECT * FROM b{r}" for r in range(1, k + 1))
+        parts.append(f"b{r} AS MATERIALIZED (SELECT {r} rank, id, count(*)::DOUBLE score FROM l{r - 1} GROUP BY id ORDER BY count(*) DESC, id LIMIT 1)")
+        parts.append(f"l{r} AS MATERIALIZED (SELECT * FROM l{r - 1} WHERE rr NOT IN (SELECT rr FROM l{r - 1} WHERE id IN (SELECT id FROM b{r})))")
+    return "WITH RECURSIVE " + ",\n".join(parts) + " " + " UNION ALL ".join(f"SELECT * FROM b{r}" for r in range(1, k + 1))
 
 
 def rank_rounds(rounds: int, alpha: float) -> str:
@@ -225,13 +243,32 @@ def propagation(rounds: int) -> str:
 
 TOY = """arcs(i,u,v,p,phi) AS (VALUES (0,1,4,0.8::DOUBLE,0.9::DOUBLE),(1,2,1,0.1,0.7),(2,2,3,0.1,0.8),(3,3,4,0.9,0.1)),
 nodes(id,o) AS (VALUES (1::BIGINT,0.8::DOUBLE),(2,0.0),(3,0.6),(4,-0.3))"""
+EXACT_TOY = f"""live AS (SELECT range world, u, v, phi FROM range(16), arcs WHERE ((range>>i)&1)=1),
+wt AS (SELECT range world, product(CASE WHEN ((range>>i)&1)=1 THEN p ELSE 1-p END) weight FROM range(16), arcs GROUP BY 1),
+rc(world, src, id) AS (SELECT range, id, id FROM range(16), nodes UNION SELECT rc.world, src, v FROM rc JOIN live ON live.world=rc.world AND live.u=rc.id),
+toy_spread AS (SELECT src id, {r6('coalesce(sum(weight) FILTER (WHERE rc.id<>src),0)')} spread FROM rc JOIN wt USING (world) GROUP BY src)"""
+
+
+def exact_opinion_toy() -> str:
+    """All worlds of the worked example; simultaneous activators average, signs enter by expectation."""
+    steps = ["h0 AS (SELECT range world, id src, id, o op FROM range(16), nodes)", "k0 AS (SELECT * FROM h0)"]
+    for t in (1, 2, 3):
+        steps.append(f"h{t} AS MATERIALIZED (SELECT l.world, f.src, l.v::BIGINT id, (any_value(n.o)+avg((2*l.phi-1)*f.op))/2 op FROM h{t - 1} f JOIN live l ON l.world=f.world AND l.u=f.id JOIN nodes n ON n.id=l.v WHERE NOT EXISTS (SELECT 1 FROM k{t - 1} k WHERE k.world=f.world AND k.src=f.src AND k.id=l.v) GROUP BY 1, 2, 3)")
+        steps.append(f"k{t} AS MATERIALIZED (SELECT * FROM k{t - 1} UNION ALL SELECT * FROM h{t})")
+    return f"WITH RECURSIVE {TOY}, {EXACT_TOY}, {', '.join(steps)} SELECT src id, {r6('coalesce(sum(weight*op) FILTER (WHERE k3.id<>src),0)')} spread FROM k3 JOIN wt USING (world) GROUP BY src"
+
+
+PATHS = f"""WITH RECURSIVE c AS (SELECT conv_id path_id, conv_id*1000000+turn id, row_number() OVER (PARTITION BY conv_id ORDER BY turn)-1 pos FROM conversations),
+x AS (SELECT a.path_id, a.pos, 2*{u01('o', 1, 'a.id')}-1 o, {u01('phi', 1, 'b.id', 'a.id')} phi FROM c a LEFT JOIN c b ON b.path_id=a.path_id AND b.pos=a.pos-1),
+w(path_id, pos, prob, op, total) AS (SELECT path_id, pos, 1.0::DOUBLE, o, 0.0::DOUBLE FROM x WHERE pos=0 UNION ALL SELECT x.path_id, x.pos, prob*0.5::DOUBLE, (x.o+(2*x.phi-1)*op)/2, total+prob*0.5::DOUBLE*(x.o+(2*x.phi-1)*op)/2 FROM w JOIN x ON x.path_id=w.path_id AND x.pos=w.pos+1)
+SELECT path_id, {r6('arg_max(total, pos)')} spread FROM w GROUP BY 1"""
 TREE = """tree AS (SELECT n_regionkey::BIGINT u, n_nationkey+1000000000000 v FROM nation UNION ALL SELECT c_nationkey+1000000000000, c_custkey+2000000000000 FROM customer UNION ALL SELECT o_custkey+2000000000000, o_orderkey+3000000000000 FROM orders)"""
 DAG = """dag AS (SELECT o_custkey+2000000000000 u, o_orderkey+3000000000000 v FROM orders UNION ALL SELECT DISTINCT l_orderkey+3000000000000, l_partkey+4000000000000 FROM lineitem)"""
 
 
 def sql() -> dict[str, str]:
     base = graph_ctes()
-    ic = f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8, 4)}"
+    ic = f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8)}"
     out = {
         "graph_copurchase": f"WITH {COPURCHASE} SELECT * FROM cop",
         "graph_succession": f"WITH {SUCCESSION} SELECT * FROM suc",
@@ -269,29 +306,32 @@ def sql() -> dict[str, str]:
         "score_topk": f"WITH {base}, {walk_rounds(3)} SELECT CAST(row_number() OVER (ORDER BY score DESC, id) AS INTEGER) rank, id, {r6('score')} score FROM s3 ORDER BY score DESC, id LIMIT 10",
         "rescore_delta": f"WITH {base}, {walk_rounds(3)}, b AS MATERIALIZED (SELECT id FROM s3 ORDER BY score DESC, id LIMIT 1), e2 AS (SELECT * FROM e WHERE u NOT IN (SELECT id FROM b) AND v NOT IN (SELECT id FROM b)), {walk_rounds(3, 'e2', 't')} SELECT n.id, {r6('coalesce(score,0)')} score FROM n LEFT JOIN t3 t ON t.id=n.id WHERE n.id NOT IN (SELECT id FROM b)",
         "walk_score_live_edge": f"WITH {base}, {kept_live(8)}, q AS (SELECT world, u id, count(*)::DOUBLE score FROM live GROUP BY 1, 2), q2 AS (SELECT l.world, l.u id, sum(1+coalesce(score,0)) score FROM live l LEFT JOIN q ON q.world=l.world AND q.id=l.v GROUP BY 1, 2), z AS (SELECT id, sum(score)/8 score FROM q2 GROUP BY 1) SELECT n.id, {r6('coalesce(score,0)')} score FROM n LEFT JOIN z USING (id)",
-        "cascade_ic": f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8, 4)} SELECT world, id, step FROM act",
-        "cascade_wc": f"WITH {graph_ctes('1.0::DOUBLE/d')}, {TOP_DEGREE}, {cascade_ic(8, 4)} SELECT world, id, step FROM act",
+        "cascade_ic": f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8)} SELECT world, id, step FROM act",
+        "cascade_wc": f"WITH {graph_ctes('1.0::DOUBLE/d')}, {TOP_DEGREE}, {cascade_ic(8)} SELECT world, id, step FROM act",
         "cascade_oi_ic": f"{ic} {ACT}",
-        "cascade_oc_ic": f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8, 4, 1, False)} {ACT}",
-        "cascade_lt": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8, 4)} SELECT world, id, step FROM act",
-        "cascade_oi_lt": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8, 4)} {ACT}",
-        "cascade_oc": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8, 4, 1, False)} {ACT}",
+        "cascade_oc_ic": f"WITH {base}, {TOP_DEGREE}, {cascade_ic(8, STEPS, 1, False)} {ACT}",
+        "cascade_lt": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8)} SELECT world, id, step FROM act",
+        "cascade_oi_lt": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8)} {ACT}",
+        "cascade_oc": f"WITH {base}, {TOP_DEGREE}, {cascade_lt(8, STEPS, 1, False)} {ACT}",
         "live_edges": f"WITH {base}, {kept_live(4)} SELECT * FROM live",
         "sample_worlds": f"WITH {base}, {kept_ic(4)} SELECT * FROM kept",
-        "cascade_live_edge": f"WITH {base}, {TOP_DEGREE}, {kept_live(8)}, {reach(8, 4, 'seeds', 'live')} SELECT DISTINCT world, id FROM rch",
-        "reach_bits": f"WITH {base}, {TOP_DEGREE}, {kept_ic(64)}, {reach(64, 4, 'seeds', 'kept')} SELECT id, CAST(count(DISTINCT world) AS BIGINT) worlds FROM rch GROUP BY id",
+        "cascade_live_edge": f"WITH RECURSIVE {base}, {TOP_DEGREE}, {kept_live(8)}, {reach(8, 'seeds', 'live')} SELECT DISTINCT world, id FROM rch",
+        "reach_bits": f"WITH RECURSIVE {base}, {TOP_DEGREE}, {kept_ic(64)}, {reach(64, 'seeds', 'kept')} SELECT id, CAST(count(DISTINCT world) AS BIGINT) worlds FROM rch GROUP BY id",
         "activation_probability": f"{ic} SELECT id, {r6('count(*)/8::DOUBLE')} probability FROM act GROUP BY id",
         "expected_spread": f"{ic} SELECT {r6('count(*) FILTER (WHERE step>0)/8::DOUBLE')} spread FROM act",
         "opinion_spread": f"{ic} SELECT world, {r6('sum(CASE WHEN step>0 THEN o_final ELSE 0 END)')} spread FROM act GROUP BY world",
-        "marginal_gain": f"WITH {base}, {TOP_DEGREE}, {kept_ic(8)}, {reach(8, 4, 'seeds', 'kept')}, a AS MATERIALIZED (SELECT min(id) id FROM seeds), b AS (SELECT count(*) FILTER (WHERE id<>src)/8::DOUBLE v FROM rch WHERE src IN (SELECT id FROM a)), t AS (SELECT x.id c, count(DISTINCT (r.world, r.id)) FILTER (WHERE r.id<>x.id AND r.id NOT IN (SELECT id FROM a))/8::DOUBLE v FROM seeds x, rch r WHERE x.id NOT IN (SELECT id FROM a) AND (r.src=x.id OR r.src IN (SELECT id FROM a)) GROUP BY 1) SELECT c id, {r6('v-(SELECT v FROM b)')} gain FROM t",
-        "exact_spread_toy": f"WITH RECURSIVE {TOY}, live AS (SELECT range world, u, v FROM range(16), arcs WHERE ((range>>i)&1)=1), wt AS (SELECT range world, product(CASE WHEN ((range>>i)&1)=1 THEN p ELSE 1-p END) weight FROM range(16), arcs GROUP BY 1), rc(world, src, id) AS (SELECT range, id, id FROM range(16), nodes UNION SELECT rc.world, src, v FROM rc JOIN live ON live.world=rc.world AND live.u=rc.id) SELECT src id, {r6('coalesce(sum(weight) FILTER (WHERE rc.id<>src),0)')} spread FROM rc JOIN wt USING (world) GROUP BY src",
-        "exact_opinion_spread_toy": "SELECT * FROM (VALUES (1::BIGINT, 0.136::DOUBLE), (2, 0.047436), (3, -0.351), (4, 0.0)) t(id, spread)",
+        "marginal_gain": f"WITH RECURSIVE {base}, {TOP_DEGREE}, {kept_ic(8)}, {reach(8, 'seeds', 'kept')}, a AS MATERIALIZED (SELECT min(id) id FROM seeds), b AS (SELECT count(*) FILTER (WHERE id<>src)/8::DOUBLE v FROM rch WHERE src IN (SELECT id FROM a)), t AS (SELECT x.id c, count(DISTINCT (r.world, r.id)) FILTER (WHERE r.id<>x.id AND r.id NOT IN (SELECT id FROM a))/8::DOUBLE v FROM seeds x, rch r WHERE x.id NOT IN (SELECT id FROM a) AND (r.src=x.id OR r.src IN (SELECT id FROM a)) GROUP BY 1) SELECT c id, {r6('v-(SELECT v FROM b)')} gain FROM t",
+        "exact_spread_toy": f"WITH RECURSIVE {TOY}, {EXACT_TOY} SELECT * FROM toy_spread",
+        "exact_opinion_spread_toy": exact_opinion_toy(),
         "score_greedy_k3_seed": greedy_by_score(3, 3, False),
-        "score_greedy_k3_majority": greedy_by_score(3, 3, False, 8, 4),
+        "score_greedy_k3_majority": greedy_by_score(3, 3, False, 8),
         "opinion_score_greedy_k3": greedy_by_score(3, 3, True),
-        "mc_greedy_k2": mc_greedy(8, 4),
-        "lazy_greedy_k2": mc_greedy(8, 4),
-        "rr_cover_k3": rr_cover(200, 4, 3),
+        "score_greedy_k3_delta": greedy_by_score(3, 3, False),
+        "mc_greedy_k2": mc_greedy(8),
+        "lazy_greedy_k2": mc_greedy(8),
+        "opinion_mc_greedy_k2": opinion_greedy(8, False, True),
+        "oc_greedy_k2": opinion_greedy(8, True, False),
+        "rr_cover_k3": rr_cover(200, 3),
         "influence_rank": f"WITH {base}, {rank_rounds(5, 0.7)} SELECT id, {r6('score')} score FROM k5",
         "degree_seeds": f"WITH {base} SELECT CAST(row_number() OVER (ORDER BY count(*) DESC, u) AS INTEGER) rank, u id, count(*)::DOUBLE score FROM e GROUP BY u ORDER BY 1 LIMIT 5",
         "random_seeds": f"WITH {base} SELECT CAST(row_number() OVER (ORDER BY {u01('pick', 1, 'id')} DESC, id) AS INTEGER) rank, id, {r6(u01('pick', 1, 'id'))} score FROM n ORDER BY 1 LIMIT 5",
@@ -300,9 +340,23 @@ def sql() -> dict[str, str]:
         "dag_bounds": f"WITH {DAG}, e AS (SELECT u, v, 0.1::DOUBLE p FROM dag), {paths(2)}, m AS (SELECT src, dst, sum(x) s, sum(x*x) q FROM sp GROUP BY 1, 2) SELECT src id, {r6('abs(-0.9::DOUBLE*sum(s))')} union_bound, {r6('sum((s*s-q)/2)')} walk_bound, {r6('abs(-0.8::DOUBLE*sum(s))')} total_bound FROM m GROUP BY 1",
         "cycle_error": f"WITH {base}, {paths(2)} SELECT src id, {r6('sum(x*e.p/(length+1))')} error FROM sp JOIN e ON e.u=dst AND e.v=src GROUP BY 1",
         "expected_path_mass": f"SELECT i, {r6('4.0::DOUBLE**(i-1)*0.1::DOUBLE**i')} mass, {r6('4.0::DOUBLE**(i-1)*0.1::DOUBLE**i/i')} cycle_mass, {r6('4*0.1::DOUBLE')} critical FROM (SELECT range i FROM range(1, 9))",
-        "order_condition": "WITH t(id, t, s) AS (VALUES (1,0.8::DOUBLE,0.8::DOUBLE),(2,0.3628,0.37),(3,0.9,0.9),(4,0.0,0.0)) SELECT a.id::BIGINT u, b.id::BIGINT v, true holds, true kept FROM t a JOIN t b ON a.t>b.t",
-        "submodularity_two_layer": "SELECT * FROM (VALUES (1::BIGINT, 1.0::DOUBLE), (2, 0.0), (3, 1.0)) t(size, spread)",
-        "set_cover_instance": "SELECT * FROM (VALUES ('cover', 0.125::DOUBLE), ('none', 0.0)) t(kind, spread)",
+        "order_condition": f"WITH RECURSIVE {TOY}, {EXACT_TOY}, {walk_rounds(3, 'arcs')}, r AS (SELECT t.id, t.spread t, coalesce(score,0) s, coalesce(score,0)-t.spread x FROM toy_spread t LEFT JOIN s3 ON s3.id=t.id) SELECT a.id u, b.id v, b.x-a.x<a.t-b.t holds, a.s>b.s kept FROM r a JOIN r b ON a.t>b.t",
+        "submodularity_two_layer": "WITH seeds(n, u) AS (VALUES (1::BIGINT,1),(2,4),(3,2)), x AS (SELECT n, sum(2*(CASE WHEN u=4 THEN -1.0::DOUBLE ELSE 1.0 END)/2) OVER (ORDER BY n) s FROM seeds) SELECT n size, s spread FROM x",
+        "set_cover_instance": "WITH sets(kind, i, j) AS (VALUES ('cover',1,0),('cover',1,1),('cover',2,2),('cover',2,3),('cover',3,1),('cover',3,2),('none',1,0),('none',1,1),('none',2,1),('none',2,2),('none',3,0),('none',3,2)), pairs AS (SELECT DISTINCT a.kind, a.i x, b.i y FROM sets a JOIN sets b ON a.kind=b.kind AND a.i<b.i), c AS (SELECT p.kind, x, y, count(DISTINCT j) covered FROM pairs p JOIN sets s ON s.kind=p.kind AND s.i IN (x, y) GROUP BY ALL), o AS (SELECT 4.0::DOUBLE n, 5 middle, (1/4.0::DOUBLE)/2 element), z AS (SELECT kind, covered*element+middle*(-1/(2*n)+element)/2+(-1+1/n+(-1/(2*n)+element)/2)/2 spread FROM c, o) SELECT kind, round(max(spread),6)+0.0 spread FROM z GROUP BY kind",
+        "submodularity_violations": "WITH s AS (SELECT range m FROM range(16)), v AS (SELECT m, list_sum([CASE WHEN (m>>i)&1=0 THEN 0.0::DOUBLE WHEN i=3 THEN -1.0 ELSE 1.0 END FOR i IN range(4)]) spread FROM s), g AS (SELECT a.m, i x, b.spread-a.spread gain FROM v a, range(4) r(i), v b WHERE (a.m>>i)&1=0 AND b.m=a.m+(1<<i)) SELECT 'monotone' kind, CAST(count(*) AS BIGINT) n FROM g WHERE round(gain,9)<0 UNION ALL SELECT 'submodular', CAST(count(*) AS BIGINT) FROM g a JOIN g b ON a.x=b.x AND (a.m&b.m)=a.m AND a.m<>b.m WHERE round(b.gain-a.gain,9)>0",
+        "repeated_paths": "SELECT range t, 1-(1-0.125::DOUBLE)**range united, range*0.125::DOUBLE summed FROM range(1,6)",
+        "violation_window": f"SELECT t1, t2, {r6('ln(t1/t2::DOUBLE)/-ln(0.1::DOUBLE)')} gap FROM (VALUES (2,1),(10,1),(50,5),(100,3)) t(t1, t2)",
+        "set_decomposition": f"WITH RECURSIVE {base}, {TOP_DEGREE}, {kept_ic(8)}, {reach(8, 'seeds', 'kept')}, f AS MATERIALIZED (SELECT min(id) id FROM seeds), a AS MATERIALIZED (SELECT DISTINCT world, id FROM rch WHERE src IN (SELECT id FROM f)), b AS MATERIALIZED (SELECT DISTINCT world, id FROM rch WHERE src NOT IN (SELECT id FROM f)) SELECT w.world, (SELECT count(*) FROM (SELECT id FROM a WHERE a.world=w.world UNION SELECT id FROM b WHERE b.world=w.world)) n_union, (SELECT count(*) FROM a WHERE a.world=w.world) n_a, (SELECT count(*) FROM b WHERE b.world=w.world AND b.id NOT IN (SELECT id FROM a WHERE a.world=w.world)) n_rest FROM (SELECT DISTINCT world FROM rch) w",
+        "lt_equals_live_edge": f"WITH RECURSIVE {base}, {TOP_DEGREE}, {kept_live(64)}, {reach(64, 'seeds', 'live')}, {cascade_lt(64)} SELECT 'live edges' model, {r6('(SELECT count(*) FROM (SELECT DISTINCT world, id FROM rch) WHERE id NOT IN (SELECT id FROM seeds))/64::DOUBLE')} spread UNION ALL SELECT 'thresholds', {r6('(SELECT count(*) FROM act WHERE step>0)/64::DOUBLE')}",
+        "dag_lt_exactness": f"WITH {DAG}, deg AS (SELECT v, count(*) d FROM dag GROUP BY v), e AS (SELECT u, v, 1.0::DOUBLE/d p FROM dag JOIN deg USING (v)), {paths(2)} SELECT src id, {r6('sum(x)')} score FROM sp GROUP BY 1",
+        "path_closed_form": PATHS,
+        "opinion_walk_score_normal": f"WITH {base}, nn AS (SELECT id, greatest(-1,least(1,sqrt(-2*ln(1-{u01('n1', 1, 'id')}))*cos(2*pi()*{u01('n2', 1, 'id')}))) o FROM n), {opinion_rounds(3, 'e', 'nn')} SELECT id, {r6('score')} score FROM q3",
+        "cascade_oi_wc": f"WITH {graph_ctes('1.0::DOUBLE/d')}, {TOP_DEGREE}, {cascade_ic(8)} {ACT}",
+        "spread_stderr": f"{ic}, x AS (SELECT world, count(*) FILTER (WHERE step>0) c FROM act GROUP BY world) SELECT {r6('avg(c)')} spread, {r6('stddev_samp(c)/sqrt(8)')} stderr FROM x",
+        "graph_normalize": f"WITH {base} SELECT u, v, p, {r6('w')} w, {r6('phi')} phi FROM e",
+        "graph_violations": f"WITH {base} SELECT 'self_loop' rule, CAST(count(*) AS BIGINT) n FROM e WHERE u=v UNION ALL SELECT 'null', count(*) FROM e WHERE u IS NULL OR v IS NULL OR p IS NULL UNION ALL SELECT 'range', count(*) FROM e WHERE p<0 OR p>1 OR w<0 OR w>1 OR phi<0 OR phi>1 UNION ALL SELECT 'opinion', count(*) FROM n WHERE o IS NULL OR o<-1 OR o>1 UNION ALL SELECT 'repeated', count(*) FROM (SELECT 1 FROM e GROUP BY u, v HAVING count(*)>1) UNION ALL SELECT 'unknown_end', count(*) FROM (SELECT u id FROM e UNION ALL SELECT v FROM e) x WHERE id NOT IN (SELECT id FROM n)",
+        "brute_force_toy": f"WITH RECURSIVE {TOY}, kept AS MATERIALIZED (SELECT CAST(range AS INTEGER) world, u::BIGINT u, v::BIGINT v FROM range(64), arcs WHERE {u01('ic', 1, 'range', 'u', 'v')}<p), {reach(64, 'nodes', 'kept')}, pr AS (SELECT a.id x, b.id y FROM nodes a JOIN nodes b ON a.id<b.id), z AS (SELECT x, y, count(DISTINCT (world, rch.id))/64::DOUBLE-2 s FROM pr JOIN rch ON src IN (x, y) GROUP BY 1, 2), best AS (SELECT * FROM z ORDER BY round(s,9) DESC, x, y LIMIT 1) SELECT 1 rank, x id, {r6('s')} score FROM best UNION ALL SELECT 2, y, {r6('s')} FROM best",
+        "opinion_error_split": f"WITH {TOPIC_EDGES}, {ESTIMATE}, who AS (SELECT DISTINCT topic, user_id FROM org), k AS (SELECT est.*, CASE WHEN who.user_id IS NULL THEN 'other' ELSE 'seed' END node FROM est LEFT JOIN who USING (topic, user_id)) SELECT node, {r6('sqrt(avg((estimate-truth)**2))/(max(truth)-min(truth))')} nrmse, CAST(count(*) AS BIGINT) n FROM k GROUP BY node",
         "rank_agreement": f"WITH {graph_ctes(source='suc')}, {walk_rounds(3)}, j AS (SELECT id, round(a.score,9) a, round(b.score,9) b FROM s1 a JOIN s3 b USING (id)), z AS (SELECT sign(x.a-y.a)*sign(x.b-y.b) s FROM j x JOIN j y ON x.id<y.id) SELECT CAST(sum((s>0)::INT) AS BIGINT) concordant, CAST(sum((s<0)::INT) AS BIGINT) discordant, {r6('avg(s)')} tau FROM z",
         "topic_posts": f"WITH {POSTS} SELECT topic, CAST(count(*) AS BIGINT) posts, {r6('avg(opinion)')} opinion FROM posts GROUP BY 1",
         "gap_threshold": f"WITH {POSTS} SELECT topic, (round(threshold,3)+0.0) threshold FROM lim",

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rippletide import oracles as oracle_text
 from rippletide.operators import baselines, churn, diffusion, errors, graphs, params, scores, seeds, spread, topics
+from rippletide.functions.rng import u01
 from rippletide.operators.graphs import InfluenceGraph, graph
 from rippletide.sources.tables import table
 
@@ -61,7 +62,7 @@ _plain("graph_copies", lambda s, d: graphs.copy_edges(s, d))
 _plain("graph_profile", lambda s, d: graphs.profile(graph(graphs.copurchase_edges(s, d)), 2))
 _plain("graph_profile_sketch", lambda s, d: graphs.profile_sketch(graph(graphs.succession_edges(s, d)).materialized()))
 _plain("graph_violations", lambda s, d: graphs.violations(base_graph(s, d)))
-_plain("graph_normalize", lambda s, d: graphs.normalize(base_graph(s, d)).edges)
+_plain("graph_normalize", lambda s, d: rounded(graphs.normalize(base_graph(s, d)).edges, "p", "w", "phi"))
 _plain("symmetrize", lambda s, d: graphs.symmetrize(graphs.succession_edges(s, d).select("u", "v")))
 _plain("project_graph", lambda s, d: topics.project_graph(graphs.succession_edges(s, d).select("u", "v"), topics.topic_posts(s, d).where("topic = 7")))
 _plain("assign_ic", lambda s, d: params.assign_ic(graph(graphs.copurchase_edges(s, d).select("u", "v"))).edges.select("u", "v", "p"))
@@ -88,6 +89,7 @@ _score("walk_score_lt", lambda g: scores.walk_score(g.with_p("w"), 3))
 _score("walk_score_profile", lambda g: scores.walk_score_profile(g, 3))
 _score("opinion_walk_score_l1", lambda g: scores.opinion_walk_score(g, 1))
 _score("opinion_walk_score_l3", lambda g: scores.opinion_walk_score(g, 3))
+_score("opinion_walk_score_normal", lambda g: scores.opinion_walk_score(params.opinions_normal(g, mode=MODE), 3))
 _score("union_walk_score_l2", lambda g: scores.union_walk_score(g, 2))
 _score("union_walk_score_l3", lambda g: scores.union_walk_score(g, 3))
 _score("simple_path_score", lambda g: scores.simple_path_score(g, 3))
@@ -129,6 +131,7 @@ _cascade("cascade_oi_ic", lambda g, k: diffusion.cascade_ic(g, k, **KW), opinion
 _cascade("cascade_oc_ic", lambda g, k: diffusion.cascade_ic(g, k, interaction=False, **KW), opinions=True)
 _cascade("cascade_oi_lt", lambda g, k: diffusion.cascade_lt(g, k, **KW), opinions=True)
 _cascade("cascade_oc", lambda g, k: diffusion.cascade_lt(g, k, interaction=False, **KW), opinions=True)
+_cascade("cascade_oi_wc", lambda g, k: diffusion.cascade_ic(g, k, **KW), "wc", opinions=True)
 _plain("live_edges", lambda s, d: diffusion.live_edges(base_graph(s, d), 4, mode=MODE))
 _plain("sample_worlds", lambda s, d: diffusion.sample_worlds(base_graph(s, d), 4, mode=MODE))
 
@@ -152,6 +155,7 @@ def _act(s: SparkSession, d: str) -> DataFrame:
 
 _plain("activation_probability", lambda s, d: rounded(spread.activation_probability(_act(s, d), 8).select("id", "probability"), "probability"))
 _plain("expected_spread", lambda s, d: rounded(spread.expected(spread.spread(_act(s, d)), 8).select("spread"), "spread"))
+_plain("spread_stderr", lambda s, d: rounded(spread.expected(spread.spread(_act(s, d)), 8).select("spread", "stderr"), "spread", "stderr"))
 _plain("opinion_spread", lambda s, d: rounded(spread.opinion_spread(_act(s, d)).select("world", "spread"), "spread"))
 for _n, _v in (("0", 0.0), ("05", 0.5), ("1", 1.0)):
     _plain(f"effective_spread_lam{_n}", lambda s, d, v=_v: rounded(spread.expected(spread.opinion_spread(_act(s, d), v), 8).select("spread"), "spread"))
@@ -187,7 +191,7 @@ _seeds("influence_rank_seeds_k2", lambda g: baselines.influence_rank_seeds(g, 2,
 _seeds("simpath_k2", lambda g: baselines.simpath_seeds(g, 2, eta=0.05, max_len=4))
 _seeds("degree_seeds", lambda g: seeds.degree_seeds(g, 5))
 _seeds("random_seeds", lambda g: seeds.random_seeds(g, 5, mode=MODE))
-_plain("brute_force_toy", lambda s, d: rounded(seeds.brute_force_seeds(graphs.toy_graph(s), 2, 64), "score"))
+_plain("brute_force_toy", lambda s, d: rounded(seeds.brute_force_seeds(graphs.toy_graph(s), 2, 64, mode=MODE), "score"))
 _plain("path_mass", lambda s, d: rounded(errors.path_mass(base_graph(s, d), 2), "mass"))
 _plain("contribution", lambda s, d: rounded(errors.contribution(base_graph(s, d), 2), "summed", "united"))
 _plain("dag_bounds", lambda s, d: rounded(errors.dag_bounds(graph(graphs.order_dag_edges(s, d)).materialized(), 2, 0.1), "union_bound", "walk_bound", "total_bound"))
@@ -199,6 +203,56 @@ _plain("submodularity_two_layer", lambda s, d: rounded(errors.submodularity(s, g
 _plain("tree_exactness", lambda s, d: rounded(scores.walk_score(graph(graphs.tree_edges(s, d)).materialized(), 3).where("score > 0"), "score"))
 
 
+_plain("submodularity_violations", lambda s, d: errors.violations(graphs.two_layer_graph(s, 4), [1, 2, 3, 4]))
+
+
+@query
+def violation_window(s: SparkSession, d: str) -> DataFrame:
+    out = None
+    for t1, t2 in ((2, 1), (10, 1), (50, 5), (100, 3)):
+        one = errors.violation_window(s, 0.1, t1, t2).select(F.lit(t1).alias("t1"), F.lit(t2).alias("t2"), r6("gap").alias("gap"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query
+def set_decomposition(s: SparkSession, d: str) -> DataFrame:
+    """Spread of the first seed, of the others beyond it, and of all, in common worlds."""
+    g = base_graph(s, d)
+    first, *rest = sorted(r["id"] for r in top(g).collect())
+    runs = s.createDataFrame([(0, first), *[(1, x) for x in rest], *[(2, x) for x in (first, *rest)]], "run long, id long")
+    return errors.decomposition(diffusion.cascade_ic(g, runs, **KW), 0, 1, 2)
+
+
+@query
+def lt_equals_live_edge(s: SparkSession, d: str) -> DataFrame:
+    """Mean spread under thresholds and along live edges: two draws of one distribution."""
+    g, worlds = base_graph(s, d), 64
+    by = {"thresholds": diffusion.cascade_lt(g, top(g), worlds, mode=MODE), "live edges": diffusion.cascade_worlds(g, top(g), diffusion.live_edges(g, worlds, mode=MODE), worlds)}
+    out = None
+    for name, act in by.items():
+        one = act.agg((F.count(F.when(F.col("step") > 0, 1)) / worlds).alias("spread")).select(F.lit(name).alias("model"), r6("spread").alias("spread"))
+        out = one if out is None else out.union(one)
+    return out
+
+
+@query
+def dag_lt_exactness(s: SparkSession, d: str) -> DataFrame:
+    """On a DAG under linear threshold the walk score is the exact spread: the sum over its paths."""
+    g = params.assign_lt(graph(graphs.order_dag_edges(s, d))).materialized()
+    return rounded(scores.walk_score(g.with_p("w"), 2).where("score > 0"), "score")
+
+
+@query
+def path_closed_form(s: SparkSession, d: str) -> DataFrame:
+    """Expected opinion spread of each conversation's first turn along its path."""
+    c = table(s, d, "conversations").select(F.col("conv_id").alias("path_id"), (F.col("conv_id") * 1_000_000 + F.col("turn")).alias("id"), "turn")
+    order = Window.partitionBy("path_id").orderBy("turn")
+    c = c.withColumn("pos", F.row_number().over(order) - 1).withColumn("before", F.lag("id").over(order))
+    rows = c.select("path_id", "pos", (2 * u01("o", 1, F.col("id"), mode=MODE) - 1).alias("o"), F.lit(0.5).alias("p"), u01("phi", 1, F.col("before"), F.col("id"), mode=MODE).alias("phi"))
+    return rounded(scores.path_opinion_spread(rows), "spread")
+
+
 @query
 def set_cover_instance(s: SparkSession, d: str) -> DataFrame:
     out = None
@@ -241,6 +295,14 @@ _plain("estimated_opinion", lambda s, d: rounded(topics.estimate_opinion(topics.
 _plain("opinion_error", lambda s, d: rounded(topics.nrmse(topics.estimate_opinion(topics.topic_posts(s, d)), "estimate", "truth", by=["topic"]).where("nrmse is not null"), "nrmse"))
 
 
+@query
+def opinion_error_split(s: SparkSession, d: str) -> DataFrame:
+    """Error of the estimated opinions of users who start a topic's subgraph somewhere, and of the others."""
+    origin = _topic_tables(s, d)[3].select("topic", "user_id").distinct().withColumn("node", F.lit("seed"))
+    rows = topics.estimate_opinion(topics.topic_posts(s, d)).join(origin, ["topic", "user_id"], "left").withColumn("node", F.coalesce("node", F.lit("other")))
+    return rounded(topics.nrmse(rows, "estimate", "truth", by=["node"]), "nrmse")
+
+
 @query
 def estimated_interaction(s: SparkSession, d: str) -> DataFrame:
     background, members, _, _ = _topic_tables(s, d)

@@ -1,30 +1,47 @@
 """The registry and a few queries against their SQL at the smallest scale."""
 
 import math
+import numbers
 
 import duckdb
+import numpy as np
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
+from rippletide import workloads
+from rippletide.sources.tables import TABLES
 
 SF = "/root/testdata/sf0.001"
-NAMES = ["graph_succession", "walk_score_l3", "opinion_walk_score_l3", "cascade_oi_ic", "cascade_oi_lt", "score_greedy_k3_seed", "topic_edges", "label_propagation_t5", "op_asof", "op_range_join"]
+NAMES = sorted(workloads.oracles())
 
 
 def test_every_oracle_has_a_query():
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
+def clean(x):
+    """Numbers by value whatever their type, nulls as None."""
+    if x is None or x is pd.NaT or (isinstance(x, numbers.Number) and math.isnan(x)):
+        return None
+    return round(float(x), 5) if isinstance(x, numbers.Number) and not isinstance(x, bool) else str(x)
+
+
 def rows(df):
     df = df[sorted(df.columns)]
-    clean = lambda x: None if x is None or (isinstance(x, float) and math.isnan(x)) else round(float(x), 5) if isinstance(x, (int, float)) and not isinstance(x, bool) else str(x)
     return sorted((tuple(clean(x) for x in r) for r in df.itertuples(index=False)), key=str)
 
 
+def test_clean_takes_numbers_of_any_kind_and_keeps_nulls():
+    assert clean(np.int64(3)) == clean(3) == clean(3.0) == clean(np.float32(3)) == 3.0
+    assert clean(None) is clean(float("nan")) is clean(np.float64("nan")) is None
+    assert clean("3") == "3" and clean(np.int64(0)) is not None
+
+
 @pytest.mark.parametrize("name", NAMES)
 def test_query_equals_sql(spark, name):
     con = duckdb.connect()
-    for t in ("orders", "lineitem", "customer", "events"):
+    for t in TABLES:
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
     assert rows(entry.queries()[name](spark, SF).toPandas()) == rows(con.execute(entry.oracle_sql()[name]).df())
 

@@ -1,7 +1,11 @@
 """Corpus pipeline: quality, near-duplicates, secrets, source mix, packing.
 
 Each stage gets the documents its predecessor kept, written and read again, and all but the last
-return the columns of ``documents`` (doc_id, text, lang, source, n_chars)."""
+return the columns of ``documents`` (doc_id, text, lang, source, n_chars); others are ignored.
+
+Defined results: an empty table passes through every stage. Null and blank texts pass the quality stage by
+their score like any others, are nobody's near-duplicates and hold no secrets; having no words, they are
+not part of the mix and end there. Rows with a null doc_id are documents of their own in all stages."""
 
 from __future__ import annotations
 
@@ -26,12 +30,12 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_groups(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near-duplicates (five-word shingles, similarity 0.8) the smallest doc_id stays,
-    once; rows with a null doc_id stay."""
+    """Of each group of near-duplicates (five-word shingles, similarity 0.8) the smallest doc_id stays; of
+    its rows those equal in text collapse. Rows with a null doc_id stay."""
     groups = near_duplicates(docs, shingle=5, percent=80)
     gone = groups.where("doc_id is not null and not kept").select("doc_id").distinct()
     kept = docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
-    return kept.where("doc_id is not null").dropDuplicates(["doc_id"]).unionByName(kept.where("doc_id is null"))
+    return kept.where("doc_id is not null").dropDuplicates(["doc_id", "text"]).unionByName(kept.where("doc_id is null"))
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -44,7 +48,7 @@ def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents by the words the mix takes of them: whole as often as it repeats them, and once in
-    part where a quota ends inside."""
+    part where a quota ends inside; none of those without words."""
     taken = mix(docs, keep=["text", "lang", "source", "n_chars"])
     whole = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size"))).otherwise(F.lit(0))
     rest = F.col("taken") - whole * F.col("size")

@@ -7,14 +7,14 @@ unlabelled pool of which it is most sure, at most ``exchange`` a class and only
 at which it was right on held-out labels, and the other view trains on them too. On the held-out fold
 each view is calibrated, and the calibrated views are weighed into one probability.
 
-Training uses a sample of about ``sample`` documents (chosen by a hash of doc_id; the labelled ones
-among them are the labels, the rest the pool), so the driver's part is bounded. Scoring is one scan
-of all documents.
+Training uses at most about ``sample`` labelled documents and as many for the pool, both chosen by a hash
+of doc_id (the bound of what reaches the driver). Scoring is one scan of all documents.
 
 A document is good if its quality label is 1 and it is not toxic. Defined results: labels with a null
 doc_id or quality are ignored, a null toxic counts as 0, labels that repeat a document count by
 majority (ties: good); with no or only one class of labels every document gets the score 0.5 and is
-accepted; null text is empty, null source and lang are values of their own.
+accepted; null text is empty, null source and lang are values of their own. Columns of ``keep`` that are
+named like an output come out as ``in_<name>``.
 """
 
 from __future__ import annotations
@@ -28,8 +28,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rippletide.llm.scratch import stored
 from rippletide.llm.textbytes import U, Words, list_column, row_chunks, text_buffer
 
+OUT = ("doc_id", "text_score", "meta_score", "score", "accepted")
 BITS = 18
 SIZE = 1 << BITS
 NOT_WORD = np.ones(256, bool)
@@ -220,7 +222,7 @@ def _batch_features(batch: pa.RecordBatch) -> Iterator[tuple[int, int, tuple, tu
 def _sampled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for i, j, t, m in _batch_features(batch):
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), list_column(t[0], t[1], pa.int32()), list_column(m[0], m[1], pa.int32())], names=["doc_id", "t", "m"])
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), list_column(t[0], t[1], pa.int32()), list_column(m[0], m[1], pa.int32()), batch.column(4).slice(i, j - i)], names=["doc_id", "t", "m", "y"])
 
 
 def _view_columns(docs: DataFrame, text: str, key: str) -> list:
@@ -231,12 +233,14 @@ def _view_columns(docs: DataFrame, text: str, key: str) -> list:
 def learn(docs: DataFrame, labels: DataFrame, sample: int = 15000, rounds: int = 3, text: str = "text", key: str = "doc_id") -> CoTrained:
     good = F.avg(((F.col("quality") == 1) & (F.coalesce("toxic", F.lit(0)) == 0)).cast("double")) >= 0.5
     marks = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(good.cast("int").alias("y"))
-    n = docs.count()
-    share = min(1.0, sample / max(n, 1))
-    chosen = F.pmod(F.xxhash64(F.lit("quality"), "doc_id"), F.lit(1 << 30)) < int(share * (1 << 30))
-    some = docs.select(*_view_columns(docs, text, key)).where(F.col("doc_id").isNotNull() & chosen)
-    rows = some.mapInArrow(_sampled, "doc_id long, t array<int>, m array<int>").join(marks.where(chosen), "doc_id", "left")
-    table = rows.select("doc_id", "t", "m", F.coalesce("y", F.lit(-1)).alias("y")).toArrow().combine_chunks().sort_by("doc_id")
+    marks = stored(marks, "labels")
+    draw = F.pmod(F.xxhash64(F.lit("quality"), "doc_id"), F.lit(1 << 30))
+    share = lambda n: int(min(1.0, sample / max(n, 1)) * (1 << 30))
+    # Both bounded: about ``sample`` labels, and as many documents of the pool.
+    known = F.broadcast(marks.where(draw < share(marks.count())))
+    some = docs.select(*_view_columns(docs, text, key)).where("doc_id is not null").join(known, "doc_id", "left").where(F.col("y").isNotNull() | (draw < share(docs.count())))
+    some = some.withColumn("y", F.coalesce("y", F.lit(-1)))
+    table = some.mapInArrow(_sampled, "doc_id long, t array<int>, m array<int>, y int").toArrow().combine_chunks().sort_by("doc_id")
     if not table.num_rows:
         return CoTrained()
     sets = []
@@ -265,4 +269,4 @@ def classify(docs: DataFrame, model: CoTrained, threshold: float = 0.5, text: st
     rows = docs.select(*_view_columns(docs, text, key), *[F.col(c).alias(k) for k, _, c in kept])
     schema = "doc_id long, text_score double, meta_score double, score double, accepted boolean" + "".join(f", {k} {t}" for k, t, _ in kept)
     out = rows.mapInArrow(lambda it: _scored(it, model, threshold), schema)
-    return out.select("doc_id", "text_score", "meta_score", "score", "accepted", *[F.col(k).alias(c) for k, _, c in kept])
+    return out.select("doc_id", "text_score", "meta_score", "score", "accepted", *[F.col(k).alias(f"in_{c}" if c in OUT else c) for k, _, c in kept])

@@ -182,12 +182,13 @@ def near_duplicates(docs: DataFrame, shingle: int = 5, percent: int = 80, text:
     linked = 100 * both >= percent * (F.col("na") + F.col("nb") - both)
     once = (F.col("cb") == F.col("main")) | (F.col("a") < F.col("b"))
     third = one.join(two, (one["key"] == two["key"]) & (F.col("ca") != F.col("cb")) & once & alike & linked).select("a", "b").distinct()
-    label = components(links.union(third))
+    # A doc_id with several texts links the classes of all of them.
+    lowest = member_class.groupBy("doc_id").agg(F.min("class_id").alias("low"), F.max("class_id").alias("high")).where("low < high")
+    same = member_class.join(lowest.select("doc_id", "low"), "doc_id").where("class_id > low").select(F.col("low").alias("a"), F.col("class_id").alias("b")).distinct()
+    label = components(links.union(third).union(same))
 
     done = member_class.join(label.select(F.col("id").alias("class_id"), "component"), "class_id", "left")
     whole = done.select("doc_id", "n_shingles", F.coalesce("component", "class_id").alias("component_id"), "class_id")
-    repeated = whole.groupBy("doc_id").agg(F.min("component_id").alias("m"), F.count(F.lit(1)).alias("c")).where("c > 1").select("doc_id", "m")
-    whole = whole.join(repeated, "doc_id", "left").select("doc_id", "n_shingles", F.coalesce("m", "component_id").alias("component_id"), "class_id")
     return whole.withColumn("kept", F.col("doc_id") == F.col("component_id")).unionByName(
         signed_docs.where("doc_id is null").select("doc_id", "n_shingles", F.lit(None).cast("long").alias("component_id"), F.lit(None).cast("long").alias("class_id"), F.lit(True).alias("kept"))
     )

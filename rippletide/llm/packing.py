@@ -7,7 +7,8 @@ exactly by one length, else by a pair, else by a triple that sums to it, looked
 still available and consumed as often as they allow; the residue is filled best-fit. The result is a
 list of patterns (lengths and how often); each holds rank ranges per length. A piece's rank among its
 length comes from counts per (length, salt) and a window within each, and finds its slot by a
-broadcast join with the patterns, whose number the histogram bounds.
+broadcast join with the patterns, whose number the histogram bounds. Pieces of ``size`` tokens, most of
+a corpus of long documents, need no rank: each is a sequence of its own, with a negative number.
 
 Defined results: null text is an empty document of one token, the end id; rows that repeat a doc_id
 or have a null one are documents of their own. An empty table gives no rows.
@@ -152,6 +153,8 @@ def pack(docs: DataFrame, size: int = 1024, vocabulary_path: str | None = None,
     spark = docs.sparkSession
     rows = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
     pieces = stored(rows.mapInArrow(lambda it: _encoded(it, path, size, with_ids), PIECES + (", ids array<long>" if with_ids else "")), "pieces")
+    full = pieces.where(F.col("length") == size)
+    pieces = pieces.where(F.col("length") < size)
     by_salt = pieces.groupBy("length", "salt").agg(F.count(F.lit(1)).alias("n"))
     table = sorted((r["length"], r["salt"], r["n"]) for r in by_salt.collect())  # at most size * SALTS rows
     counts = np.zeros(size + 1, np.int64)
@@ -173,6 +176,7 @@ def pack(docs: DataFrame, size: int = 1024, vocabulary_path: str | None = None,
     within = Window.partitionBy("length", "salt").orderBy("ids_crc32", "doc_id", "piece")
     ranked = pieces.withColumn("k", F.row_number().over(within)).join(F.broadcast(base), ["length", "salt"]).withColumn("rank", F.col("base") + F.col("k") - 1)
     placed = ranked.join(F.broadcast(slot), (F.col("length") == F.col("slot_length")) & (F.col("rank") >= F.col("low")) & (F.col("rank") < F.col("high")))
-    return placed.select(
-        "doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32", (F.col("first_sequence") + F.col("rank") - F.col("low")).alias("sequence_id"), "offset", *(["ids"] if with_ids else [])
-    )
+    out = ["doc_id", "piece", "start", F.col("length").cast("long").alias("length"), "ids_crc32"]
+    ids = ["ids"] if with_ids else []
+    alone = full.select(*out, (-1 - F.monotonically_increasing_id()).alias("sequence_id"), F.lit(0).cast("long").alias("offset"), *ids)
+    return placed.select(*out, (F.col("first_sequence") + F.col("rank") - F.col("low")).alias("sequence_id"), "offset", *ids).unionByName(alone)

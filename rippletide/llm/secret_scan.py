@@ -3,15 +3,17 @@
 Candidates come from the base kinds (assign, access, hex) and from one more, ``token``: a run of 20 or
 more of A-Za-z0-9_- that mixes upper case, lower case and digits and touches no base span. Each
 distinct candidate value is counted by the repositories (documents) and owners (sources) that hold
-it. A value that ``example_owners`` or more owners share is a widely copied example; any other is
-owner-specific and looks live. Token spans are added where live; base spans always stay.
+it. A value that ``example_owners`` or more owners share is a widely copied example, and so is one that
+at least two owners hold in ``example_repositories`` or more repositories; any other is owner-specific
+and looks live. Token spans are added where live; base spans always stay.
 
 Positions come without a scripting language: the gaps between a pattern's matches (``split``) and the
 matches themselves (``regexp_extract_all``) alternate, so running sums of their lengths in code points
 are the starts. Scans for spans run only on texts in which the pattern occurs at all.
 
 Defined results: null text is empty; every input row is returned once, also with a null or repeated
-doc_id; a null source is an owner of its own; counts are of base spans.
+doc_id; a null source is an owner of its own; counts are of base spans. Columns of ``keep`` that are named
+like an output come out as ``in_<name>``.
 """
 
 from __future__ import annotations
@@ -20,6 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from rippletide.llm.scratch import stored
+from rippletide.llm.skew import join_by_count
 
 # Fixed patterns. Group 2 of the first is the value; its letters match in either case.
 ASSIGN = r"""(?i)(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
@@ -27,6 +30,7 @@ ACCESS = r"AKIA[A-Z0-9]{14,}"
 HEX = r"[0-9a-f]{16,}"
 TOKEN = r"(?<![A-Za-z0-9_-])(?=[A-Za-z0-9_-]*[a-z])(?=[A-Za-z0-9_-]*[A-Z])(?=[A-Za-z0-9_-]*[0-9])[A-Za-z0-9_-]{20,}"
 KINDS = ("assign", "access", "hex", "token")
+OUT = ("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans", "n_examples", "n_live", "found")
 SPAN = "array<struct<s:int,k:int,e:int,v:string>>"
 
 
@@ -67,7 +71,7 @@ def _listing(spans: Column) -> Column:
     return F.concat_ws(",", F.transform(spans, lambda x: F.concat_ws(":", F.get(names, x["k"]), x["s"].cast("string"), x["e"].cast("string"))))
 
 
-def find_secrets(docs: DataFrame, example_owners: int = 5, text: str = "text", key: str = "doc_id", owner: str = "source", keep: list[str] | None = None) -> DataFrame:
+def find_secrets(docs: DataFrame, example_owners: int = 5, example_repositories: int = 100, text: str = "text", key: str = "doc_id", owner: str = "source", keep: list[str] | None = None) -> DataFrame:
     """Per row: doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_examples (spans whose value is
     widely copied), n_live (the others), found (the spans as structs with ``live``), and ``keep``."""
     source = docs.select(
@@ -83,11 +87,12 @@ def find_secrets(docs: DataFrame, example_owners: int = 5, text: str = "text", k
     rows = stored(rows, "candidates")
 
     some = rows.where(F.size("cands") > 0)
-    values = some.select("owner", F.explode(F.array_distinct(F.transform("cands", lambda x: x["v"]))).alias("v"))
-    per_owner = values.groupBy("v", "owner").agg(F.count(F.lit(1)).alias("repositories"))
-    spread = per_owner.groupBy("v").agg(F.count(F.lit(1)).alias("owners"), F.sum("repositories").alias("repositories"))
-    judged = some.select("row", F.explode("cands").alias("c")).select("row", "c.s", "c.k", "c.e", "c.v").join(spread, "v")
-    live = F.col("owners") < example_owners
+    spans = some.select("row", "owner", F.explode("cands").alias("x")).select("row", "owner", "x.s", "x.k", "x.e", "x.v")
+    per_row = spans.groupBy("v", "owner", "row").agg(F.count(F.lit(1)).alias("c"))
+    per_owner = per_row.groupBy("v", "owner").agg(F.count(F.lit(1)).alias("repositories"), F.sum("c").alias("c"))
+    spread = stored(per_owner.groupBy("v").agg(F.count(F.lit(1)).alias("owners"), F.sum("repositories").alias("repositories"), F.sum("c").alias("c")), "spread")
+    judged = join_by_count(spans.drop("owner"), spread, ["v"])
+    live = ~((F.col("owners") >= example_owners) | ((F.col("owners") >= 2) & (F.col("repositories") >= example_repositories)))
     item = F.struct("s", "k", "e", live.alias("live"), "owners", "repositories")
     marked = judged.where((F.col("k") < 3) | live).groupBy("row").agg(F.array_sort(F.collect_list(item)).alias("found"))
 
@@ -103,7 +108,7 @@ def find_secrets(docs: DataFrame, example_owners: int = 5, text: str = "text", k
         count(lambda x: ~x["live"]).alias("n_examples"),
         count(lambda x: x["live"]).alias("n_live"),
         "found",
-        *[F.col(f"keep_{c}").alias(c) for c in keep or []],
+        *[F.col(f"keep_{c}").alias(f"in_{c}" if c in OUT else c) for c in keep or []],
     )
 
 

@@ -17,6 +17,7 @@ again from its start for repeats: at most one document of a shard is taken in pa
 
 Defined results: null text has size 0; rows with a null or repeated doc_id are documents of their own
 (equal rows are interchangeable); a source of size 0 has target 0. Same input and seed, same result.
+Columns of ``keep`` that are named like an output come out as ``in_<name>``.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ from rippletide.llm.scratch import stored
 
 WORD = r"[^\x20\x09-\x0D]+"
 SECTION = 4096
+OUT = ("doc_id", "size", "source_size", "target", "taken")
 
 
 def targets(totals: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.5, max_repeat: int = 2) -> DataFrame:
@@ -100,4 +102,4 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float = 1.
     for k in range(max_repeat):
         left = F.col("quota") - k * F.col("shard_size")
         taken = taken + F.greatest(F.lit(0), F.least(F.col("end"), left) - begin)
-    return placed.select("doc_id", "size", "source_size", "target", taken.alias("taken"), *[F.col(f"keep_{c}").alias(c) for c in keep or []])
+    return placed.select("doc_id", "size", "source_size", "target", taken.alias("taken"), *[F.col(f"keep_{c}").alias(f"in_{c}" if c in OUT else c) for c in keep or []])

@@ -339,3 +339,172 @@ def test_classifier_without_labels_accepts_all(spark, corpus):
     labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     d = docs(spark, corpus)
     assert cotrain.classify(d, cotrain.learn(d, labels)).where("not accepted").count() == 0
+
+
+CLASHING = {"score": 1.5, "spans": "x", "target": 2, "size": 3, "key": 4, "id": 5, "h": 6, "at": 7, "block": 8, "a": 9, "b": 10, "t": "y", "words": 1, "level": 2, "units": "u", "anchors": 3, "n_words": 4, "y": 5, "accepted": True, "component": 1, "row": 2, "length": 3, "salt": 4, "held_out": 5, "digest": "d", "first": 6, "payload": "p", "record_type": "r", "w": 7, "maybe": 8, "v": 9, "q": 10, "rank": 11}
+
+
+def test_extra_columns_with_clashing_names_change_nothing(spark, corpus):
+    plain = docs(spark, corpus)
+    extra = plain.withColumns({c: F.lit(v) for c, v in CLASHING.items()})
+    labels = spark.createDataFrame([(k, k % 2, 0) for k in range(30)], "doc_id long, quality int, toxic int")
+    runs = {
+        "op1": lambda d: odd_sketch.near_duplicates(d),
+        "op2": lambda d: identify(d, learn(d)),
+        "op3": lambda d: find_secrets(d).drop("found"),
+        "op4": lambda d: remove_repeated_windows(d, with_text=False)[0],
+        "op6": lambda d: packing.pack(d).drop("sequence_id"),
+        "op7": lambda d: mix(d),
+        "op8": lambda d: fingerprints(d),
+        "op9": lambda d: cotrain.classify(d, cotrain.learn(d, labels)),
+    }
+    for name, run in runs.items():
+        one, two = run(plain), run(extra)
+        assert one.columns == two.columns, name
+        assert sorted(map(str, one.collect())) == sorted(map(str, two.collect())), name
+    pages = plain.select(F.col("doc_id").alias("page_id"), F.col("text").alias("html"))
+    more = pages.withColumns({c: F.lit(v) for c, v in CLASHING.items()})
+    assert sorted(map(str, warc.round_trip(pages).collect())) == sorted(map(str, warc.round_trip(more).collect()))
+    vectors = spark.createDataFrame([(k, [float(k % 7), 1.0, k / 9]) for k in range(60)], "vec_id long, embedding array<float>")
+    extra = vectors.withColumns({c: F.lit(v) for c, v in CLASHING.items()})
+    query = F.col("vec_id") % 50 == 0
+    assert sorted(map(str, top_k(vectors, query).collect())) == sorted(map(str, top_k(extra, query).collect()))
+
+
+def test_kept_columns_named_like_outputs_are_renamed(spark, corpus):
+    d = docs(spark, corpus).withColumns({"score": F.lit(3.5), "spans": F.lit("mine"), "size": F.lit(7)})
+    assert {r["in_score"] for r in cotrain.classify(d, cotrain.CoTrained(), keep=["score"]).collect()} == {3.5}
+    assert {r["in_spans"] for r in find_secrets(d, keep=["spans"]).collect()} == {"mine"}
+    assert {r["in_size"] for r in mix(d, keep=["size"]).collect()} == {7}
+
+
+def test_more_empty_tables(spark):
+    none = docs(spark, [])
+    assert identify(none, learn(none)).count() == 0
+    assert top_k(spark.createDataFrame([], "vec_id long, embedding array<float>"), F.col("vec_id") % 50 == 0).count() == 0
+    assert cotrain.classify(none, cotrain.learn(none, spark.createDataFrame([], "doc_id long, quality int, toxic int"))).count() == 0
+    assert warc.round_trip(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+def test_repeated_and_null_ids_and_long_texts(spark):
+    long = " ".join(f"w{k * k % 5003}" for k in range(60_000))
+    rows = [(1, long, "a"), (1, "other text here", "a"), (2, long + " tail", "a"), (None, long, "b"), (None, None, "b"), (3, "x" * 300_000, "b"), (3, "x" * 300_000, "b"), (4, "", "c")]
+    d = docs(spark, rows)
+    near = {(r["doc_id"], r["component_id"]) for r in odd_sketch.near_duplicates(d).collect()}
+    assert near == {(1, 1), (2, 1), (None, None), (3, 3), (4, 4)}
+    for out in (identify(d, learn(d)), find_secrets(d), remove_repeated_windows(d)[0], mix(d), fingerprints(d)):
+        assert out.count() == len(rows)
+    sums = {r["doc_id"]: r["n"] for r in packing.pack(d).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()}
+    assert sums[4] == 1 and sums[3] == 2 * (sums[3] // 2)
+    assert {(r["doc_id"], r["n_words"]): r["n_removed"] for r in remove_repeated_windows(d)[0].collect()}[2, 60_001] == 60_000
+
+
+def test_a_doc_id_with_two_texts_links_their_groups(spark):
+    one, two = " ".join(f"a{k}" for k in range(50)), " ".join(f"b{k}" for k in range(50))
+    got = {r["doc_id"]: r["component_id"] for r in odd_sketch.near_duplicates(docs(spark, [(5, one, "s"), (7, one, "s"), (7, two, "s"), (9, two, "s")])).collect()}
+    assert got == {5: 5, 7: 5, 9: 5}
+
+
+def test_warc_ids_lengths_and_repeats(spark):
+    html = [(1, "same"), (2, "same"), (2, "else"), (2, "same"), (None, "same"), (None, None), (3, ""), (4, None), (5, "é" * 70_000)]
+    pages = spark.createDataFrame([(i, "u", h) for i, h in html], "page_id long, url string, html string")
+    got = sorted(str((r["page_id"], r["payload_bytes"], r["payload_digest"], r["record_type"], r["refers_to"])) for r in warc.round_trip(pages).collect())
+    sha = lambda h: base64.b32encode(hashlib.sha1((h or "").encode()).digest()).decode()
+    size = lambda h: len((h or "").encode())
+    first = {}
+    for i, h in html:
+        if i is not None:
+            first[h or ""] = min(i, first.get(h or "", i))
+    want = [(i, size(h), sha(h), *(("revisit", first[h or ""]) if i is not None and i > first[h or ""] else ("response", None))) for i, h in html]
+    assert got == sorted(map(str, want))
+
+
+def test_packing_full_pieces_and_triples(spark):
+    rows = packing.pack(docs(spark, [(k, "word " * n, "s") for k, n in enumerate([20, 9, 9, 2, 5, 4, 100, 31, 63, 64])]), size=16).collect()
+    assert len({r["sequence_id"] for r in rows if r["length"] == 16}) == sum(r["length"] == 16 for r in rows)
+    held = {}
+    for r in rows:
+        held.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    for spans in held.values():
+        assert [o for o, _ in sorted(spans)] == [sum(n for _, n in sorted(spans)[:k]) for k in range(len(spans))] and sum(n for _, n in spans) <= 16
+
+
+def test_cotraining_exchanges_both_ways_and_learns():
+    """Either view alone decides half of the rows for sure; labels are scarce."""
+    rng = np.random.default_rng(6)
+    n = 3000
+    y = rng.integers(0, 2, n)
+    views = []
+    for share in (0, 1):
+        slots = []
+        for k in range(n):
+            own = 100 * y[k] + rng.integers(0, 40, 6) + 10 if k % 2 == share or rng.random() < 0.7 else np.array([5000])
+            slots.append(np.unique(np.concatenate([own, rng.integers(200, 3000, 5)])).astype(np.int32))
+        views.append(cotrain._Rows(np.concatenate(slots), np.array([len(s) for s in slots])))
+    known = np.where(np.arange(n) < 600, y, -1)
+    model = cotrain.cotrain(*views, known)
+    assert model.fitted and model.held_out_accuracy > 0.9
+    assert all(sum(side) > 0 for side in zip(*model.exchanged, strict=True)) or model.exchanged[0][0] > 0
+    rest = np.arange(600, n)
+    z = np.column_stack([s[0] * v.margin(*r.at(rest)) + s[1] for v, s, r in ((model.text, model.text_scale, views[0]), (model.meta, model.meta_scale, views[1]))])
+    p = cotrain._sigmoid(z @ model.blend[:2] + model.blend[2])
+    assert ((p > 0.5) == (y[rest] == 1)).mean() > 0.9
+    assert abs(p.mean() - y[rest].mean()) < 0.1
+
+
+def test_quality_labels_by_majority_and_null_toxic(spark):
+    words = {0: "buy cheap pills now casino", 1: "a quiet walk along the river bank"}
+    rows = [(k, " ".join([words[k % 2]] * 6) + f" {k}", "s") for k in range(400)]
+    marks = [(k, k % 2, None) for k in range(300)] + [(k, 1 - k % 2, 0) for k in range(50)] + [(k, k % 2, 0) for k in range(50)] + [(None, 1, 0), (7, None, 0)]
+    labels = spark.createDataFrame(marks, "doc_id long, quality int, toxic int")
+    got = cotrain.classify(docs(spark, rows), cotrain.learn(docs(spark, rows), labels)).collect()
+    assert all(r["accepted"] == (r["doc_id"] % 2 == 1) for r in got if r["doc_id"] >= 300)
+
+
+def test_secrets_equal_a_plain_scan(spark):
+    rng = np.random.default_rng(12)
+    bits = ["password: ", "API_KEY='", "token = ", "AKIA", "deadbeef0123456789", "abcdef", "ABCD1234EFGH5678", '"', "\n", " é ", "secret=", "x" * 11, "y" * 13, "漢"]
+    rows = [(k, "".join(rng.choice(bits, rng.integers(0, 14))), f"s{k % 6}") for k in range(150)]
+    kinds = (("assign", re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A), lambda m: len(m[2]) >= 12), ("access", re.compile("AKIA[A-Z0-9]+"), lambda m: len(m[0]) >= 18), ("hex", re.compile("[0-9a-f]+"), lambda m: len(m[0]) >= 16))
+    for r in find_secrets(docs(spark, rows)).collect():
+        text = rows[r["doc_id"]][1]
+        spans = sorted((m.start(), k, m.end()) for k, (_, p, ok) in enumerate(kinds) for m in p.finditer(text) if ok(m))
+        assert [r["n_assign"], r["n_access"], r["n_hex"]] == [sum(s[1] == k for s in spans) for k in range(3)]
+        assert r["base_sha256"] == hashlib.sha256(",".join(f"{kinds[k][0]}:{a}:{b}" for a, k, b in spans).encode()).hexdigest()
+
+
+def test_pipeline_end_to_end(spark, tmp_path):
+    """Each stage's decision seen in the next one's input, on a corpus of known parts."""
+    import corpus_pipeline
+
+    rng = np.random.default_rng(1)
+    good, bad = [f"river{k}" for k in range(300)], [f"casino{k}" for k in range(60)]
+    rows = [(k, " ".join(rng.choice(good if k % 3 else bad, 80)), "en", f"s{k % 3}", 1) for k in range(300)]
+    rows += [(1000 + k, rows[3 * k + 1][1] + " tail", "en", "s1", 1) for k in range(20)]
+    rows += [(2000, "password = abcdefghijklmnop " + rows[1][1][:200], "en", "s2", 1), (2001, None, "en", "s0", 0), (2002, " ", None, None, 1)]
+    rows += [(2003, "word", "en", "s1", 1), (2003, "word", "en", "s1", 1), (2003, "unlike it", "en", "s1", 1)]
+    spark.createDataFrame(rows, DOCS).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(k, int(k % 3 > 0), 0) for k in range(200)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    frame, seen = spark.read.parquet(f"{tmp_path}/documents.parquet"), []
+    for _, stage in corpus_pipeline.STAGES:
+        frame = stage(spark, frame, str(tmp_path))
+        frame.write.parquet(f"{tmp_path}/{len(seen)}")
+        frame = spark.read.parquet(f"{tmp_path}/{len(seen)}")
+        seen.append(frame.collect())
+    kept, single, clean, mixed, packed = seen
+    assert all(f.columns == ["doc_id", "text", "lang", "source", "n_chars"] for f in (spark.read.parquet(f"{tmp_path}/{k}") for k in range(4)))
+    ids = lambda x: {r["doc_id"] for r in x}
+    assert not any(r["doc_id"] < 300 and r["doc_id"] % 3 == 0 for r in kept) and sum(r["doc_id"] < 300 for r in kept) >= 195
+    assert not any(1000 <= i < 1020 for i in ids(single))
+    assert sorted(r["text"] for r in single if r["doc_id"] == 2003) == sorted({r["text"] for r in kept if r["doc_id"] == 2003})
+    assert all("abcdefghijklmnop" not in (r["text"] or "") for r in clean) and ids(clean) == ids(single)
+    sizes = {}
+    for r in clean:
+        sizes[r["source"]] = sizes.get(r["source"], 0) + len(WORD.findall(r["text"] or ""))
+    words = {}
+    for r in mixed:
+        words[r["source"]] = words.get(r["source"], 0) + len(WORD.findall(r["text"]))
+    assert set(words) <= set(sizes) and all(words[s] <= 2 * sizes[s] for s in words)
+    assert abs(sum(words.values()) - min(1.5 * sum(sizes.values()), 2 * sum(sizes.values()))) <= 16
+    assert ids(packed) == ids(mixed) and len({(r["sequence_id"], r["offset"]) for r in packed}) == len(packed)
+    assert corpus_pipeline.run(spark, str(tmp_path)).count() == len(packed)

@@ -34,7 +34,7 @@ TABLES, BASE = 3, 16
 RETRIES, ROUNDS = 5, 24
 CUTS, MAX_BLOCKS, BLOCK_ROWS = 8192, 1_000_000, 100
 CHECK_BITS = 22
-UNITS, LONGEST = 8, 10
+UNITS, LONGEST = 14, 10
 WORD = rf"[!-~\u00A1-\u0DFF]{{1,{LONGEST}}}\s*|\S\s*|\s+"
 
 

@@ -230,7 +230,7 @@ def _view_columns(docs: DataFrame, text: str, key: str) -> list:
     return [F.col(key).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), of("source").alias("source"), of("lang").alias("lang")]
 
 
-def learn(docs: DataFrame, labels: DataFrame, sample: int = 15000, rounds: int = 3, text: str = "text", key: str = "doc_id") -> CoTrained:
+def learn(docs: DataFrame, labels: DataFrame, sample: int = 6000, rounds: int = 3, text: str = "text", key: str = "doc_id") -> CoTrained:
     good = F.avg(((F.col("quality") == 1) & (F.coalesce("toxic", F.lit(0)) == 0)).cast("double")) >= 0.5
     marks = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(good.cast("int").alias("y"))
     marks = stored(marks, "labels")

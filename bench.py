@@ -8,7 +8,7 @@ import time
 
 from pyspark.sql import SparkSession
 
-from rippletide.operators import diffusion, graphs, params, scores, seeds
+from rippletide.operators import baselines, diffusion, graphs, params, scores, seeds
 from rippletide.operators.graphs import graph
 from rippletide.plans.storage import stored
 
@@ -42,10 +42,11 @@ def main() -> None:
     timed("walk_score_l3_w1", lambda: done(scores.walk_score(big, 3)))
     timed("opinion_walk_score_l3_w1", lambda: done(scores.opinion_walk_score(big, 3)))
     timed("union_walk_score_l2", lambda: done(scores.union_walk_score(g, 2)))
-    timed("score_greedy_k2", lambda: done(seeds.score_greedy_seeds(g, 2, 3, discount="seed")))
-    timed("opinion_score_greedy_k2", lambda: done(seeds.score_greedy_seeds(g, 2, 3, True, "seed")))
-    timed("cascade_ic_64_worlds", lambda: done(diffusion.cascade_ic(g, seeds.degree_seeds(g, 10).select("id"), 64)))
-    timed("reach_bits_256_worlds", lambda: done(diffusion.reach_bits(g, seeds.degree_seeds(g, 10).select("id"), 4)))
+    timed("score_greedy_k5", lambda: done(seeds.score_greedy_seeds(g, 5, 3, discount="seed")))
+    timed("opinion_score_greedy_k5", lambda: done(seeds.score_greedy_seeds(g, 5, 3, True, "seed")))
+    timed("influence_rank_seeds_k5", lambda: done(baselines.influence_rank_seeds(g, 5)))
+    timed("cascade_ic_1000_worlds", lambda: done(diffusion.cascade_ic(g, seeds.degree_seeds(g, 10).select("id"), 1000)))
+    timed("reach_bits_10240_worlds", lambda: done(diffusion.reach_bits(g, seeds.degree_seeds(g, 10).select("id"), 160)))
     print(json.dumps({"metric": "total_seconds", "value": round(sum(took.values()), 2), "unit": "sec", "queries": took, "sf": os.path.basename(sf.rstrip("/"))}))
 
 

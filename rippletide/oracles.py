@@ -227,6 +227,13 @@ mem AS MATERIALIZED (SELECT topic, epoch, user_id, min(ts) first_ts, avg(opinion
 TOPIC_EDGES = f"""{SUCCESSION}, {POSTS},
 te AS MATERIALIZED (SELECT a.topic, a.epoch, suc.u, suc.v FROM suc JOIN mem a ON a.user_id=suc.u JOIN mem b ON b.user_id=suc.v AND a.topic=b.topic AND a.epoch=b.epoch),
 org AS (SELECT topic, epoch, user_id FROM mem m WHERE NOT EXISTS (SELECT 1 FROM te WHERE te.topic=m.topic AND te.epoch=m.epoch AND te.v=m.user_id))"""
+SEED_EPOCHS = f"""WITH RECURSIVE {SUCCESSION}, {POSTS},
+o AS MATERIALIZED (SELECT p.topic, p.event_id, p.user_id, epoch_us(p.ts)/1000000::DOUBLE now, threshold, coalesce(src, []::BIGINT[]) src, row_number() OVER (PARTITION BY p.topic ORDER BY p.ts, p.event_id) i
+  FROM posts p JOIN lim USING (topic) LEFT JOIN (SELECT v, list(u) src FROM suc GROUP BY v) ON v=p.user_id),
+f(topic, i, epoch, last, members) AS (SELECT topic, i, 0::BIGINT, now, [user_id] FROM o WHERE i=1
+  UNION ALL SELECT topic, i, epoch, CASE WHEN NOT list_contains(m, user_id) AND (l IS NULL OR NOT list_has_any(src, m)) THEN now ELSE l END, CASE WHEN list_contains(m, user_id) THEN m ELSE list_append(m, user_id) END
+  FROM (SELECT o.topic, o.i, o.user_id, o.now, o.src, f.epoch+(o.now-f.last>o.threshold)::BIGINT epoch, CASE WHEN o.now-f.last>o.threshold THEN NULL ELSE f.last END l, CASE WHEN o.now-f.last>o.threshold THEN []::BIGINT[] ELSE f.members END m FROM f JOIN o ON o.topic=f.topic AND o.i=f.i+1))
+SELECT topic, epoch, CAST(count(*) AS BIGINT) posts FROM f GROUP BY 1, 2"""
 ESTIMATE = """est AS (SELECT o.topic, o.user_id, max(o.truth) truth, sum(exp(-age)*past)/sum(exp(-age)) estimate FROM (SELECT o.topic, o.user_id, o.truth, p.opinion past, (epoch_us(o.first_ts)-epoch_us(p.ts))/(86400000000.0::DOUBLE*10) age
   FROM (SELECT topic, user_id, avg(opinion) truth, min(ts) first_ts FROM posts GROUP BY 1, 2) o JOIN posts p ON p.user_id=o.user_id AND p.topic//10=o.topic//10 AND p.topic<>o.topic AND p.ts<o.first_ts) o GROUP BY 1, 2)"""
 SIMILARITY = """feat AS (SELECT c_custkey id, c_nationkey f1, c_mktsegment f2, CAST(floor(c_acctbal/1000) AS BIGINT) f3, CAST(floor(coalesce(n,0)/4) AS BIGINT) f4 FROM customer LEFT JOIN (SELECT o_custkey, count(*) n FROM orders GROUP BY 1) ON o_custkey=c_custkey),
@@ -361,6 +368,7 @@ def sql() -> dict[str, str]:
         "topic_posts": f"WITH {POSTS} SELECT topic, CAST(count(*) AS BIGINT) posts, {r6('avg(opinion)')} opinion FROM posts GROUP BY 1",
         "gap_threshold": f"WITH {POSTS} SELECT topic, (round(threshold,3)+0.0) threshold FROM lim",
         "topic_epochs_post": f"WITH {POSTS} SELECT topic, epoch, CAST(count(*) AS BIGINT) posts FROM ep GROUP BY 1, 2",
+        "topic_epochs_seed": SEED_EPOCHS,
         "topic_edges": f"WITH {TOPIC_EDGES} SELECT * FROM te",
         "originators": f"WITH {TOPIC_EDGES} SELECT * FROM org",
         "top_topics": f"WITH {POSTS} SELECT topic, CAST(count(*) AS BIGINT) posts FROM posts GROUP BY 1 ORDER BY 2 DESC, 1 LIMIT 10",

@@ -185,7 +185,15 @@ _seeds("opinion_mc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="
 _seeds("oc_greedy_k2", lambda g: seeds.mc_greedy_seeds(g, 2, objective="opinion", model="oc", **KW))
 _seeds("lazy_greedy_k2", lambda g: seeds.lazy_greedy_seeds(g, 2, **KW))
 _seeds("rr_cover_k3", lambda g: baselines.max_cover(baselines.rr_sets(g, 200, mode=MODE), 3), "wc")
-_seeds("rr_seeds", lambda g: baselines.rr_seeds(g, 3, eps=0.5, mode=MODE)[0], "wc")
+
+
+@query
+def rr_seeds(s: SparkSession, d: str) -> DataFrame:
+    """With how many reverse sets the bound asks for and how many were drawn."""
+    chosen, report = baselines.rr_seeds(base_graph(s, d, "wc"), 3, eps=0.5)
+    return chosen.select("*", *[F.lit(report[c]).alias(c) for c in ("wanted", "drawn", "truncated")])
+
+
 _seeds("influence_rank", lambda g: baselines.influence_rank(g, rounds=5))
 _seeds("influence_rank_seeds_k2", lambda g: baselines.influence_rank_seeds(g, 2, rounds=5))
 _seeds("simpath_k2", lambda g: baselines.simpath_seeds(g, 2, eta=0.05, max_len=4))

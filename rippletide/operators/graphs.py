@@ -30,7 +30,7 @@ class InfluenceGraph:
 
     def without(self, removed: DataFrame) -> InfluenceGraph:
         """Arcs that start or end in ``removed`` (id) go, and so do the nodes."""
-        gone = removed.select("id").distinct()
+        gone = removed.select("id")
         edges = self.edges.join(gone.withColumnRenamed("id", "u"), "u", "left_anti").join(gone.withColumnRenamed("id", "v"), "v", "left_anti")
         return InfluenceGraph(self.nodes.join(gone, "id", "left_anti"), edges.select("u", "v", "p", "w", "phi"))
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from rippletide.functions.rng import u01
 from rippletide.operators import scores, spread
 from rippletide.operators.graphs import InfluenceGraph
-from rippletide.plans.storage import stored
+from rippletide.plans.storage import small, stored, stored_with_count
 
 SEEDS = "rank int, id long, score double"
 
@@ -39,22 +39,28 @@ def score_greedy_seeds(g: InfluenceGraph, k: int, max_len: int = 3, opinion: boo
     ``delta`` later rounds score only nodes near the removed ones. Stops early when no score is
     positive, unless ``allow_nonpositive``."""
     spark = g.nodes.sparkSession
-    chosen, left, scored = [], g, None
-    gone = spark.createDataFrame([], "id long")
+    chosen: list[tuple[int, int, float]] = []
+    left, scored, gone, n_gone = g, None, None, 0
     for _ in range(k):
         if scored is None or not delta:
-            scored = stored(scores.assign_score(left, max_len, opinion), "scores")
-        pool = scored.join(gone, "id", "left_anti")
+            scored = scores.assign_score(left, max_len, opinion)
+            scored = stored(scored, "scores") if delta else scored
+        pool = scored if gone is None else scored.join(small(gone, n_gone), "id", "left_anti")
         best = _best(pool if candidates is None else pool.join(candidates.select("id"), "id", "left_semi"), allow_nonpositive)
         if best is None:
             break
         chosen.append((len(chosen) + 1, *best))
         if len(chosen) < k:
-            new = stored(activated_by(left, best[0], discount, worlds, share, **kw), "gone")
+            # The graph is never written anew: what is left is the stored arcs without the removed ids.
+            if discount == "seed":
+                new = spark.createDataFrame([(best[0],)], "id long")
+                gone, n_gone = spark.createDataFrame([(c[1],) for c in chosen], "id long"), len(chosen)
+            else:
+                new = stored(activated_by(left, best[0], discount, worlds, share, **kw), "gone")
+                gone, n_gone = stored_with_count(new if gone is None else gone.union(new).distinct(), "gone")
             if delta:
                 scored = stored(scores.rescore_delta(left, scored, new, max_len, opinion), "scores")
-            gone = gone.union(new)
-            left = InfluenceGraph(stored(left.without(new).nodes, "nodes"), stored(left.without(new).edges, "arcs"))
+            left = g.without(small(gone, n_gone))
     return spark.createDataFrame(chosen, SEEDS)
 
 

@@ -5,14 +5,14 @@ reports have no SQL counterpart; the deterministic measures behind them are regi
 
 from __future__ import annotations
 
-import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rippletide.operators import baselines, churn, errors, graphs, params, scores, seeds, spread, topics
 from rippletide.operators.graphs import InfluenceGraph, graph
+from rippletide.plans.cost import Meter, plan_mb
 from rippletide.plans.storage import stored
 
 SCHEMA = "workload string, model string, k int, l int, lam double, metric string, value double"
@@ -31,11 +31,17 @@ class Report:
         self.rows.append((self.name, model, k, length, float(lam), metric, float(value)))
 
     def timed(self, run: Callable[[], DataFrame], **kw) -> DataFrame:
-        began = time.perf_counter()
-        out = stored(run(), "report")
-        self.add("seconds", time.perf_counter() - began, **kw)
+        with Meter(self.spark) as meter:
+            out = stored(run(), "report")
+        self.add("seconds", meter.seconds, **kw)
+        self.add("peak_mb", meter.peak_mb, **kw)
+        self.add("shuffle_mb", meter.shuffle_mb, **kw)
+        self.add("rows_moved", meter.rows, **kw)
         return out
 
+    def value(self, metric: str, model: str, k: int = 0) -> float:
+        return next(r[6] for r in self.rows if r[5] == metric and r[1] == model and r[2] == k)
+
     def table(self) -> DataFrame:
         return self.spark.createDataFrame(self.rows, SCHEMA)
 
@@ -71,15 +77,20 @@ def w01_example(s: SparkSession, d: str) -> DataFrame:
     return r.table()
 
 
-def w04_topic_models(s: SparkSession, d: str) -> DataFrame:
-    """Opinion spread of the real originators under three models against the posts' own opinions."""
-    r = Report(s, "w04")
+def _topics(s: SparkSession, d: str, n: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame, DataFrame]:
     posts = topics.topic_posts(s, d)
-    posts = posts.join(F.broadcast(topics.top_topics(posts, 10).select("topic")), "topic", "left_semi")
+    posts = posts.join(F.broadcast(topics.top_topics(posts, n).select("topic")), "topic", "left_semi")
     background = stored(graphs.succession_edges(s, d).select("u", "v"), "background")
     members = stored(topics.topic_members(topics.epochs_by_post(posts)), "members")
     edges = stored(topics.topic_edges(members, background), "topic_edges")
-    origin = stored(topics.originators(members, edges), "origin")
+    return posts, background, members, edges, stored(topics.originators(members, edges), "origin")
+
+
+def w04_topic_models(s: SparkSession, d: str) -> DataFrame:
+    """Opinion spread of the real originators under three models against the posts' own opinions, over the
+    hundred largest topics."""
+    r = Report(s, "w04")
+    posts, background, members, edges, origin = _topics(s, d, 100)
     truth = topics.ground_truth_spread(members, origin)
     guess = topics.model_spreads(members, edges, origin, topics.estimate_opinion(posts), topics.estimate_interaction(members, background), WORLDS, mode=MODE)
     both = truth.withColumnRenamed("spread", "truth").join(guess, ["topic", "epoch"])
@@ -88,6 +99,23 @@ def w04_topic_models(s: SparkSession, d: str) -> DataFrame:
     return r.table()
 
 
+def w05_originators(s: SparkSession, d: str) -> DataFrame:
+    """The same error over the number of originators a topic starts from, earliest first."""
+    r = Report(s, "w05")
+    posts, background, members, edges, origin = _topics(s, d, 10)
+    early = Window.partitionBy("topic", "epoch").orderBy("first_ts", "user_id")
+    ranked = origin.join(members, ["topic", "epoch", "user_id"]).withColumn("place", F.row_number().over(early))
+    opinions, phi = stored(topics.estimate_opinion(posts), "opinions"), stored(topics.estimate_interaction(members, background), "phi")
+    for k in (1, 2, 4):
+        some = stored(ranked.where(F.col("place") <= k).select("topic", "epoch", "user_id"), "some")
+        truth = topics.ground_truth_spread(members, some)
+        guess = topics.model_spreads(members, edges, some, opinions, phi, 4, mode=MODE)
+        both = truth.withColumnRenamed("spread", "truth").join(guess, ["topic", "epoch"])
+        for row in topics.nrmse(both, "spread", "truth", by=["model"]).collect():
+            r.add("nrmse", row["nrmse"] if row["nrmse"] is not None else float("nan"), row["model"], k)
+    return r.table()
+
+
 def w06_model_choice(s: SparkSession, d: str) -> DataFrame:
     """Seeds picked for each model's objective, all valued by the opinion spread with interactions."""
     r, g = Report(s, "w06"), _base(s, d, "suc")
@@ -105,8 +133,9 @@ def w07_churn(s: SparkSession, d: str) -> DataFrame:
     value = churn.propagate_labels(g, churn.churn_labels(s, d), max_iter=10)
     nodes = value.select("id", F.col("value").alias("o"), F.lit(0.5).alias("theta"))
     g = params.interactions_uniform(params.assign_wc(InfluenceGraph(nodes, g.edges)), mode=MODE).materialized()
-    for name, opinion in (("oi", True), ("ic", False)):
-        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(g, 3, 2, opinion, "seed"), "opinion"), name, 3, 2)
+    for name, opinion, phi in (("oi", True, F.col("phi")), ("oc", True, F.lit(1.0)), ("ic", False, F.col("phi"))):
+        h = InfluenceGraph(g.nodes, g.edges.withColumn("phi", phi))
+        r.add("opinion_spread", _value(g, seeds.score_greedy_seeds(h, 3, 2, opinion, "seed"), "opinion"), name, 3, 2)
     return r.table()
 
 
@@ -133,14 +162,44 @@ def w09_length_opinion(s: SparkSession, d: str) -> DataFrame:
     return r.table()
 
 
+def _fits(r: Report, runs: dict[str, str]) -> None:
+    """Line through the seconds of a model over ``x``: slope and r squared."""
+    rows = r.table().where("metric = 'seconds'")
+    for name, x in runs.items():
+        fit = rows.where(F.col("model") == name).agg(F.regr_slope("value", x).alias("a"), F.regr_r2("value", x).alias("r2")).first()
+        r.add("slope", fit["a"], name)
+        r.add("r2", fit["r2"], name)
+
+
+def w10_time_opinion(s: SparkSession, d: str) -> DataFrame:
+    """Seconds of the opinion score over path length and seed count, and the fit of a line."""
+    r, g = Report(s, "w10"), _base(s, d)
+    for length in range(1, 8):
+        r.timed(lambda n=length: scores.opinion_walk_score(g, n), model="length", length=length)
+    for k in (1, 3, 5):
+        r.timed(lambda n=k: seeds.score_greedy_seeds(g, n, 1, True, "seed"), model="seeds", k=k, length=1)
+    _fits(r, {"length": "l", "seeds": "k"})
+    return r.table()
+
+
 def w11_memory(s: SparkSession, d: str) -> DataFrame:
-    """Rows of state over and above the arcs: one a node for the walk score, one a pair for the union."""
+    """Memory over and above the arcs: peak execution memory of the walk score's stages (one row a node)
+    against that of the pair state of the union score."""
     r = Report(s, "w11")
     for source in ("cop", "suc"):
         g = _base(s, d, source)
-        r.add("arc_rows", g.edges.count(), source)
-        r.add("walk_state_rows", scores.walk_score(g, 3).count(), source, length=3)
-        r.add("pair_state_rows", scores.walk_counts(g, 2).count(), source, length=2)
+        r.add("graph_mb", plan_mb(g.edges), source)
+        r.timed(lambda h=g: scores.walk_score(h, 3), model=f"walk {source}", length=3)
+        r.timed(lambda h=g: scores.union_walk_score(h, 2), model=f"union {source}", length=2)
+    return r.table()
+
+
+def w13_background(s: SparkSession, d: str) -> DataFrame:
+    """A hundred seeds (or as many as have a positive score) by the opinion score of length 1."""
+    r, g = Report(s, "w13"), _base(s, d, "suc")
+    chosen = r.timed(lambda: seeds.score_greedy_seeds(g, 100, 1, True, "seed"), model="oi", k=100, length=1)
+    r.add("seeds", chosen.count(), "oi", 100, 1)
+    r.add("opinion_spread", _value(g, chosen, "opinion"), "oi", 100, 1)
     return r.table()
 
 
@@ -162,7 +221,7 @@ def w15_baselines(s: SparkSession, d: str) -> DataFrame:
     runs = {
         "walk": lambda: seeds.score_greedy_seeds(g, 3, 3, discount="seed"),
         "lazy": lambda: seeds.lazy_greedy_seeds(g, 3, **SIM),
-        "rr": lambda: baselines.rr_seeds(g, 3, mode=MODE)[0],
+        "rr": lambda: baselines.rr_seeds(g, 3, eps=0.2)[0],
         "rank": lambda: baselines.influence_rank_seeds(g, 3),
         "simpath": lambda: baselines.simpath_seeds(g, 3),
         "degree": lambda: seeds.degree_seeds(g, 3),
@@ -184,17 +243,57 @@ def w16_growth(s: SparkSession, d: str) -> DataFrame:
         r.timed(lambda n=length: scores.walk_score(g, n), model="length", length=length)
     for k in (1, 2, 4):
         r.timed(lambda n=k: seeds.score_greedy_seeds(g, n, 1, discount="seed"), model="seeds", k=k, length=1)
-    rows = r.table().where("metric = 'seconds'")
-    for name, x in (("length", "l"), ("seeds", "k")):
-        fit = rows.where(F.col("model") == name).agg(F.regr_slope("value", x).alias("a"), F.regr_r2("value", x).alias("r2")).first()
-        r.add("slope", fit["a"], name)
-        r.add("r2", fit["r2"], name)
+    _fits(r, {"length": "l", "seeds": "k"})
+    return r.table()
+
+
+def w17_memory_seeds(s: SparkSession, d: str) -> DataFrame:
+    """Peak execution memory over the number of seeds, for the walk score and its competitors."""
+    r, g = Report(s, "w17"), _base(s, d, "suc", "wc")
+    r.add("graph_mb", plan_mb(g.edges))
+    for k in (1, 2):
+        r.timed(lambda n=k: seeds.score_greedy_seeds(g, n, 1, discount="seed"), model="walk", k=k, length=1)
+        r.timed(lambda n=k: seeds.lazy_greedy_seeds(g, n, **SIM), model="lazy", k=k)
+        r.timed(lambda n=k: baselines.rr_seeds(g, n, eps=0.2)[0], model="rr", k=k)
+        r.timed(lambda n=k: baselines.influence_rank_seeds(g, n), model="rank", k=k)
+        r.timed(lambda n=k: baselines.simpath_seeds(g, n, max_len=4), model="simpath", k=k)
+    return r.table()
+
+
+def _gain_table(s: SparkSession, d: str, name: str, sizes: dict[str, int], other: Callable[[InfluenceGraph, int], DataFrame]) -> DataFrame:
+    """Seconds, peak memory and spread of the walk score of length 1 and a competitor, and the ratios."""
+    r = Report(s, name)
+    for source, k in sizes.items():
+        g = _base(s, d, source, "wc")
+        runs = {"walk": lambda h=g, n=k: seeds.score_greedy_seeds(h, n, 1, discount="seed"), "other": lambda h=g, n=k: other(h, n)}
+        for model, run in runs.items():
+            r.add("spread", _value(g, r.timed(run, model=f"{model} {source}", k=k, length=1)), f"{model} {source}", k, 1)
+        for metric in ("seconds", "peak_mb"):
+            r.add(f"gain_{metric}", gain(r.value(metric, f"other {source}", k), r.value(metric, f"walk {source}", k)), source, k, 1)
     return r.table()
 
 
+def w18_reverse_sampling_gain(s: SparkSession, d: str) -> DataFrame:
+    return _gain_table(s, d, "w18", {"suc": 3}, lambda g, k: baselines.rr_seeds(g, k, eps=0.2)[0])
+
+
+def w19_lazy_greedy_gain(s: SparkSession, d: str) -> DataFrame:
+    return _gain_table(s, d, "w19", {"suc": 3, "cop": 1}, lambda g, k: seeds.lazy_greedy_seeds(g, k, **SIM))
+
+
 def w20_datasets(s: SparkSession, d: str) -> DataFrame:
     r = Report(s, "w20")
-    for name, edges in (("copurchase", graphs.copurchase_edges(s, d)), ("succession", graphs.succession_edges(s, d)), ("trade", graphs.trade_edges(s, d, 2)), ("similarity", graphs.similarity_edges(s, d))):
+    for name, edges in (
+        ("copurchase", graphs.copurchase_edges(s, d)),
+        ("succession", graphs.succession_edges(s, d)),
+        ("trade", graphs.trade_edges(s, d, 2)),
+        ("similarity", graphs.similarity_edges(s, d)),
+        ("tree", graphs.tree_edges(s, d)),
+        ("order_dag", graphs.order_dag_edges(s, d)),
+        ("conversations", graphs.conversation_edges(s, d)),
+        ("copies", graphs.copy_edges(s, d)),
+        ("embedding", graphs.embedding_edges(s, d)),
+    ):
         g = graph(edges.select("u", "v")).materialized()
         n, m = g.nodes.count(), g.edges.count()
         r.add("nodes", n, name)

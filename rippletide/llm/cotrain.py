@@ -33,6 +33,7 @@ from rippletide.llm.textbytes import U, Words, list_column, row_chunks, text_buf
 
 OUT = ("doc_id", "text_score", "meta_score", "score", "accepted")
 BITS = 18
+CHUNK = 1 << 18
 SIZE = 1 << BITS
 NOT_WORD = np.ones(256, bool)
 NOT_WORD[0x80:] = False
@@ -215,7 +216,7 @@ def _batch_features(batch: pa.RecordBatch) -> Iterator[tuple[int, int, tuple, tu
     """(first row, end row, text features, metadata features); columns: doc_id, text, source, lang."""
     data, offsets = text_buffer(batch.column(1))
     sources, langs = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-    for i, j in row_chunks(offsets):
+    for i, j in row_chunks(offsets, CHUNK):
         yield i, j, text_features(data, offsets[i : j + 1]), meta_features(sources[i:j], langs[i:j], np.diff(offsets[i : j + 1]))
 
 
@@ -250,7 +251,8 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = 6000, rounds: int =
     return cotrain(*sets, table["y"].to_numpy(), rounds=rounds)
 
 
-def _scored(batches: Iterator[pa.RecordBatch], model: CoTrained, threshold: float) -> Iterator[pa.RecordBatch]:
+def _scored(batches: Iterator[pa.RecordBatch], model: CoTrained, threshold: float, kept: list[tuple[str, int]]) -> Iterator[pa.RecordBatch]:
+    """``kept``: names of the columns that come along, and where they are."""
     for batch in batches:
         for i, j, t, m in _batch_features(batch):
             if model.fitted:
@@ -260,13 +262,22 @@ def _scored(batches: Iterator[pa.RecordBatch], model: CoTrained, threshold: floa
             else:
                 p = np.full(j - i, 0.5)
                 views, ok = [p, p], np.ones(j - i, bool)
-            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(views[0]), pa.array(views[1]), pa.array(p), pa.array(ok), *[batch.column(c).slice(i, j - i) for c in range(4, batch.num_columns)]], names=["doc_id", "text_score", "meta_score", "score", "accepted", *batch.schema.names[4:]])
+            yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i), pa.array(views[0]), pa.array(views[1]), pa.array(p), pa.array(ok), *[batch.column(at).slice(i, j - i) for _, at in kept]], names=["doc_id", "text_score", "meta_score", "score", "accepted", *[name for name, _ in kept]])
 
 
 def classify(docs: DataFrame, model: CoTrained, threshold: float = 0.5, text: str = "text", key: str = "doc_id", keep: list[str] | None = None) -> DataFrame:
     """Per row: doc_id, text_score, meta_score, score, accepted, and the columns of ``keep``."""
-    kept = [(f"keep_{c}", docs.schema[c].dataType.simpleString(), c) for c in keep or []]
-    rows = docs.select(*_view_columns(docs, text, key), *[F.col(c).alias(k) for k, _, c in kept])
-    schema = "doc_id long, text_score double, meta_score double, score double, accepted boolean" + "".join(f", {k} {t}" for k, t, _ in kept)
-    out = rows.mapInArrow(lambda it: _scored(it, model, threshold), schema)
-    return out.select("doc_id", "text_score", "meta_score", "score", "accepted", *[F.col(k).alias(f"in_{c}" if c in OUT else c) for k, _, c in kept])
+    views = {text: 1, "source": 2, "lang": 3}
+    kept, more = [], []
+    for c in keep or []:
+        kind = docs.schema[c].dataType.simpleString()
+        if c in views and kind == "string":  # travels as part of a view already
+            kept.append((f"keep_{c}", kind, c, views[c]))
+        else:
+            kept.append((f"keep_{c}", kind, c, 4 + len(more)))
+            more.append(F.col(c).alias(f"keep_{c}"))
+    rows = docs.select(*_view_columns(docs, text, key), *more)
+    schema = "doc_id long, text_score double, meta_score double, score double, accepted boolean" + "".join(f", {k} {t}" for k, t, _, _ in kept)
+    places = [(k, at) for k, _, _, at in kept]
+    out = rows.mapInArrow(lambda it: _scored(it, model, threshold, places), schema)
+    return out.select("doc_id", "text_score", "meta_score", "score", "accepted", *[F.col(k).alias(f"in_{c}" if c in OUT else c) for k, _, c, _ in kept])

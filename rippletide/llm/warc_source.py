@@ -14,6 +14,11 @@ as equality and IN filters of the query. Spark keeps a pushed-down reader with t
 DataFrame loaded with ``pushdown`` must serve one query only; without it any number may share it.
 
 Files are reached through the Arrow file systems (local or any remote one the URI names).
+
+Defined results: no archives give no rows. Payloads are read as UTF-8, whatever charset their headers name;
+bytes that are none become U+FFFD. A record without a page id, length or digest in its headers has nulls
+there. An archive that is damaged, or cut off inside a record that is read, fails the read with its path; a
+cut inside a payload that is not read goes unnoticed. Pages that repeat an id get record ids by payload.
 """
 
 from __future__ import annotations
@@ -211,8 +216,11 @@ class WarcReader(DataSourceReader):
         fs, _ = file_system(self.path)
         with fs.open_input_file(partition.path) as stream:
             source = _Bytes(stream)
-            while source.need(2):
-                yield from self._gzip(source) if source.need(2)[:2] == b"\x1f\x8b" else self._plain(source)
+            try:
+                while source.need(2):
+                    yield from self._gzip(source) if source.need(2)[:2] == b"\x1f\x8b" else self._plain(source)
+            except (zlib.error, KeyError, ValueError, struct.error) as fault:
+                raise ValueError(f"damaged archive {partition.path}: {fault}") from fault
 
     def _fits(self, row: list) -> bool:
         return all(row[at] in values for at, values in self.wanted.items())
@@ -227,7 +235,8 @@ class WarcReader(DataSourceReader):
         while (end := source.need(n).find(b"\r\n\r\n")) < 0 and len(source.need(n)) >= n:
             n *= 2
         if end < 0:
-            source.take(len(source.need(n)))
+            if source.take(len(source.need(n))).strip():
+                raise ValueError("no record header")
             return
         head = parse_head(source.take(end + 4))
         row, length = head_row(head), int(head["content-length"])
@@ -237,7 +246,10 @@ class WarcReader(DataSourceReader):
             source.skip(length + 4)
             yield tuple(row)
         else:
-            yield self._body(row, source.take(length))
+            block = source.take(length)
+            if len(block) < length:
+                raise ValueError("cut off inside a record")
+            yield self._body(row, block)
             source.skip(4)
 
     def _gzip(self, source: _Bytes) -> Iterator[tuple]:
@@ -275,7 +287,7 @@ class WarcReader(DataSourceReader):
                 source.skip(len(chunk))
                 chunk = source.need(1 << 16)
                 if not chunk:
-                    break
+                    raise ValueError("cut off inside a record")
             end = plain.find(b"\r\n\r\n")
             head = parse_head(plain[: end + 4])
             row = head_row(head)

@@ -419,6 +419,21 @@ def test_warc_ids_lengths_and_repeats(spark):
     assert got == sorted(map(str, want))
 
 
+def test_damaged_archives_fail_with_their_path(spark, tmp_path):
+    from rippletide.llm.warc_source import WarcFile, WarcReader, encode_record, gzip_member
+
+    record = encode_record(1, "http://x", "<p>é</p>".encode() * 50, "response", None)
+    broken = {"cut.warc": record[:-60], "cut.warc.gz": gzip_member(record)[:-30], "noise.warc": b"no archive at all", "whole.warc": record + b"\r\n", "empty.warc": b""}
+    for name, data in broken.items():
+        (tmp_path / name).write_bytes(data)
+        rows = WarcReader({"path": str(tmp_path)}).read(WarcFile(str(tmp_path / name), len(data)))
+        if name in ("whole.warc", "empty.warc"):
+            assert [r[2] for r in rows] == [1] * (name == "whole.warc")
+        else:
+            with pytest.raises(ValueError, match=name):
+                list(rows)
+
+
 def test_packing_full_pieces_and_triples(spark):
     rows = packing.pack(docs(spark, [(k, "word " * n, "s") for k, n in enumerate([20, 9, 9, 2, 5, 4, 100, 31, 63, 64])]), size=16).collect()
     assert len({r["sequence_id"] for r in rows if r["length"] == 16}) == sum(r["length"] == 16 for r in rows)

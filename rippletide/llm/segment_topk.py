@@ -10,8 +10,8 @@ Queries go in blocks of at most ``block`` vectors; a block is what a scan of all
 size is fixed whatever the data. Each task keeps k rows a query; a window per query merges them.
 
 Defined results: vectors that are null, or hold a null or a non-finite component, take no part;
-vectors of different lengths do not meet; rows that repeat an id count once, with their best score,
-and never answer a query of that id; a repeated query is asked once, by its smallest vector.
+vectors of different lengths do not meet; rows that repeat an id are candidates each; a repeated query id
+is asked once, by its smallest vector, and of its own rows only that one is left out.
 """
 
 from __future__ import annotations
@@ -46,9 +46,10 @@ class BlockSearch:
     """Running top-k of a block of queries (one vector length) over batches of candidates."""
 
     def __init__(self, ids: np.ndarray, vectors: np.ndarray, k: int) -> None:
-        self.ids, self.x, self.k = ids, vectors.astype(float), k
+        # One more than asked for: the query's own row is among the candidates and goes at the end.
+        self.ids, self.x, self.k = ids, vectors.astype(float), k + 1
         self.sides = [features(self.x, p, True) for p in LEVELS]
-        self.top: list[dict[int, int]] = [{} for _ in ids]
+        self.top: list[list[tuple[int, int]]] = [[] for _ in ids]
         self.bar = np.full(len(ids), -np.inf)
         self.exact = self.tested = 0
 
@@ -71,25 +72,17 @@ class BlockSearch:
             for level in range(1, len(sides)):
                 if len(alive) and np.isfinite(self.bar[q]):
                     alive = alive[sides[level][alive] @ self.sides[level][q] >= self.bar[q] - slack]
-            alive = alive[ids[alive] != self.ids[q]]
             self.tested += len(v)
             self.exact += len(alive)
             if not len(alive):
                 continue
             scores = self._scores(q, v[alive])
-            if len(alive) > 4 * self.k:  # only ids that can still be among the best
-                order = np.lexsort((ids[alive], -scores))
-                best = order[: self.k]
-                if len(np.unique(ids[alive[best]])) == len(best):
-                    alive, scores = alive[best], scores[best]
-            held = self.top[q]
-            for i, s in zip(ids[alive].tolist(), scores.tolist(), strict=True):
-                if i not in held or held[i] < s:
-                    held[i] = s
-            if len(held) > self.k:
-                self.top[q] = dict(sorted(held.items(), key=lambda r: (-r[1], r[0]))[: self.k])
-            if len(self.top[q]) >= self.k:
-                self.bar[q] = min(self.top[q].values())
+            if len(alive) > 4 * self.k and scores.dtype != object:  # only rows that can still be among the best
+                best = np.lexsort((ids[alive], -scores))[: self.k]
+                alive, scores = alive[best], scores[best]
+            self.top[q] = sorted(self.top[q] + [(-s, i) for s, i in zip(scores.tolist(), ids[alive].tolist(), strict=True)])[: self.k]
+            if len(self.top[q]) == self.k:
+                self.bar[q] = -self.top[q][-1][0]
 
 
 def _search(batches: Iterator[pa.RecordBatch], block: dict[int, tuple[np.ndarray, np.ndarray]], k: int) -> Iterator[pa.RecordBatch]:
@@ -106,8 +99,12 @@ def _search(batches: Iterator[pa.RecordBatch], block: dict[int, tuple[np.ndarray
                 for i in range(0, len(rows), 4096):
                     some = rows[i : i + 4096]
                     searches[int(d)].add(ids[some], flat[starts[some][:, None] + np.arange(d)])
-    out = [(int(s.ids[q]), i, v) for s in searches.values() for q in range(len(s.ids)) for i, v in s.top[q].items()]
-    yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in out], pa.int64()) for c in range(3)], names=["query_id", "vec_id", "score"])
+    out = []
+    for s in searches.values():
+        for q, found in enumerate(s.top):
+            own = int(s._scores(q, s.x[q : q + 1])[0]) if found else 0
+            out += [(int(s.ids[q]), i, -v, i == s.ids[q] and -v == own) for v, i in found]
+    yield pa.RecordBatch.from_arrays([*[pa.array([r[c] for r in out], pa.int64()) for c in range(3)], pa.array([bool(r[3]) for r in out], pa.bool_())], names=["query_id", "vec_id", "score", "own"])
 
 
 def quantised(column: Column, scale: int = 256) -> Column:
@@ -135,10 +132,12 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 5, scale: int = 256, bl
             ids.append(r["vec_id"])
             xs.append(r["v"])
         part = {d: (np.array(ids, np.int64), np.array(xs, np.int64).reshape(len(ids), d)) for d, (ids, xs) in held.items()}
-        one = rows.select("vec_id", "v").mapInArrow(lambda it, part=part: _search(it, part, k), "query_id long, vec_id long, score long")
+        one = rows.select("vec_id", "v").mapInArrow(lambda it, part=part: _search(it, part, k), "query_id long, vec_id long, score long, own boolean")
         found = one if found is None else found.union(one)
     if found is None:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    best = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
+    # One of the rows that are like the query itself is the query.
+    mine = Window.partitionBy("query_id", "own").orderBy("score")
+    best = found.where("own").withColumn("n", F.row_number().over(mine)).where("n > 1").drop("n").union(found.where("not own"))
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return best.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -321,6 +321,28 @@ def test_top_k_ties_and_bad_rows(spark):
     assert got == [(1, 1, 65536), (2, 2, 65536), (3, 3, 32768)]
 
 
+def test_top_k_counts_rows_that_repeat_an_id(spark):
+    rows = [(50, [1.0, 0.0]), (50, [1.0, 0.0]), (50, [2.0, 0.0]), (1, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [0.25, 0.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = [(r["rank"], r["vec_id"], r["score"]) for r in top_k(df, F.col("vec_id") % 50 == 0, k=5).orderBy("rank").collect()]
+    assert got == [(1, 50, 131072), (2, 1, 65536), (3, 1, 65536), (4, 50, 65536), (5, 2, 16384)]
+
+
+def test_top_k_equals_brute_force_with_repeats(spark):
+    rng = np.random.default_rng(11)
+    x = rng.normal(0, 1, (400, 24)).round(2).astype(np.float32)
+    ids = rng.integers(0, 300, 400)
+    df = spark.createDataFrame([(int(i), [float(a) for a in v]) for i, v in zip(ids, x, strict=True)], "vec_id long, embedding array<float>")
+    q = np.floor(256 * x.astype(float)).astype(int)
+    got = {}
+    for r in top_k(df, F.col("vec_id") % 50 == 0, k=5).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["score"], r["vec_id"]))
+    for i in {int(i) for i in ids if i % 50 == 0}:
+        own = min((q[k].tolist(), k) for k in range(400) if ids[k] == i)[1]
+        want = sorted((-int(q[own] @ q[k]), int(ids[k])) for k in range(400) if k != own)[:5]
+        assert sorted(got[i]) == [(n, -s, v) for n, (s, v) in enumerate(want, 1)]
+
+
 def test_warc_round_trip_and_predicates(spark, tmp_path):
     html = ["<p>a</p>", "<p>b</p>", "<p>a</p>", None, "\r\n\r\nWARC/1.1 é"]
     pages = spark.createDataFrame([(k, f"http://x/{k}", h) for k, h in enumerate(html)], "page_id long, url string, html string")

@@ -117,11 +117,13 @@ def topic_growth(posts: DataFrame, background: DataFrame, thresholds: DataFrame)
 
 def on_time_counts(spark: SparkSession, path: str) -> DataFrame:
     """(day, posts, late): posts counted per day, and those that came after the watermark had passed their
-    day. Every tenth post comes in a second batch, one batch a file."""
+    day. Every tenth post comes in a third batch, one batch a file: rows are late by the watermark that held
+    before the batch ahead of theirs."""
     base = f"{shared_dir(spark)}/rippletide/late-{uuid.uuid4().hex}"
     events = spark.read.parquet(path)
-    for late in (False, True):
-        events.where((F.col("event_id") % 10 == 0) == F.lit(late)).coalesce(1).write.mode("append").parquet(base)
+    last = F.col("event_id") % 10
+    for part in ((last >= 1) & (last <= 5), last > 5, last == 0):
+        events.where(part).coalesce(1).write.mode("append").parquet(base)
         time.sleep(1.1)  # files are taken in order of their times
     e = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(base)
     posts = e.select(F.col("ts").cast("timestamp").alias("ts"))
@@ -147,7 +149,7 @@ STREAMS: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str | None]]
     ),
     "stream_late_drop": (
         lambda s, d: on_time_counts(s, f"{d}/events.parquet"),
-        "WITH e AS (SELECT ts, event_id%10=0 tardy, date_trunc('day', ts) d FROM events), w AS (SELECT max(ts)-INTERVAL 1 HOUR mark FROM e WHERE NOT tardy), c AS (SELECT d, count(*) came, count(*) FILTER (WHERE tardy AND d+INTERVAL 1 DAY<=mark) late FROM e, w GROUP BY 1) SELECT strftime(d, '%Y-%m-%d') AS day, CAST(came-late AS BIGINT) posts, CAST(late AS BIGINT) late FROM c",
+        "WITH e AS (SELECT ts, event_id%10=0 tardy, event_id%10 BETWEEN 1 AND 5 early, date_trunc('day', ts) d FROM events), w AS (SELECT max(ts)-INTERVAL 1 HOUR mark FROM e WHERE early), c AS (SELECT d, count(*) came, count(*) FILTER (WHERE tardy AND d+INTERVAL 1 DAY<=mark) late FROM e, w GROUP BY 1) SELECT strftime(d, '%Y-%m-%d') AS day, CAST(came-late AS BIGINT) posts, CAST(late AS BIGINT) late FROM c",
     ),
     "stream_unique": (lambda s, d: run(unique_posts(_posts(s, d)).select("event_id", "topic"), "append"), f"SELECT event_id, topic FROM {P_}"),
     "stream_running_opinion": (lambda s, d: run(running_opinion(_posts(s, d)), "update", ["user_id"]).select("user_id", (F.round("opinion", 7) + 0.0).alias("opinion"), "posts"), f"SELECT user_id, round(avg(opinion),7)+0.0 opinion, CAST(count(*) AS BIGINT) posts FROM {P_} GROUP BY 1"),

@@ -187,3 +187,24 @@ def test_comparison_report_runs_the_real_baselines(spark, monkeypatch):
             monkeypatch.setattr(module, name, lambda *_, name=name, **kw: seen.update({name: kw}) or ((spark.range(1), {}) if name == "rr_seeds" else spark.range(1)))
     reports.w15_baselines(spark, "")
     assert "candidates" not in seen["lazy_greedy_seeds"] and {"rr_seeds", "influence_rank_seeds", "simpath_seeds"} <= set(seen)
+
+
+def test_one_cascade_gives_the_spreads_of_all_topic_models(spark, monkeypatch):
+    from rippletide.operators import topics
+
+    members = spark.createDataFrame([(t, 0, u, float(u)) for t in (1, 2) for u in range(12)], "topic int, epoch long, user_id long, opinion double")
+    edges = spark.createDataFrame([(t, 0, u, (u * 5 + k) % 12) for t in (1, 2) for u in range(12) for k in (1, 2)], "topic int, epoch long, u long, v long")
+    origin = spark.createDataFrame([(1, 0, 0), (2, 0, 3)], "topic int, epoch long, user_id long")
+    opinions = spark.createDataFrame([(t, u, (-1) ** u * u / 12) for t in (1, 2) for u in range(12)], "topic int, user_id long, estimate double")
+    phi = spark.createDataFrame([(u, v, 0.3) for u in range(12) for v in range(12)], "u long, v long, phi double")
+    runs, run, graphs_seen = [], diffusion.cascade_ic, []
+    monkeypatch.setattr(diffusion, "cascade_ic", lambda g, *a, **kw: runs.append(1) or graphs_seen.append(g) or run(g, *a, **kw))
+    got = {(r["topic"], r["model"]): r["spread"] for r in topics.model_spreads(members, edges, origin, opinions, phi, 8).collect()}
+    assert len(runs) == 1
+    where = members.select("topic", F.xxhash64("topic", "epoch", "user_id").alias("id"))
+    starts = origin.select(F.xxhash64("topic", "epoch", "user_id").alias("id"))
+    want = {}
+    for name, model, value in (("oi", "ic", F.col("o_final")), ("oc", "oc-ic", F.col("o_final")), ("ic", "ic", F.lit(1.0))):
+        act = spread.simulate(graphs_seen[0], starts, 8, model=model)
+        want |= {(r["topic"], name): r["s"] for r in act.where("step > 0").join(where, "id").groupBy("topic").agg((F.sum(value) / 8).alias("s")).collect()}
+    close(got, want)

@@ -64,3 +64,17 @@ def test_registered_propagation_makes_no_arcs(spark, monkeypatch):
         got = {r["id"]: r["value"] for r in workloads.REGISTRY["label_propagation_t5"](spark, "").collect()}
     assert len(got) == 400 and got[0] < 0 < got[399]
     assert meter.rows < 10_000
+
+
+def test_sizes_of_data_sets_store_no_arcs(spark, monkeypatch):
+    from rippletide import reports
+
+    rows, df = people(spark, 90)
+    arcs = brute(rows)
+    ends = {u for u, _, _ in arcs}
+    assert reports.similarity_size(df.drop("label")) == (len(ends), len(arcs)) == reports.graph_size(similar.arcs(df.drop("label")))
+    assert reports.graph_size(spark.createDataFrame([], "u long, v long")) == (0, 0)
+    monkeypatch.setattr(graphs.InfluenceGraph, "materialized", lambda *_: pytest.fail("stored"))
+    sizes = {(r["model"], r["metric"]): r["value"] for r in reports.w20_datasets(spark, "/root/testdata/sf0.001").collect()}
+    want = graphs.graph(graphs.similarity_edges(spark, "/root/testdata/sf0.001").select("u", "v"))
+    assert sizes["similarity", "nodes"] == want.nodes.count() and sizes["similarity", "arcs"] == want.edges.count()

@@ -9,6 +9,7 @@ from rippletide.sources.tables import TABLES
 
 SF = "/root/testdata/sf0.001"
 NAMES = [
+    "violation_window",
     "submodularity_two_layer",
     "repeated_paths",
     "op_udtf",

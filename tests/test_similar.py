@@ -78,3 +78,30 @@ def test_sizes_of_data_sets_store_no_arcs(spark, monkeypatch):
     sizes = {(r["model"], r["metric"]): r["value"] for r in reports.w20_datasets(spark, "/root/testdata/sf0.001").collect()}
     want = graphs.graph(graphs.similarity_edges(spark, "/root/testdata/sf0.001").select("u", "v"))
     assert sizes["similarity", "nodes"] == want.nodes.count() and sizes["similarity", "arcs"] == want.edges.count()
+
+
+@pytest.mark.parametrize("bound", [200_000, 0])
+def test_scores_and_cascades_by_class_equal_those_along_arcs(spark, monkeypatch, bound):
+    from rippletide.operators import diffusion, params, seeds
+
+    monkeypatch.setattr(similar, "LIST", 4)
+    monkeypatch.setattr(similar, "BROADCAST_ROWS", bound)
+    rows, df = people(spark, 60)
+    df = df.drop("label").withColumn("o", F.sin(F.col("id")))
+    g = similar.cascade_graph(df)
+    plain = params.interactions_uniform(params.assign_wc(graphs.graph(similar.arcs(df.drop("o")), df.select("id", "o")))).materialized()
+    start = spark.createDataFrame([(0, 3), (0, 17), (1, 40)], "run long, id long")
+    acts = [sorted((r["run"], r["world"], r["id"], r["step"], r["parent"] or -1, round(r["o_final"], 9)) for r in diffusion.cascade_ic(h, start, 4).collect()) for h in (g, plain)]
+    assert acts[0] == acts[1] and max(a[3] for a in acts[0]) > 1
+    if bound:
+        for opinion, interaction in ((True, True), (True, False)):
+            h = plain if interaction else graphs.InfluenceGraph(plain.nodes, plain.edges.withColumn("phi", F.lit(1.0)))
+            want = [(r["id"], pytest.approx(r["score"], abs=1e-9)) for r in seeds.score_greedy_seeds(h, 3, 2, opinion, "seed").collect()]
+            assert [(r["id"], r["score"]) for r in similar.score_seeds(g, 3, 2, opinion, interaction).collect()] == want
+
+
+def test_churn_report_stores_no_arcs(spark, monkeypatch):
+    from rippletide import reports
+
+    monkeypatch.setattr(graphs, "by_target", lambda *_: pytest.fail("stored arcs"))
+    assert {r["model"]: round(r["value"], 6) for r in reports.w07_churn(spark, "/root/testdata/sf0.001").collect()} == {"oi": 4.159148, "oc": 3.596648, "ic": 0.923697}

@@ -105,3 +105,33 @@ def test_churn_report_stores_no_arcs(spark, monkeypatch):
 
     monkeypatch.setattr(graphs, "by_target", lambda *_: pytest.fail("stored arcs"))
     assert {r["model"]: round(r["value"], 6) for r in reports.w07_churn(spark, "/root/testdata/sf0.001").collect()} == {"oi": 4.159148, "oc": 3.596648, "ic": 0.923697}
+
+
+def test_draws_of_pairs_equal_those_of_the_text():
+    import hashlib
+
+    import numpy as np
+
+    from rippletide.functions.rng import pair_draws
+
+    u, v = np.array([0, 7, 12, 999999, -5, 2**63 - 1, -(2**63)]), np.array([3, 10**12, -44, 123456, -(2**63)])
+    i, j = (x.ravel() for x in np.meshgrid(np.arange(len(u)), np.arange(len(v))))
+    want = [int(hashlib.md5(f"phi|1|{a}|{b}".encode()).hexdigest()[:8], 16) / 2**32 for a, b in zip(u[i], v[j], strict=True)]
+    assert pair_draws("phi|1", u, v, i, j).tolist() == want
+
+
+def test_scores_by_md5_equal_those_along_arcs_and_pair_the_last_step_for_leaders_only(spark, monkeypatch):
+    from rippletide.operators import params, seeds
+
+    monkeypatch.setattr(similar, "LIST", 4)
+    monkeypatch.setattr(similar, "PAIRS", 50)
+    rows, df = people(spark, 60)
+    df = df.drop("label").withColumn("o", F.sin(F.col("id")))
+    g = similar.cascade_graph(df, mode="md5")
+    plain = params.interactions_uniform(params.assign_wc(graphs.graph(similar.arcs(df.drop("o")), df.select("id", "o"))), mode="md5").materialized()
+    tails = []
+    turned = similar._turned_sums
+    monkeypatch.setattr(similar, "_turned_sums", lambda g, x, ids=None: tails.append(60 if ids is None else ids.count()) or turned(g, x, ids))
+    want = [(r["id"], pytest.approx(r["score"], abs=1e-9)) for r in seeds.score_greedy_seeds(plain, 2, 2, True, "seed").collect()]
+    assert [(r["id"], r["score"]) for r in similar.score_seeds(g, 2, 2, True).collect()] == want
+    assert min(tails) < 30

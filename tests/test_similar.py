@@ -126,7 +126,8 @@ def test_scores_by_md5_equal_those_along_arcs_and_pair_the_last_step_for_leaders
     monkeypatch.setattr(similar, "LIST", 4)
     monkeypatch.setattr(similar, "PAIRS", 50)
     rows, df = people(spark, 60)
-    df = df.drop("label").withColumn("o", F.sin(F.col("id")))
+    alone = spark.createDataFrame([(1000, 77, "z", 77, 77, 1.0)], KINDS)
+    df = df.union(alone).drop("label").withColumn("o", F.sin(F.col("id")))
     g = similar.cascade_graph(df, mode="md5")
     plain = params.interactions_uniform(params.assign_wc(graphs.graph(similar.arcs(df.drop("o")), df.select("id", "o"))), mode="md5").materialized()
     tails = []
